@@ -14,6 +14,8 @@ import pyarrow as pa
 
 #: Bytes of text handled at a time; a longer text forms a chunk of its own.
 CHUNK_BYTES = 1 << 20
+#: Texts handled at a time.
+CHUNK_ROWS = 1024
 
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _BASE_INV = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
@@ -61,12 +63,13 @@ def column_bytes(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.nda
 
 
 def chunks(offsets: np.ndarray, limit: int = CHUNK_BYTES) -> Iterator[tuple[int, int]]:
-    """Row ranges whose texts hold at most `limit` bytes together, or one row each."""
+    """Ranges of at most CHUNK_ROWS rows whose texts hold at most `limit` bytes together, or one row each."""
     n, row = len(offsets) - 1, 0
     while row < n:
         to = max(row + 1, int(np.searchsorted(offsets, offsets[row] + limit, side="right")) - 1)
-        yield row, min(to, n)
-        row = min(to, n)
+        to = min(to, n, row + CHUNK_ROWS)
+        yield row, to
+        row = to
 
 
 class Words:
