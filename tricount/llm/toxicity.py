@@ -24,7 +24,10 @@ SPELLED = 12
 #: Word vectors that a task remembers before it starts over.
 CACHE_WORDS = 400_000
 _BUCKETS, _WORD, _CHAR, _CHAR_STATE, _STATE, _ATTEND = 4096, 6, 6, 6, 8, 8
-_INPUT = 1 + _WORD + 2 * _CHAR_STATE
+#: Evidence is kept for whole words and for their first bytes, so many of them.
+_BEGINNINGS = (5, 7)
+_EVIDENCE = 1 + len(_BEGINNINGS)
+_INPUT = _EVIDENCE + _WORD + 2 * _CHAR_STATE
 _LETTERS = textkit._LOWER
 
 
@@ -60,6 +63,10 @@ class Texts:
         ahead, back = start[:, None] + np.minimum(step, n - 1), (start + size)[:, None] - 1 - np.minimum(step, n - 1)
         self.spelled = np.stack([words.data[ahead], words.data[back]]) if len(first) else np.zeros((2, 0, SPELLED), np.uint8)
         self.mask = (step[None, :] < n).astype(np.float32)
+        self.keys = [self.hash]
+        for n in _BEGINNINGS:
+            begins = np.where(self.mask[:, :n] > 0, self.spelled[0][:, :n], 0).astype(np.uint64)
+            self.keys.append(textkit.mix((begins << (np.arange(n, dtype=np.uint64) * np.uint64(8))).sum(axis=1, dtype=np.uint64) + np.uint64(n)))
         self.first, self.count = words.first, words.count
         windows = np.where(self.count > 0, 1 + np.maximum(0, -(-(self.count - WINDOW) // STRIDE)), 0)
         self.row = np.repeat(np.arange(len(self.count)), windows)
@@ -76,7 +83,7 @@ class Texts:
 
 
 class RecurrentScorer:
-    """Words become vectors: the evidence each carried in the learned documents, a hashed embedding, and the last states of
+    """Words become vectors: the evidence each and its first bytes carried in the learned documents, a hashed embedding, and the last states of
     two character networks. Two word networks read a window in both directions, attention pools their states into one logit."""
 
     def __init__(self, seed: int = 3) -> None:
@@ -89,19 +96,17 @@ class RecurrentScorer:
         self.known, self.weight = np.zeros(0, dtype=np.uint64), np.zeros(0, dtype=np.float32)
         self.curve = (1.0, 0.0)
 
-    def evidence(self, hashes: np.ndarray) -> np.ndarray:
-        return self.looked_up(hashes, self.known, self.weight)
-
-    @staticmethod
-    def looked_up(hashes: np.ndarray, known: np.ndarray, weight: np.ndarray) -> np.ndarray:
-        if not len(known):
-            return np.zeros(len(hashes), dtype=np.float32)
-        at = np.minimum(np.searchsorted(known, hashes), len(known) - 1)
-        return np.where(known[at] == hashes, weight[at], 0).astype(np.float32)
+    def evidence(self, keys: list[np.ndarray]) -> np.ndarray:
+        """What words and their beginnings told in the learned documents, a column each."""
+        out = np.zeros((len(keys[0]), _EVIDENCE), dtype=np.float32)
+        for k, key in enumerate(keys if len(self.known) else []):
+            at = np.minimum(np.searchsorted(self.known, key), len(self.known) - 1)
+            out[:, k] = np.where(self.known[at] == key, self.weight[at], 0)
+        return out
 
     def vectors(self, hashes: np.ndarray, spelled: np.ndarray, mask: np.ndarray, evidence: np.ndarray, keep: bool = False) -> tuple[np.ndarray, list]:
         """A vector for each distinct word."""
-        p, parts, tapes = self.p, [evidence[:, None], p_words(self.p, hashes)], []
+        p, parts, tapes = self.p, [evidence, p_words(self.p, hashes)], []
         for k, name in enumerate(("cf", "cb")):
             table = p["chars"] @ p[f"{name}.w"] + p[f"{name}.b"]
             states, tape = gru(table[spelled[k].T], mask.T, p[f"{name}.u"], keep)
@@ -150,17 +155,17 @@ class RecurrentScorer:
             g[f"{name}.w"], g[f"{name}.b"] = vectors.T @ d_table, d_table.sum(axis=0)
             d_vectors += d_table @ p[f"{name}.w"].T
         g["words"] = np.zeros_like(p["words"])
-        np.add.at(g["words"], word_bucket(hashes), d_vectors[:, 1 : 1 + _WORD])
+        np.add.at(g["words"], word_bucket(hashes), d_vectors[:, _EVIDENCE : _EVIDENCE + _WORD])
         g["chars"] = np.zeros_like(p["chars"])
         for k, name in enumerate(("cf", "cb")):
             d_states = np.zeros((SPELLED, len(vectors), _CHAR_STATE), dtype=np.float32)
-            d_states[-1] = d_vectors[:, 1 + _WORD + k * _CHAR_STATE : 1 + _WORD + (k + 1) * _CHAR_STATE]
+            d_states[-1] = d_vectors[:, _EVIDENCE + _WORD + k * _CHAR_STATE : _EVIDENCE + _WORD + (k + 1) * _CHAR_STATE]
             d_in, g[f"{name}.u"] = gru_grad(d_states, char_tapes[k], p[f"{name}.u"])
             d_table = np.zeros((256, d_in.shape[2]), dtype=np.float32)
             np.add.at(d_table, spelled[k].T.reshape(-1), d_in.reshape(-1, d_in.shape[2]))
             g[f"{name}.w"], g[f"{name}.b"] = p["chars"].T @ d_table, d_table.sum(axis=0)
             g["chars"] += d_table @ p[f"{name}.w"].T
-        adam.step({k: v + 1e-4 * p[k] for k, v in g.items()})
+        adam.step({k: v + (3e-3 if k in ("words", "chars") else 3e-4) * p[k] for k, v in g.items()})
 
     def best_windows(self, texts: Texts, vectors: np.ndarray, block: int = 4096) -> np.ndarray:
         """The logits of all windows."""
@@ -179,15 +184,15 @@ def p_words(params: dict, hashes: np.ndarray) -> np.ndarray:
     return params["words"][word_bucket(hashes)]
 
 
-def _evidence(hashes: np.ndarray, good: np.ndarray, bad: np.ndarray, n_good: int, n_bad: int) -> np.ndarray:
-    """Per word: the log ratio of its shares of toxic and other documents, shrunk by its standard error; 0 for words of fewer than 3 documents."""
+def _evidence(good: np.ndarray, bad: np.ndarray, n_good: int, n_bad: int) -> np.ndarray:
+    """Per key: the log ratio of its shares of toxic and other documents, shrunk by its standard error; 0 for words of fewer than 3 documents."""
     ratio = np.log((bad + 0.5) / (n_bad + 1)) - np.log((good + 0.5) / (n_good + 1))
     error = np.sqrt(1 / (bad + 0.5) + 1 / (good + 0.5))
     sure = np.maximum(0, np.abs(ratio) - 1.5 * error)
     return np.where(good + bad >= 3, np.sign(ratio) * np.minimum(sure, 4), 0).astype(np.float32)
 
 
-def train(docs: DataFrame, labels: DataFrame, bound: int = SAMPLE, epochs: int = 12) -> RecurrentScorer | None:
+def train(docs: DataFrame, labels: DataFrame, bound: int = SAMPLE, epochs: int = 6) -> RecurrentScorer | None:
     """Learns from at most `bound` labelled documents outside the held-out fold; None without both labels.
 
     Word evidence that a document is trained with comes from the other folds of the sample alone. Each epoch scores all windows of all
@@ -200,14 +205,21 @@ def train(docs: DataFrame, labels: DataFrame, bound: int = SAMPLE, epochs: int =
     data, offsets = textkit.column_bytes(pa.array([r[0] for r in rows], pa.large_string()))
     texts, model, folds = Texts(data, offsets), RecurrentScorer(), 4
     doc = np.repeat(np.arange(len(y)), texts.count)
-    once = np.unique(doc * len(texts.hash) + texts.word)
-    doc_of, word_of = once // len(texts.hash), once % len(texts.hash)
     rng = np.random.default_rng(5)
     part = rng.permutation(len(y)) % folds
-    counts = np.stack([np.stack([np.bincount(word_of[(part[doc_of] == f) & (y[doc_of] == v)], minlength=len(texts.hash)) for v in (0, 1)]) for f in range(folds)])
     sizes = np.array([[((part == f) & (y == v)).sum() for v in (0, 1)] for f in range(folds)])
-    without = [_evidence(texts.hash, *(counts.sum(axis=0) - counts[f]), *(sizes.sum(axis=0) - sizes[f])) for f in range(folds)]
-    full = _evidence(texts.hash, *counts.sum(axis=0), *sizes.sum(axis=0))
+    without = [np.zeros((len(texts.hash), _EVIDENCE), dtype=np.float32) for _ in range(folds)]
+    known, weight = [], []
+    for c, keys in enumerate(texts.keys):
+        keys, of = np.unique(keys, return_inverse=True)
+        once = np.unique(doc * len(keys) + of[texts.word])
+        doc_of, key_of = once // len(keys), once % len(keys)
+        counts = np.stack([np.stack([np.bincount(key_of[(part[doc_of] == f) & (y[doc_of] == v)], minlength=len(keys)) for v in (0, 1)]) for f in range(folds)])
+        for f in range(folds):
+            without[f][:, c] = _evidence(*(counts.sum(axis=0) - counts[f]), *(sizes.sum(axis=0) - sizes[f]))[of]
+        full = _evidence(*counts.sum(axis=0), *sizes.sum(axis=0))
+        known.append(keys[full != 0])
+        weight.append(full[full != 0])
     part_of = part[texts.row]
     adam = Adam(model.p, 0.01)
     share = np.where(y == 1, 0.5 / (y == 1).sum(), 0.5 / (y == 0).sum()) * len(y)
@@ -218,7 +230,7 @@ def train(docs: DataFrame, labels: DataFrame, bound: int = SAMPLE, epochs: int =
             mine = np.flatnonzero(part_of == f)
             if epoch == 0:  # before anything is learned, windows rank by their strongest word
                 words, mask = texts.windows(mine)
-                logits[mine] = (without[f][words] * mask).max(axis=0)
+                logits[mine] = (without[f].sum(axis=1)[words] * mask).max(axis=0)
             else:
                 vectors = model.vectors(texts.hash, texts.spelled, texts.mask, without[f])[0]
                 for a in range(0, len(mine), 4096):
@@ -238,8 +250,9 @@ def train(docs: DataFrame, labels: DataFrame, bound: int = SAMPLE, epochs: int =
                 w = share[texts.row[which]]
                 model.learn(adam, texts, which, y[texts.row[which]], w / w.sum(), without[f])
     model.curve = platt(logits[top].astype(np.float64), y[texts.row[top]])
-    keep = np.flatnonzero(full)
-    model.known, model.weight = texts.hash[keep], full[keep]
+    known, weight = np.concatenate(known), np.concatenate(weight)
+    order = np.argsort(known)
+    model.known, model.weight = known[order], weight[order]
     return model
 
 
@@ -257,7 +270,7 @@ class _Words:
         new = np.ones(len(texts.hash), dtype=bool) if not len(self.hash) else self.hash[np.minimum(at, len(self.hash) - 1)] != texts.hash
         if new.any():
             k = np.flatnonzero(new)
-            made = self.model.vectors(texts.hash[k], texts.spelled[:, k], texts.mask[k], self.model.evidence(texts.hash[k]))[0]
+            made = self.model.vectors(texts.hash[k], texts.spelled[:, k], texts.mask[k], self.model.evidence([x[k] for x in texts.keys]))[0]
             self.hash, self.vector = np.concatenate([self.hash, texts.hash[k]]), np.concatenate([self.vector, made])
             order = np.argsort(self.hash, kind="stable")
             self.hash, self.vector = self.hash[order], self.vector[order]
