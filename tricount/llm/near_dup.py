@@ -241,7 +241,8 @@ def near_copies(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) ->
 
     1. Shingles are counted into a table of fixed size, which orders them from rare to common (any order gives the same links).
     2. Documents with equal sets become one node. Nodes with equal prefixes and sizes become one group.
-    3. Groups meet in a bucket for each shingle of their prefixes; buckets with the same groups are the same bucket. Groups expand to their nodes;
+    3. Groups meet in a bucket for each shingle of their prefixes; buckets with the same groups are the same bucket, and buckets with the same smallest
+       group are joined into one, which holds the same pairs and more, but each once. Groups expand to their nodes;
        in each bucket pairs that sizes and bitmaps exclude are dropped. No pairs are made of what is known to be connected:
        two rounds propose a forest for each bucket, whose links are verified on whole sets and joined to components, and a last one proposes every
        remaining pair across components. Buckets of any size are cut into tiles.
@@ -264,9 +265,9 @@ def near_copies(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) ->
     grouped = stages.write(nodes.select("node", "n", "p").join(groups, ["n", "p"]).select("node", "gid", "size"))
     heads = grouped.where("node = gid").select("gid", "size")
     posted = nodes.join(heads, nodes.node == heads.gid, "left_semi").select(F.col("node").alias("gid"), F.explode("prefix").alias("token"))
-    lists = posted.groupBy("token").agg(F.count(F.lit(1)).alias("groups"), F.bit_xor(F.xxhash64("gid")).alias("x1"), F.bit_xor(F.xxhash64("gid", F.lit(1))).alias("x2"))
-    tokens = stages.write(lists.where("groups > 1").groupBy("groups", "x1", "x2").agg(F.min("token").alias("token")).select("token"))
-    met = posted.join(tokens, "token").select(F.lit(0).alias("b0"), F.col("token").alias("b1"), "gid")
+    lists = posted.groupBy("token").agg(F.count(F.lit(1)).alias("groups"), F.bit_xor(F.xxhash64("gid")).alias("x1"), F.bit_xor(F.xxhash64("gid", F.lit(1))).alias("x2"), F.min("gid").alias("leader"))
+    tokens = stages.write(lists.where("groups > 1").groupBy("groups", "x1", "x2").agg(F.min("token").alias("token"), F.min("leader").alias("leader")).select("token", "leader"))
+    met = posted.join(tokens, "token").select(F.lit(0).alias("b0"), F.col("leader").alias("b1"), "gid").distinct()
     alone = heads.where("size > 1").select(F.lit(1).alias("b0"), F.col("gid").alias("b1"), "gid")
     expanded = stages.write(met.union(alone).join(grouped.select("gid", "node"), "gid").select("b0", "b1", "node"))
     sizes = expanded.groupBy("b0", "b1").agg(F.count(F.lit(1)).alias("m"))
