@@ -20,6 +20,8 @@ WIDTH, PERCENT = 5, 80
 CELLS = 1 << 20
 #: Counts travel in so many pieces.
 PIECES = 64
+#: Bits of a filter that a scan applies before a join (a megabyte, broadcast).
+MARKS = 1 << 23
 #: Documents of a bucket that meet in one task; a larger bucket is cut into tiles of this size.
 TILE = 1024
 
@@ -60,6 +62,57 @@ def shingle_counts(docs: DataFrame, width: int = WIDTH) -> np.ndarray:
     return table.reshape(-1)
 
 
+def _mark(x: np.ndarray) -> np.ndarray:
+    return (textkit.mix(x.astype(np.int64).view(np.uint64)) & np.uint64(MARKS - 1)).astype(np.int64)
+
+
+def _marks(keys: DataFrame) -> Broadcast:
+    """A filter of fixed size for one column of integers: whoever is not marked is not among them. It keeps most rows of a scan out of the join that follows."""
+
+    def marked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        bits = np.zeros(MARKS, dtype=bool)
+        for batch in batches:
+            bits[_mark(batch.column(0).to_numpy())] = True
+        parts = np.packbits(bits).reshape(PIECES, -1)
+        yield pa.RecordBatch.from_arrays([pa.array(range(PIECES), pa.int32()), pa.array([x.tobytes() for x in parts], pa.binary())], names=["piece", "bits"])
+
+    def joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        either: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for piece, bits in zip(batch.column("piece").to_pylist(), batch.column("bits"), strict=True):
+                either[piece] = either.get(piece, 0) | np.frombuffer(bits.as_buffer(), dtype=np.uint8)
+        yield pa.RecordBatch.from_arrays([pa.array(list(either), pa.int32()), pa.array([x.tobytes() for x in either.values()], pa.binary())], names=["piece", "bits"])
+
+    schema = "piece int, bits binary"
+    packed = np.zeros((PIECES, MARKS // 8 // PIECES), dtype=np.uint8)
+    for r in keys.mapInArrow(marked, schema).repartition(PIECES, "piece").mapInArrow(joined, schema).collect():
+        packed[r.piece] = np.frombuffer(r.bits, dtype=np.uint8)
+    return keys.sparkSession.sparkContext.broadcast(packed.reshape(-1))
+
+
+def _is_marked(marks: np.ndarray, x: np.ndarray) -> np.ndarray:
+    at = _mark(x)
+    return (marks[at >> 3] >> (7 - (at & 7)).astype(np.uint8) & 1).astype(bool)
+
+
+def _marked_only(df: DataFrame, column: str, keys: DataFrame) -> DataFrame:
+    """The rows, or elements of the list, that the filter of `keys` lets pass; a join on the column gives the same with these as with all."""
+    marks = _marks(keys)
+
+    def kept(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            x = batch.column(column)
+            if pa.types.is_list(x.type):
+                ok = _is_marked(marks.value, x.flatten().to_numpy())
+                upto = np.concatenate([[0], np.cumsum(ok)])[x.offsets.to_numpy() - x.offsets[0].as_py()]
+                left = pa.ListArray.from_arrays(pa.array(upto.astype(np.int32)), x.flatten().filter(pa.array(ok)))
+                yield pa.RecordBatch.from_arrays([left if n == column else batch.column(n) for n in batch.schema.names], names=batch.schema.names)
+            else:
+                yield batch.filter(pa.array(_is_marked(marks.value, x.to_numpy())))
+
+    return df.mapInArrow(kept, df.schema)
+
+
 class Sets:
     """The shingle sets of a chunk of texts in one order shared by all documents: rarer cells first, then by hash."""
 
@@ -98,20 +151,20 @@ def _signed(docs: DataFrame, counts: Broadcast, width: int, percent: int) -> Dat
             for a, b, data, offsets in textkit.texts(batch.column("text")):
                 s = Sets(data, offsets, width, counts.value)
                 upto = np.where(s.n > 0, s.n - -(-percent * s.n // 100) + 1, 0)
-                bits = np.maximum(64, 1 << np.ceil(np.log2(np.maximum(4 * s.n, 1))).astype(np.int64))
+                bits = np.maximum(64, 1 << np.ceil(np.log2(np.maximum(2 * s.n, 1))).astype(np.int64))
                 base = np.concatenate([[0], np.cumsum(bits)])
                 cells = base[s.row] + (textkit.mix(s.h) >> np.uint64(7) & (bits[s.row] - 1).astype(np.uint64)).astype(np.int64)
                 maps = np.packbits(np.bincount(cells, minlength=base[-1]).astype(np.uint8) & 1, bitorder="little")
                 edges = pa.py_buffer((base // 8).astype(np.int32))
                 yield pa.RecordBatch.from_arrays(
                     [
-                        batch.column("doc_id").slice(a, b - a), pa.array(s.n.astype(np.int64)), pa.array(s.digest(11)), pa.array(s.digest(23)), pa.array(s.digest(37, upto)),
+                        batch.column("doc_id").slice(a, b - a), pa.array(s.n.astype(np.int64)), pa.array(s.digest(11)), pa.array(s.digest(23)), pa.array(s.digest(37, upto)), pa.array(s.digest(53, upto)),
                         _list(s.h[s.place() < upto[s.row]], upto), pa.Array.from_buffers(pa.binary(), b - a, [None, edges, pa.py_buffer(maps)]),
                     ],
-                    names=["doc_id", "n", "d1", "d2", "p", "prefix", "bitmap"],
+                    names=["doc_id", "n", "d1", "d2", "p1", "p2", "prefix", "bitmap"],
                 )
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(signed, "doc_id long, n long, d1 long, d2 long, p long, prefix array<long>, bitmap binary")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(signed, "doc_id long, n long, d1 long, d2 long, p1 long, p2 long, prefix array<long>, bitmap binary")
 
 
 def _most_apart(nx: np.ndarray, ny: np.ndarray, percent: int) -> np.ndarray:
@@ -197,14 +250,17 @@ def _verified(docs: DataFrame, pairs: DataFrame, stages: Stages, width: int, per
     """The pairs whose whole shingle sets are similar enough."""
     ids = stages.write(pairs.select(F.explode(F.array("a", "b")).alias("wanted")).distinct())
 
+    marks = _marks(ids)
+
     def listed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
+            batch = batch.filter(pa.array(_is_marked(marks.value, batch.column("doc_id").to_numpy())))
             for a, b, data, offsets in textkit.texts(batch.column("text")):
                 s = Sets(data, offsets, width, None)
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(a, b - a), _list(s.h, s.n)], names=["doc_id", "items"])
 
-    wanted = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(ids, F.col("doc_id") == F.col("wanted"), "left_semi")
-    sets = stages.write(wanted.mapInArrow(listed, "doc_id long, items array<long>"))
+    known = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where("doc_id is not null")
+    sets = stages.write(known.mapInArrow(listed, "doc_id long, items array<long>").join(ids, F.col("doc_id") == F.col("wanted"), "left_semi"))
     left = pairs.join(sets.toDF("a", "x"), "a").join(sets.toDF("b", "y"), "b")
     common = left.select("a", "b", F.size("x").alias("nx"), F.size("y").alias("ny"), F.size(F.array_intersect("x", "y")).alias("shared"))
     links = stages.write(common.where((100 + percent) * F.col("shared") >= percent * (F.col("nx") + F.col("ny"))).select("a", "b").distinct())
@@ -212,8 +268,8 @@ def _verified(docs: DataFrame, pairs: DataFrame, stages: Stages, width: int, per
     return links
 
 
-def _tiles(buckets: DataFrame, nodes: DataFrame, labels: DataFrame | None, seed: int, all_pairs: bool) -> DataFrame:
-    """Rows of _candidates() for buckets (b0, b1, node, m) that hold different labels.
+def _tiles(buckets: DataFrame, labels: DataFrame | None, seed: int, all_pairs: bool) -> DataFrame:
+    """Rows of _candidates() for buckets (b0, b1, node, m, n, bitmap) that hold different labels.
 
     A bucket of more than TILE nodes is cut into chunks by hash. With `all_pairs` every two chunks meet; else each chunk stays alone.
     """
@@ -229,8 +285,7 @@ def _tiles(buckets: DataFrame, nodes: DataFrame, labels: DataFrame | None, seed:
         cut = cut.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
     else:
         cut = cut.withColumn("other", F.col("chunk"))
-    placed = cut.select("b0", "b1", F.least("chunk", "other").alias("i"), F.greatest("chunk", "other").alias("j"), "node", "label", "chunk")
-    return placed.join(nodes.select("node", "n", "bitmap"), "node")
+    return cut.select("b0", "b1", F.least("chunk", "other").alias("i"), F.greatest("chunk", "other").alias("j"), "node", "n", "label", "chunk", "bitmap")
 
 
 def near_copies(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
@@ -244,7 +299,7 @@ def near_copies(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) ->
     3. Groups meet in a bucket for each shingle of their prefixes; buckets with the same groups are the same bucket, and buckets with the same smallest
        group are joined into one, which holds the same pairs and more, but each once. Groups expand to their nodes;
        in each bucket pairs that sizes and bitmaps exclude are dropped. No pairs are made of what is known to be connected:
-       two rounds propose a forest for each bucket, whose links are verified on whole sets and joined to components, and a last one proposes every
+       one round (two, where a bucket is cut into tiles) proposes a forest for each bucket, whose links are verified on whole sets and joined to components, and a last one proposes every
        remaining pair across components. Buckets of any size are cut into tiles.
     4. Components of verified links are handed to all documents with the same set.
 
@@ -256,25 +311,27 @@ def near_copies(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) ->
     counts = spark.sparkContext.broadcast(shingle_counts(docs, width))
     signed = stages.write(_signed(docs, counts, width, percent))
     members = stages.write(signed.select("doc_id", "n", "d1", "d2"))
-    nodes = stages.write(
-        signed.where("n > 0 and doc_id is not null").groupBy("d1", "d2", "n")
-        .agg(F.min("doc_id").alias("node"), F.first("p").alias("p"), F.first("prefix").alias("prefix"), F.first("bitmap").alias("bitmap"))
-    )
+    known = signed.where("n > 0 and doc_id is not null")
+    nodes = stages.write(known.groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("node"), F.first("p1").alias("p1"), F.first("p2").alias("p2"), F.first("bitmap").alias("bitmap")))
+    groups = stages.write(known.groupBy("n", "p1", "p2").agg(F.min("doc_id").alias("gid"), F.first("prefix").alias("prefix")))
     stages.drop(signed)
-    groups = nodes.groupBy("n", "p").agg(F.min("node").alias("gid"), F.count(F.lit(1)).alias("size"))
-    grouped = stages.write(nodes.select("node", "n", "p").join(groups, ["n", "p"]).select("node", "gid", "size"))
-    heads = grouped.where("node = gid").select("gid", "size")
-    posted = nodes.join(heads, nodes.node == heads.gid, "left_semi").select(F.col("node").alias("gid"), F.explode("prefix").alias("token"))
+    grouped = stages.write(nodes.select("node", "n", "p1", "p2").join(groups.select("n", "p1", "p2", "gid"), ["n", "p1", "p2"]).select("node", "gid"))
+    posted = groups.select("gid", F.explode("prefix").alias("token"))
     lists = posted.groupBy("token").agg(F.count(F.lit(1)).alias("groups"), F.bit_xor(F.xxhash64("gid")).alias("x1"), F.bit_xor(F.xxhash64("gid", F.lit(1))).alias("x2"), F.min("gid").alias("leader"))
     tokens = stages.write(lists.where("groups > 1").groupBy("groups", "x1", "x2").agg(F.min("token").alias("token"), F.min("leader").alias("leader")).select("token", "leader"))
-    met = posted.join(tokens, "token").select(F.lit(0).alias("b0"), F.col("leader").alias("b1"), "gid").distinct()
-    alone = heads.where("size > 1").select(F.lit(1).alias("b0"), F.col("gid").alias("b1"), "gid")
-    expanded = stages.write(met.union(alone).join(grouped.select("gid", "node"), "gid").select("b0", "b1", "node"))
+    few = _marked_only(groups.select("gid", "prefix"), "prefix", tokens.select("token")).select("gid", F.explode("prefix").alias("token"))
+    met = few.join(tokens, "token").select(F.lit(0).alias("b0"), F.col("leader").alias("b1"), "gid").distinct()
+    alone = grouped.groupBy("gid").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select(F.lit(1).alias("b0"), F.col("gid").alias("b1"), "gid")
+    expanded = stages.write(met.union(alone).join(grouped, "gid").select("b0", "b1", "node"))
+    stages.drop(groups)
     sizes = expanded.groupBy("b0", "b1").agg(F.count(F.lit(1)).alias("m"))
-    buckets = stages.write(expanded.join(sizes, ["b0", "b1"]))
+    maps = _marked_only(nodes.select("node", "n", "bitmap"), "node", expanded.select("node"))
+    buckets = stages.write(expanded.join(sizes, ["b0", "b1"]).join(maps, "node"))
+    cut = buckets.agg(F.max("m")).first()[0]
+    turns = [(1, False), (2, False), (3, True)] if (cut or 0) > TILE else [(1, False), (3, True)]  # the second forest only reaches over chunks
     links = labels = None
-    for turn, (seed, all_pairs) in enumerate(((1, False), (2, False), (3, True))):
-        pairs = stages.write(_candidates(_tiles(buckets, nodes, labels, seed, all_pairs), not all_pairs, percent))
+    for turn, (seed, all_pairs) in enumerate(turns):
+        pairs = stages.write(_candidates(_tiles(buckets, labels, seed, all_pairs), not all_pairs, percent))
         found = _verified(docs, pairs, stages, width, percent)
         links = found if links is None else links.union(found)
         if turn == 0 or not found.isEmpty():
