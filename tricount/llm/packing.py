@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import os
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -15,8 +16,8 @@ from tricount.llm import textkit
 
 #: Tokens of a window, and the id that ends a document.
 WINDOW, END_ID = 4096, 2
-#: Distinct words whose ids a task remembers before it starts over.
-CACHE_WORDS = 400_000
+#: Distinct words whose ids a worker remembers before it starts over.
+CACHE_WORDS = 1_000_000
 #: Partially filled windows held at once; at this many they are closed early, with nothing lost.
 OPEN_WINDOWS = 4096
 
@@ -46,9 +47,8 @@ class WordTokens:
         size = np.array([len(x) for x in found], dtype=np.int64)
         at = len(self.flat) + np.cumsum(size) - size
         self.flat = np.concatenate([self.flat, np.array([i for x in found for i in x], dtype=np.uint32)])
-        known = np.concatenate([self.known, hashes])
-        order = np.argsort(known, kind="stable")
-        self.known, self.at, self.size = known[order], np.concatenate([self.at, at])[order], np.concatenate([self.size, size])[order]
+        place = np.searchsorted(self.known, hashes)
+        self.known, self.at, self.size = np.insert(self.known, place, hashes), np.insert(self.at, place, at), np.insert(self.size, place, size)
 
     def __call__(self, data: np.ndarray, offsets: np.ndarray) -> list[np.ndarray]:
         """The ids of each text, END_ID last."""
@@ -71,6 +71,12 @@ class WordTokens:
         return [np.concatenate([flat[a:b], end]) for a, b in zip(upto[:-1].tolist(), upto[1:].tolist(), strict=True)]
 
 
+@lru_cache(maxsize=1)
+def word_tokens(path: str) -> WordTokens:
+    """One for each worker process, so that its tasks share what it remembers."""
+    return WordTokens(path)
+
+
 class Packer:
     """Places pieces of documents into windows of fixed length, one document after another.
 
@@ -177,7 +183,7 @@ def pack(docs: DataFrame, tokenizer_path: str, window: int = WINDOW) -> DataFram
             return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*packer.taken(), strict=True), types, strict=True)], names=columns)
 
         for batch in batches:
-            tokens = tokens or WordTokens(tokenizer_path)
+            tokens = tokens or word_tokens(tokenizer_path)
             ids = batch.column("doc_id").to_pylist()
             for a, _, data, offsets in textkit.texts(batch.column("text")):
                 for k, found in enumerate(tokens(data, offsets)):
