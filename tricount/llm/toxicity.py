@@ -271,9 +271,8 @@ class _Words:
         if new.any():
             k = np.flatnonzero(new)
             made = self.model.vectors(texts.hash[k], texts.spelled[:, k], texts.mask[k], self.model.evidence([x[k] for x in texts.keys]))[0]
-            self.hash, self.vector = np.concatenate([self.hash, texts.hash[k]]), np.concatenate([self.vector, made])
-            order = np.argsort(self.hash, kind="stable")
-            self.hash, self.vector = self.hash[order], self.vector[order]
+            place = np.searchsorted(self.hash, texts.hash[k])
+            self.hash, self.vector = np.insert(self.hash, place, texts.hash[k]), np.insert(self.vector, place, made, axis=0)
         return self.vector[np.searchsorted(self.hash, texts.hash)]
 
 
