@@ -15,19 +15,25 @@ from tricount.functions.measures import pairs_of, travel_sums
 from tricount.operators import prep
 from tricount.operators.split import REPLICATE_LIMIT
 
+#: List elements for each 64-bit word from which on bit sets beat lists (measured: 5 times faster at 10 and more, 3 times slower at 1).
+DENSE = 4
+
 
 def plan_statistics(edges: DataFrame) -> dict[str, int]:
-    """E, the longest list, the list elements that travel by join order, and the oriented wedges, from two actions."""
+    """E, the longest list, the list elements that travel by join order, and the oriented wedges, and the 64-bit words that lists fill as bit sets, from three actions."""
     o = prep.orient(edges)
     lists = o.groupBy("src").agg(F.count(F.lit(1)).alias("n"))
     size = lists.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("edges"), F.coalesce(F.max("n"), F.lit(0)).alias("max_out"), F.coalesce(F.sum(pairs_of(F.col("n"))), F.lit(0)).alias("wedges")).first()
     travel = travel_sums(o).first()
-    return {"edges": size.edges, "max_out": size.max_out, "wedges": int(size.wedges), "src_first": travel.src_first, "dst_first": travel.dst_first}
+    words = o.select("src", F.expr("dst DIV 64")).distinct().count()
+    return {"words": words, "edges": size.edges, "max_out": size.max_out, "wedges": int(size.wedges), "src_first": travel.src_first, "dst_first": travel.dst_first}
 
 
 def choose(edges: DataFrame, limit: int = REPLICATE_LIMIT) -> tuple[str, dict]:
-    """(method, options): the grouped form where its lists can be broadcast or sources travel less, else lists joined at the target first."""
+    """(method, options): bit sets where lists are dense; else the grouped form where its lists can be broadcast or sources travel less, else lists joined at the target first."""
     s = plan_statistics(edges)
+    if DENSE * s["words"] <= s["edges"]:
+        return "forward_bitmap", {}
     if 8 * s["edges"] <= limit or s["src_first"] <= s["dst_first"]:
         return "forward_grouped", {}
     return "forward_lists", {"first": "dst"}
