@@ -7,13 +7,14 @@ lower-casing A-Z only; a null text counts as empty.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 
 #: Bytes of text handled at a time; a longer text forms a chunk of its own.
-CHUNK_BYTES = 1 << 20
+CHUNK_BYTES = 1 << 19
 #: Texts handled at a time.
 CHUNK_ROWS = 1024
 
@@ -72,6 +73,15 @@ def chunks(offsets: np.ndarray, limit: int = CHUNK_BYTES) -> Iterator[tuple[int,
         row = to
 
 
+def release() -> None:
+    """Hands freed memory back to the system: idle worker processes outlive the stage they worked for."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        return
+
+
 class Words:
     """The words of the texts of some rows.
 
@@ -133,3 +143,5 @@ def texts(column: pa.Array | pa.ChunkedArray, limit: int = CHUNK_BYTES) -> Itera
     data, offsets = column_bytes(column)
     for a, b in chunks(offsets, limit):
         yield a, b, data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
+    del data, offsets
+    release()
