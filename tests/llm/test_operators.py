@@ -166,6 +166,14 @@ def test_secrets(spark, docs, none):
     found = secrets.scan_secrets(spark.createDataFrame([(1, text)], "doc_id long, text string"), forest).first()
     assert [(f.position, f.length) for f in found.findings] == [(10, 40)] and found.n_candidates == 3
     assert secrets.scan_secrets(docs, forest).count() == len(rows()) and secrets.scan_secrets(none, forest).count() == 0
+    key = hashlib.sha256(b"key").hexdigest()[:40]
+    many = "É" + "".join(f' ü {"commit" if k % 3 else "token"} = "{key[: 40 - k % 7]}"' for k in range(700)) + " end"
+    scanned = secrets.scan_secrets(spark.createDataFrame([(1, many), (2, key), (3, f"token={key}")], "doc_id long, text string"), forest)
+    found = {r.doc_id: r for r in scanned.collect()}
+    spots = [(m.start(1) + 1, len(m[1])) for m in re.finditer('token = "([0-9a-f]+)"', many)]
+    assert set(spots) <= {(f.position, f.length) for f in found[1].findings} and found[1].n_candidates == 700
+    assert all(hashlib.sha256(many[f.position - 1 :][: f.length].encode()).hexdigest() == f.sha256 for f in found[1].findings)
+    assert [(f.position, f.length) for f in found[3].findings] == [(7, 40)]
     x = np.random.default_rng(0).random((5, len(forest.names)))
     table = spark.createDataFrame([tuple(map(float, r)) for r in x], ", ".join(f"{n} double" for n in forest.names)).selectExpr("struct(*) AS f")
     assert np.allclose([r[0] for r in table.selectExpr(forest.sql("f")).collect()], forest.predict(x), atol=1e-5)

@@ -46,9 +46,15 @@ _FEATURES = {
 }
 
 
+#: A candidate with what stands before it.
+_MATCH = f"(?:{_LEAD})?{_TOKEN}"
+#: Candidates whose lengths are added up at a time, so that the work of placing findings grows evenly with a text.
+_BLOCK = 256
+
+
 def _candidates(text: str) -> str:
     """SQL: the array of (w: what stands before, c: the token) in a text."""
-    found = f"regexp_extract_all(coalesce({text}, ''), '(?:{_LEAD})?{_TOKEN}', 0)"
+    found = f"regexp_extract_all(coalesce({text}, ''), '{_MATCH}', 0)"
     token = f"regexp_extract(m, '({_TOKEN})$', 1)"
     return f"transform({found}, m -> named_struct('w', substr(m, 1, length(m) - length({token})), 'c', {token}))"
 
@@ -95,16 +101,25 @@ def train(findings: DataFrame, bound: int = 20_000) -> Forest:
 def scan_secrets(docs: DataFrame, forest: Forest, threshold: float = THRESHOLD) -> DataFrame:
     """Per document: doc_id, n_candidates, and findings, an array of (position, length, score, sha256) in the order of the text.
 
-    position is where the token's value first stands in the text (code points, from 1); the value itself is only given as its hash. Null and empty texts
-    have none. Rows are independent, so repeated rows agree and a null id passes through. An empty table gives no rows. Other columns are ignored.
+    position is where the token stands in the text (code points, from 1), so a value that stands there twice has two findings; the value itself is only
+    given as its hash. Null and empty texts have none. Rows are independent, so repeated rows agree and a null id passes through. An empty table gives no
+    rows. Other columns are ignored.
+
+    Positions are sums of lengths: the matches and the gaps between them make up the text. They are only formed where a text has a finding.
     """
     told = docs.selectExpr("CAST(doc_id AS BIGINT) AS doc_id", "text", f"{_candidates('text')} AS found")
     scored = told.withColumn("described", F.expr(f"transform(found, x -> named_struct('w', x.w, 'c', x.c, 'f', {_described('x')}))"))
-    judged = scored.withColumn("judged", F.expr(f"transform(described, x -> named_struct('c', x.c, 'score', {forest.sql('x.f')}))"))
+    judged = scored.withColumn("judged", F.expr(f"transform(described, (x, i) -> named_struct('w', x.w, 'c', x.c, 'i', i, 'score', {forest.sql('x.f')}))"))
     kept = judged.withColumn("kept", F.expr(f"filter(judged, x -> x.score >= {threshold}D)"))
-    return kept.selectExpr(
+    gaps = f"CASE WHEN size(kept) > 0 THEN transform(split(text, '{_MATCH}', -1), x -> CAST(length(x) AS BIGINT)) ELSE CAST(array() AS ARRAY<BIGINT>) END"
+    steps = "zip_with(gaps, found, (g, x) -> g + coalesce(length(x.w) + length(x.c), 0))"
+    block = f"slice(steps, b * {_BLOCK} + 1, {_BLOCK})"
+    starts = f"aggregate(sequence(0, CAST(size(steps) DIV {_BLOCK} AS INT)), CAST(array(0) AS ARRAY<BIGINT>), (a, b) -> concat(a, array(element_at(a, -1) + aggregate({block}, 0L, (s, x) -> s + x))))"
+    placed = kept.withColumn("gaps", F.expr(gaps)).withColumn("steps", F.expr(steps)).withColumn("starts", F.expr(starts))
+    before = f"starts[CAST(x.i DIV {_BLOCK} AS INT)] + aggregate(slice(steps, CAST(x.i DIV {_BLOCK} AS INT) * {_BLOCK} + 1, x.i % {_BLOCK}), 0L, (s, y) -> s + y)"
+    return placed.selectExpr(
         "doc_id", "CAST(size(found) AS BIGINT) AS n_candidates",
-        "transform(kept, x -> named_struct('position', CAST(instr(text, x.c) AS BIGINT), 'length', CAST(length(x.c) AS BIGINT), 'score', x.score, 'sha256', sha2(x.c, 256))) AS findings",
+        f"transform(kept, x -> named_struct('position', {before} + gaps[x.i] + length(x.w) + 1, 'length', CAST(length(x.c) AS BIGINT), 'score', x.score, 'sha256', sha2(x.c, 256))) AS findings",
     )
 
 
