@@ -11,8 +11,10 @@ from hypothesis import strategies as st
 from tricount import queries as Q
 from tricount.functions import kernels, measures
 from tricount.operators import count, listing, prep, split
-from tricount.plans import planner
+from tricount.plans import planner, studies
 from tricount.sources import generators as gen
+from tricount.sources import loaders
+from tricount.sources.rmat_source import RmatSource, read_rmat
 
 SF = "/root/testdata/sf0.001"
 
@@ -79,6 +81,50 @@ def test_plans_give_the_same_rows_and_lists_stay_short(spark):
     assert r.lazy_reads <= r.eager_reads and r.steps <= measures.work_bound(e).first().forward
 
 
+def test_sums_and_ids_over_crowded_keys(spark):
+    rows = [(k if k < 90 else 10**12 + k, k % 5) for k in range(100)] + [(-7, 3)]
+    got = sorted(prep.prefix_sum(spark.createDataFrame(rows, "k long, x long").repartition(5), "k", "x").select("k", "x", "running", "before").collect())
+    upto = list(itertools.accumulate(x for _, x in sorted(rows)))
+    assert [(r.k, r.running, r.before) for r in got] == [(k, n, n - x) for (k, x), n in zip(sorted(rows), upto, strict=True)]
+    words = [None, "", "é", *[f"customer{k}" for k in range(200)], "customer7"]
+    ids = prep.dense_ids(spark.createDataFrame([(w,) for w in words], "w string").repartition(4), "w").collect()
+    assert sorted((r.id, r.key) for r in ids) == list(enumerate(sorted({w for w in words if w is not None}, key=str.encode)))
+    assert prep.dense_ids(spark.createDataFrame([], "w string"), "w").count() == 0
+    array = spark.createDataFrame([(0, 3), (3, 0)], "src long, dst long")
+    assert sorted(map(tuple, prep.node_array(array, fill_isolated=True).collect())) == [(0, 0, 1), (1, 1, 0), (2, 1, 0), (3, 1, 1)]
+    assert prep.node_array(array.limit(0), fill_isolated=True).count() == 0
+
+
+def test_generated_source_at_once_and_as_stream(spark):
+    want = sorted(map(tuple, gen.rmat_pairs(gen.F.col("id"), spark.range(16 << 5), 5).collect()))
+    assert sorted(map(tuple, read_rmat(spark, 5, partitions=3).collect())) == want
+    stream = RmatSource({"scale": "5", "rowsPerBatch": "200"}).simpleStreamReader(None)
+    at, rows = stream.initialOffset(), []
+    while at["next"] < 16 << 5:
+        found, at = stream.read(at)
+        rows += found
+    assert sorted(rows) == want
+
+
+def test_edge_lists_survive_files_and_tables(spark, tmp_path):
+    e = graph(spark, [(1, 2), (2, 3), (1, 3), (9, 1)])
+    for fmt in ("csv", "parquet", "json", "orc"):
+        loaders.write_edge_list(e, f"{tmp_path}/{fmt}", fmt)
+        assert sorted(loaders.edges_from_file(spark, f"{tmp_path}/{fmt}", fmt).collect()) == sorted(e.collect())
+    e.toDF("a", "b").createOrReplaceTempView("links")
+    assert sorted(loaders.edges_from_table(spark, "links", "a", "b").collect()) == sorted(e.collect())
+
+
+def test_studies_run_and_agree(spark):
+    g = studies.Graph("k12", gen.fixture_graph(spark, "complete", 12), 1)
+    runs = [r for f in studies.STUDIES.values() for r in f(g)]
+    assert {r["study"] for r in runs} == set(studies.STUDIES)
+    assert {r["triangles"] for r in runs} - {None} == {comb(12, 3)}
+    curve = studies.kronecker(spark, (3, 4, 5), 1)
+    assert studies.run_records(spark, runs + curve).count() == len(runs) + 6
+    assert studies.proportional(spark, curve).count() == 3
+
+
 def test_truss_and_clustering(spark):
     e = graph(spark, [(a, b) for a in range(5) for b in range(a)] + [(4, 9), (9, 10)])
     assert sorted(map(tuple, listing.truss(e, 5).collect())) == sorted((b, a) for a in range(5) for b in range(a))

@@ -80,6 +80,19 @@ def work_bound(edges: DataFrame) -> DataFrame:
     return forward.crossJoin(whole)  # one row each
 
 
+def list_reuse(edges: DataFrame) -> DataFrame:
+    """(fetches, lists, reuse, bytes): lists that counting fetches, how many there are, how often each is fetched, and the bytes of all fetches at 8 for each id.
+
+    What a device's cache rate and memory traffic are about: the higher the reuse, the more a list that stays near saves.
+    """
+    o = prep.orient(edges)
+    d = o.groupBy("src").agg(F.count(F.lit(1)).alias("n"))
+    both = o.join(d.toDF("src", "du"), "src").join(d.toDF("dst", "dv"), "dst")
+    fetched = both.agg((2 * F.count(F.lit(1))).alias("fetches"), (8 * F.coalesce(F.sum(F.col("du") + F.col("dv")), F.lit(0))).alias("bytes"))
+    there = d.agg(F.count(F.lit(1)).alias("lists"))
+    return fetched.crossJoin(there).select("fetches", "lists", F.round(F.try_divide("fetches", "lists"), 6).alias("reuse"), "bytes")  # one row each
+
+
 def travel_sums(oriented: DataFrame) -> DataFrame:
     """(src_first, dst_first): list elements that travel through the second join, by which end's lists are joined first."""
     d = oriented.groupBy("src").agg(F.count(F.lit(1)).alias("n"))

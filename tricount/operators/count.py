@@ -49,6 +49,24 @@ def grouped_total(lists: DataFrame) -> DataFrame:
     return _total("n", both.select(F.size(F.array_intersect("nu", "nv")).cast("long").alias("n")))
 
 
+def forward_salted(edges: DataFrame, salt_over: int = 1 << 16, order: str = "degree") -> DataFrame:
+    """The list count with heavy lists cut up, so that no row holds much more than `salt_over` ids whatever the order of vertices.
+
+    A vertex with n out-neighbours deals them by hash to a power of two of parts, one where n is small. The parts of the finer cut nest in those of the coarser one, so an
+    edge meets each part of the finer list with the one part of the other list that can share ids with it.
+    """
+    o = prep.orient(edges, order=order)
+    parts = o.groupBy(F.col("src").alias("v")).agg(F.count(F.lit(1)).alias("n")).select("v", F.expr(f"shiftleft(1, CAST(ceil(log2(greatest(n / {salt_over}D, 1D))) AS INT))").alias("k"))
+    within = lambda value, k: value.bitwiseAND(k - 1)
+    dealt = o.join(parts.toDF("src", "k"), "src").select(F.col("src").alias("v"), within(F.xxhash64("dst"), F.col("k")).alias("part"), "dst")
+    lists = dealt.groupBy("v", "part").agg(F.collect_list("dst").alias("nbrs"))
+    both = o.join(parts.toDF("src", "ku"), "src").join(parts.toDF("dst", "kv"), "dst")
+    spread = both.withColumn("part", F.explode(F.sequence(F.lit(0), F.greatest("ku", "kv") - 1)))
+    met = spread.select("src", "dst", within(F.col("part"), F.col("ku")).cast("long").alias("pu"), within(F.col("part"), F.col("kv")).cast("long").alias("pv"))
+    joined = met.join(lists.toDF("src", "pu", "nu"), ["src", "pu"]).join(lists.toDF("dst", "pv", "nv"), ["dst", "pv"])
+    return _total("n", joined.select(F.size(F.array_intersect("nu", "nv")).cast("long").alias("n")))
+
+
 def forward_exploded(edges: DataFrame) -> DataFrame:
     """One row per list element: several rows work on one edge, each asking for one closing edge by a semi-join."""
     o = prep.orient(edges)
@@ -110,14 +128,15 @@ def matrix(edges: DataFrame) -> DataFrame:
     return _total("x", product.join(l.toDF("i", "j"), ["i", "j"]))
 
 
-def hub_hybrid(edges: DataFrame, hubs: int = 256) -> DataFrame:
-    """Dense counting among the `hubs` highest ranks, lists for the rest.
+def hub_hybrid(edges: DataFrame, hubs: int = 256, degree_over: int | None = None) -> DataFrame:
+    """Dense counting among the `hubs` highest ranks (of these, with `degree_over`, only vertices of a higher degree), lists for the rest.
 
     Triangles whose lowest vertex is no hub come from the lists. The others lie among hubs wholly, a block of at most hubs^2 / 2 edges, which one task
     multiplies as a matrix.
     """
     deg = prep.degrees(edges)
-    top = deg.orderBy(F.desc("deg"), F.desc("v")).limit(hubs).select(F.col("v").alias("src"), F.lit(True).alias("hub"))
+    high = deg if degree_over is None else deg.where(F.col("deg") > degree_over)
+    top = high.orderBy(F.desc("deg"), F.desc("v")).limit(hubs).select(F.col("v").alias("src"), F.lit(True).alias("hub"))
     o = prep.orient(edges, deg)
     marked = o.join(F.broadcast(top), "src", "left")
     below = attach_lists(marked.where("hub IS NULL").select("src", "dst"), prep.out_lists(o)).select(F.size(F.array_intersect("nu", "nv")).cast("long").alias("n"))
@@ -209,7 +228,7 @@ def forward_dynamic(edges: DataFrame, limit: int = LOCAL_LIMIT) -> DataFrame:
 
 
 METHODS = {
-    "forward_lists": forward_lists, "forward_grouped": forward_grouped, "forward_exploded": forward_exploded, "forward_bitmap": forward_bitmap,
+    "forward_lists": forward_lists, "forward_grouped": forward_grouped, "forward_salted": forward_salted, "forward_exploded": forward_exploded, "forward_bitmap": forward_bitmap,
     "forward_paths": forward_paths, "forward_wedges": forward_wedges, "edge_iterator": edge_iterator, "node_iterator": node_iterator, "brute_force": brute_force,
     "matrix": matrix, "hub_hybrid": hub_hybrid, "forward_local": forward_local, "forward_dynamic": forward_dynamic,
 }

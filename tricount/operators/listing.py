@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tricount.functions.lineage import checkpointed
 from tricount.operators import prep
 from tricount.operators.count import triangles_of
 from tricount.sources.generators import draw
@@ -33,11 +34,11 @@ def top_vertices(edges: DataFrame, k: int = 10) -> DataFrame:
 
 
 def truss(edges: DataFrame, k: int, max_rounds: int = 50) -> DataFrame:
-    """Edges of the k-truss: each is in k - 2 triangles of what is left. Rounds cut their lineage with checkpoint()."""
-    left = edges.checkpoint()
+    """Edges of the k-truss: each is in k - 2 triangles of what is left. Rounds cut their lineage."""
+    left = checkpointed(edges)
     n = left.count()
     for _ in range(max_rounds):
-        after = edge_support(left).where(F.col("support") >= k - 2).select("u", "v").checkpoint()
+        after = checkpointed(edge_support(left).where(F.col("support") >= k - 2).select("u", "v"))
         m = after.count()
         left = after
         if m == n:

@@ -10,6 +10,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from tricount.functions.lineage import checkpointed
+
 #: Ids below this can be packed in pairs into one signed 64-bit key.
 PACK_LIMIT = 1 << 31
 
@@ -88,27 +90,23 @@ def sort_edges(array: DataFrame, key: str = "pair", layout: str = "src_major", t
     return packed.select(src.alias("src"), dst.alias("dst"))
 
 
-def prefix_sum(df: DataFrame, order: str, value: str, buckets: int = 256) -> DataFrame:
-    """df with `running`, the sum of `value` over all rows up to this one by `order` (unique integers), and `before`, without this one.
+def prefix_sum(df: DataFrame, order: str, value: str) -> DataFrame:
+    """df with `running`, the sum of `value` over all rows up to this one by `order` (unique), and `before`, without this one.
 
-    Two levels: rows fall into ranges of `order`, sums of ranges add up over that small table, and each range adds up by itself.
+    Two levels: rows fall into even ranges of `order`, sums of ranges add up over that small table, and each range adds up by itself.
     """
-    ends = df.agg(F.min(order).alias("lo"), F.max(order).alias("hi"))
-    cut = df.crossJoin(F.broadcast(ends)).withColumn("range", F.expr(f"CAST((`{order}` - lo) DIV ((hi - lo) DIV {buckets} + 1) AS INT)")).drop("lo", "hi")
-    sums = cut.groupBy("range").agg(F.sum(value).alias("part"))  # at most `buckets` rows
-    starts = sums.select("range", F.coalesce(F.sum("part").over(W.orderBy("range").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("start"))
-    inside = F.sum(value).over(W.partitionBy("range").orderBy(order).rowsBetween(W.unboundedPreceding, W.currentRow))
-    out = cut.join(F.broadcast(starts), "range").withColumn("running", F.col("start") + inside)
-    return out.withColumn("before", F.col("running") - F.col(value)).drop("range", "start")
+    cut = _ranged(df, order)
+    inside = F.sum(value).over(W.partitionBy("__part").orderBy("__at").rowsBetween(W.unboundedPreceding, W.currentRow))
+    out = cut.join(F.broadcast(_starts(cut, F.sum(value))), "__part").withColumn("running", F.col("__start") + inside)
+    return out.withColumn("before", F.col("running") - F.col(value)).drop("__part", "__at", "__start")
 
 
 def node_array(array: DataFrame, fill_isolated: bool = False) -> DataFrame:
-    """(v, offset, deg): where each vertex's run starts among rows sorted by src, and its length. `fill_isolated` adds ids from 0 to the largest without a row."""
+    """(v, offset, deg): where each vertex's run starts among rows sorted by src, and its length. `fill_isolated` adds ids from 0 to the largest without a row; it asks for the largest id first."""
     runs = array.groupBy(F.col("src").alias("v")).agg(F.count(F.lit(1)).alias("deg"))
     if fill_isolated:
-        top = array.agg(F.max(F.greatest("src", "dst")).alias("top"))
-        ids = top.where("top is not null").select(F.explode(F.sequence(F.lit(0).cast("long"), F.col("top"))).alias("v"))
-        runs = ids.join(runs, "v", "left").select("v", F.coalesce("deg", F.lit(0).cast("long")).alias("deg"))
+        top = array.agg(F.max(F.greatest("src", "dst"))).first()[0]
+        runs = array.sparkSession.range(0 if top is None else top + 1).toDF("v").join(runs, "v", "left").select("v", F.coalesce("deg", F.lit(0).cast("long")).alias("deg"))
     return prefix_sum(runs, "v", "deg").select("v", F.col("before").alias("offset"), "deg")
 
 
@@ -185,31 +183,43 @@ def to_edge_array(adjacency: DataFrame) -> DataFrame:
     return adjacency.select(F.col("v").alias("src"), F.explode("nbrs").alias("dst"))
 
 
-def dense_ids(keys: DataFrame, column: str, prefix: int = 2) -> DataFrame:
-    """(key, id): ids from 0 in the order of the keys (strings by bytes). Ranks are counted within the keys that share their first characters, whose counts add up over a small table."""
-    distinct = keys.select(F.col(column).alias("key")).where("key is not null").distinct()
-    cut = distinct.withColumn("head", F.substring(F.col("key").cast("string"), 1, prefix))
-    counts = cut.groupBy("head").agg(F.count(F.lit(1)).alias("n"))
-    starts = counts.select("head", F.coalesce(F.sum("n").over(W.orderBy("head").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("start"))
-    return cut.join(starts, "head").select("key", (F.col("start") + F.row_number().over(W.partitionBy("head").orderBy("key")) - 1).alias("id"))
+def _ranged(df: DataFrame, order: str) -> DataFrame:
+    """df in even ranges of `order`, one for each partition and sorted within, with the range's number `__part` and the place in it, `__at`.
+
+    Ranges are drawn from a sample of the rows, so keys that crowd together make no range large. They are drawn once: the rows are checkpointed.
+    """
+    cut = df.repartitionByRange(order).sortWithinPartitions(order)
+    return checkpointed(cut.withColumn("__part", F.spark_partition_id()).withColumn("__at", F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1))))
+
+
+def _starts(cut: DataFrame, part_sum: Column) -> DataFrame:
+    """(__part, __start): what the ranges before hold; one row for each partition, so it may be broadcast and the window sees few rows."""
+    sums = cut.groupBy("__part").agg(part_sum.alias("n"))
+    return sums.select("__part", F.coalesce(F.sum("n").over(W.orderBy("__part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("__start"))
+
+
+def dense_ids(keys: DataFrame, column: str) -> DataFrame:
+    """(key, id): ids from 0 in the order of the keys (strings by bytes), nulls left out. A key's id is its place in its range and what the ranges before hold."""
+    cut = _ranged(keys.select(F.col(column).alias("key")).where("key is not null").distinct(), "key")
+    return cut.join(F.broadcast(_starts(cut, F.count(F.lit(1)))), "__part").select("key", (F.col("__start") + F.col("__at")).alias("id"))
 
 
 def degeneracy_order(edges: DataFrame, rounds: int = 1000) -> DataFrame:
     """(v, rank): the round in which a vertex falls, when all vertices of degree at most k go at once and k is the smallest degree left.
 
-    Cuts its lineage each round with checkpoint(), which needs a checkpoint folder.
+    Cuts its lineage each round.
     """
-    left, out, turn, floor = edges.checkpoint(), None, 0, 0
+    left, out, turn, floor = checkpointed(edges), None, 0, 0
     while turn < rounds:
         deg = degrees(left)
         least = deg.agg(F.min("deg")).first()[0]
         if least is None:
             break
         floor = max(floor, least)
-        fall = deg.where(F.col("deg") <= floor).select("v", F.lit(turn).cast("long").alias("rank")).checkpoint()
+        fall = checkpointed(deg.where(F.col("deg") <= floor).select("v", F.lit(turn).cast("long").alias("rank")))
         out = fall if out is None else out.union(fall)
         gone = fall.select("v")
-        left = left.join(gone.toDF("u"), "u", "left_anti").join(gone, "v", "left_anti").select("u", "v").checkpoint()
+        left = checkpointed(left.join(gone.toDF("u"), "u", "left_anti").join(gone, "v", "left_anti").select("u", "v"))
         turn += 1
     rest = degrees(left).select("v", F.lit(turn).cast("long").alias("rank"))
     everyone = degrees(edges).select("v")

@@ -14,6 +14,7 @@ from tricount.operators import count, listing, prep, split
 from tricount.plans import planner
 from tricount.sources import generators as gen
 from tricount.sources.loaders import GRAPHS, copurchase, edges_from_projection, load_graph, table
+from tricount.sources.rmat_source import read_rmat
 from tricount.streaming import streams
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -152,21 +153,22 @@ _METHODS: dict[str, Callable[[DataFrame], DataFrame]] = {
     "lists": count.forward_lists, "lists_src_first": partial(count.forward_lists, first="src"), "grouped": count.forward_grouped, "merge": partial(count.forward_lists, kernel="merge"),
     "merge_eager": partial(count.forward_lists, kernel="merge_eager"), "gallop": partial(count.forward_lists, kernel="gallop"), "bitmap": count.forward_bitmap, "exploded": count.forward_exploded,
     "paths": count.forward_paths, "wedges": count.forward_wedges, "edge_iterator": count.edge_iterator, "node_iterator": count.node_iterator, "brute": count.brute_force, "matrix": count.matrix,
-    "hub_hybrid": count.hub_hybrid, "partition_multiset": partial(split.count_partitioned, rho=4), "partition_weighted": partial(split.count_partitioned, rho=4, variant="weighted"),
+    "hub_hybrid": count.hub_hybrid, "hub_degree": partial(count.hub_hybrid, degree_over=20), "salted": partial(count.forward_salted, salt_over=8), "partition_multiset": partial(split.count_partitioned, rho=4), "partition_weighted": partial(split.count_partitioned, rho=4, variant="weighted"),
     "replicated": lambda e: split.count_replicated(e, 4).agg(F.sum("triangles").alias("triangles")), "local": count.forward_local, "auto": partial(count.triangle_total, method="auto"),
     "adjacency_input": lambda e: count.adjacency_input(prep.to_adjacency(prep.edge_array(e))), "forward_dynamic": count.forward_dynamic,
     "id_order": partial(count.forward_grouped, order="id"), "random_order": partial(count.forward_grouped, order="random"),
 }
 for _name, _f in _METHODS.items():
     add(f"tri_{_name}", _on(MAIN, _f), on(MAIN, TOTAL))
-add("tri_degeneracy", _on(SMALL, lambda e: _with_checkpoints(e, partial(count.forward_grouped, order="degeneracy"))), on(SMALL, TOTAL))
+add("tri_degeneracy", _on(SMALL, lambda e: count.forward_grouped(e, order="degeneracy")), on(SMALL, TOTAL))
 
 # Generated graphs.
 for _scale in (8, 10, 12):
     add(f"tri_rmat_{_scale}", lambda s, d, k=_scale: count.forward_grouped(gen.rmat(s, k)), on(_rmat(_scale), TOTAL))
 _KEY = "l_orderkey::VARCHAR || '-' || l_linenumber::VARCHAR"
 add("edges_rmat_lineitem", lambda s, d: gen.rmat_from(table(s, d, "lineitem"), ["l_orderkey", "l_linenumber"], 10), _rmat(10, counter=_KEY, source="lineitem"))
-add("tri_ba", lambda s, d: count.forward_grouped(_with_checkpoints(s, lambda x: gen.preferential(x, 1500, 5))), on(_preferential(1500, 5), TOTAL))
+add("tri_ba", lambda s, d: count.forward_grouped(gen.preferential(s, 1500, 5)), on(_preferential(1500, 5), TOTAL))
+add("edges_rmat_source", lambda s, d: prep.canonical_edges(read_rmat(s, 8)), _rmat(8))
 add("tri_ws0", lambda s, d: count.forward_grouped(gen.small_world(s, 2000, 20, 0)), on(_small_world(2000, 20, 0), TOTAL))
 add("tri_ws10", lambda s, d: count.forward_grouped(gen.small_world(s, 2000, 20, 0.1)), on(_small_world(2000, 20, 10), TOTAL))
 add("tri_kron_power", lambda s, d: count.forward_grouped(gen.kron_power(gen.fixture_graph(s, "complete", 4), 4, 3)), "SELECT (24 * 24 * 24 // 6)::BIGINT AS triangles")
@@ -193,7 +195,7 @@ _SIDES = "SELECT least(p, q) AS u, greatest(p, q) AS v FROM (SELECT unnest([a, a
 _SUPPORT = f"SELECT e.u, e.v, count(x.u) AS support FROM e LEFT JOIN ({_SIDES}) x ON x.u = e.u AND x.v = e.v GROUP BY e.u, e.v"
 add("edge_support", _on(MAIN, listing.edge_support), on(MAIN, _SUPPORT))
 add("top_vertices", _on(MAIN, listing.top_vertices), on(MAIN, f"SELECT * FROM ({_PER_V}) ORDER BY t DESC, v LIMIT 10"))
-add("truss_4", _on(SMALL, lambda e: _with_checkpoints(e, lambda x: listing.truss(x, 4))))
+add("truss_4", _on(SMALL, lambda e: listing.truss(e, 4)))
 add("vertices_without_triangle", _on("order_part", listing.vertices_without_triangle), on("order_part", "SELECT v FROM d WHERE v NOT IN (SELECT unnest([a, b, c]) FROM t)"))
 
 # Measures.
@@ -225,6 +227,11 @@ _MERGE = """, p AS (SELECT o.src, o.dst, least((SELECT max(dst) FROM o x WHERE x
 _READS = """SELECT (SELECT count(*) FROM t) AS triangles, (sum(ua + ub) - (SELECT count(*) FROM t))::BIGINT AS steps, sum(ua + ub + (na > ua)::INT + (nb > ub)::INT)::BIGINT AS lazy_reads,
     (2 * (sum(ua + ub) - (SELECT count(*) FROM t)))::BIGINT AS eager_reads FROM q"""
 add("read_counters", _on(SMALL, measures.read_counters), on(SMALL, _READS, _MERGE))
+add(
+    "list_reuse", _on(MAIN, measures.list_reuse),
+    on(MAIN, """SELECT 2 * count(*) AS fetches, (SELECT count(*) FROM n) AS lists, round((2 * count(*))::DOUBLE / (SELECT count(*) FROM n), 6) AS reuse, (8 * coalesce(sum(x.n + y.n), 0))::BIGINT AS bytes
+    FROM o JOIN n x ON x.v = o.src JOIN n y ON y.v = o.dst""", ", n AS (SELECT src AS v, count(*) AS n FROM o GROUP BY src)"),
+)
 add(
     "travel_sums", _on("bigram", lambda e: measures.travel_sums(prep.orient(e))),
     on("bigram", "SELECT sum(x.n)::BIGINT AS src_first, sum(coalesce(y.n, 0))::BIGINT AS dst_first FROM o JOIN n x ON x.src = o.src LEFT JOIN n y ON y.src = o.dst", _LEN),
@@ -399,17 +406,6 @@ _WEDGE_SAMPLE = f"SELECT x.dst AS p, y.dst AS q FROM o x JOIN o y ON x.src = y.s
 add("approx_wedge", _on(SMALL, lambda e: listing.approx_triangles(e, "wedges", 30)), on(SMALL, f"SELECT count(*) AS kept, round(count(*) * {100.0 / 30!r}::DOUBLE, 6) AS estimate FROM ({_WEDGE_SAMPLE}) JOIN e ON e.u = p AND e.v = q"))
 
 
-def _with_checkpoints(source, run):
-    """Runs what cuts its lineage with checkpoint(): the context's folder is the session's spark.checkpoint.dir, or one of its own where that is unset."""
-    spark = source if isinstance(source, SparkSession) else source.sparkSession
-    if not spark.sparkContext.getCheckpointDir():
-        streams.shared_folder(spark, "checkpoint")
-        there = spark.conf.get("spark.checkpoint.dir", None)
-        if there:
-            spark.sparkContext.setCheckpointDir(there)
-    return run(source)
-
-
 def queries() -> dict[str, Query]:
     return dict(QUERIES)
 

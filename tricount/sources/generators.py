@@ -7,6 +7,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from tricount.functions.lineage import checkpointed
 from tricount.operators.prep import canonical_edges
 
 
@@ -66,12 +67,11 @@ def preferential(spark: SparkSession, n: int, k: int, seed: int = 42) -> DataFra
     settled = asked.join(F.broadcast(first.select(F.col("edge").alias("link"), F.col("src").alias("fs"), F.col("dst").alias("fd"))), "link", "left").select(
         "edge", "src", F.coalesce("known", F.when(F.col("link") < core, F.when(F.col("side") == 0, F.col("fs")).otherwise(F.col("fd")))).alias("known"), "link"
     )
-    now = settled.checkpoint()
+    now = checkpointed(settled)
     while now.where("known is null").limit(1).count():
         back = now.select(F.col("edge").alias("link"), F.col("known").alias("k2"), F.col("link").alias("l2"))
-        now = now.where("known is not null").unionByName(
-            now.where("known is null").join(back, "link").select("edge", "src", F.col("k2").alias("known"), F.col("l2").alias("link"))
-        ).checkpoint()
+        moved = now.where("known is null").join(back, "link").select("edge", "src", F.col("k2").alias("known"), F.col("l2").alias("link"))
+        now = checkpointed(now.where("known is not null").unionByName(moved))
     return canonical_edges(first.select("src", "dst").union(now.select("src", F.col("known").alias("dst"))))
 
 

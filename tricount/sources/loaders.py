@@ -159,6 +159,23 @@ def edges_from_file(spark: SparkSession, path: str, fmt: str = "csv", sep: str =
     return canonical_edges(pairs, mode=mode)
 
 
+def edges_from_table(spark: SparkSession, name: str, src: str = "src", dst: str = "dst", mode: str = "repair") -> DataFrame:
+    """Edges of two columns of a table or view of the catalog."""
+    return canonical_edges(spark.table(name), src, dst, mode)
+
+
+def edges_from_jdbc(spark: SparkSession, url: str, name: str, key: str, bounds: tuple[int, int], parts: int, src: str = "src", dst: str = "dst", mode: str = "repair") -> DataFrame:
+    """Edges of a database table, read by `parts` tasks over ranges of a numeric column."""
+    reader = spark.read.format("jdbc").option("url", url).option("dbtable", name).option("partitionColumn", key)
+    return canonical_edges(reader.option("lowerBound", bounds[0]).option("upperBound", bounds[1]).option("numPartitions", parts).load(), src, dst, mode)
+
+
+def write_edge_list(edges: DataFrame, path: str, fmt: str = "csv", sep: str = "\t") -> None:
+    """One line or row per undirected edge, in files that edges_from_file reads."""
+    rows = edges.select(F.col("u").alias("src"), F.col("v").alias("dst")).write.mode("overwrite")
+    rows.csv(path, sep=sep) if fmt == "csv" else rows.format(fmt).save(path)
+
+
 def write_bucketed(array: DataFrame, name: str, buckets: int) -> None:
     """A table of rows bucketed and sorted by src, which later joins on src need not shuffle."""
     array.write.bucketBy(buckets, "src").sortBy("src", "dst").mode("overwrite").saveAsTable(name)
