@@ -129,6 +129,17 @@ def test_packing_is_an_exact_round_trip(docs, none):
     assert packing.pack(none, tokenizer_path()).count() == 0
 
 
+def test_words_encoded_together_have_the_ids_they_have_alone():
+    tokens = packing.WordTokens(tokenizer_path())
+    rng = random.Random(6)
+    words = ["".join(rng.choice("abcXYZ019.,'-_@→éß漢\u00a0\u2028😀") for _ in range(rng.randint(1, 9))) for _ in range(3000)]
+    plain = [w.replace("→", "") or "x" for w in words]
+    for some in (words, plain, ["→"], ["a"], plain[:256], plain[:257]):
+        want = [tokens.tokenizer.encode(w, add_special_tokens=False).ids for w in some]
+        ids, size = tokens._encoded(some)
+        assert size.tolist() == [len(x) for x in want] and ids.tolist() == [i for x in want for i in x]
+
+
 def test_level_choice_is_the_least_sum_of_squares():
     rng = random.Random(1)
     for _ in range(200):

@@ -18,6 +18,8 @@ from tricount.llm import textkit
 WINDOW, END_ID = 4096, 2
 #: Distinct words whose ids a worker remembers before it starts over.
 CACHE_WORDS = 1_000_000
+#: New words are encoded so many at a time, with this word between them.
+JOINED, BETWEEN = 256, "→"
 #: Partially filled windows held at once; at this many they are closed early, with nothing lost.
 OPEN_WINDOWS = 4096
 
@@ -35,6 +37,8 @@ class WordTokens:
 
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         self.tokenizer = Tokenizer.from_file(path)
+        between = self.tokenizer.encode(BETWEEN, add_special_tokens=False).ids
+        self.between = between[0] if len(between) == 1 else None
         self._forget()
 
     def _forget(self) -> None:
@@ -42,11 +46,28 @@ class WordTokens:
         self.at, self.size = np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64)
         self.flat = np.zeros(0, dtype=np.uint32)
 
+    def _ids(self, texts: list[str]) -> list[np.ndarray]:
+        return [np.array(x.ids, dtype=np.uint32) for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _encoded(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all words, how many each has). Words are encoded in groups and told apart by the id of the word between them; a group in which a word has that id itself is encoded word by word."""
+        groups = [words[a : a + JOINED] for a in range(0, len(words), JOINED)]
+        flat, sizes = [], []
+        for group, ids in zip(groups, self._ids([f" {BETWEEN} ".join(g) for g in groups]), strict=True):
+            cut = np.flatnonzero(ids == self.between) if self.between is not None else []
+            if len(cut) == len(group) - 1 and self.between is not None:
+                sizes.append(np.diff(np.concatenate([[-1], cut, [len(ids)]])) - 1)
+                flat.append(np.delete(ids, cut))
+            else:
+                alone = self._ids(group)
+                sizes.append(np.array([len(x) for x in alone]))
+                flat += alone
+        return np.concatenate(flat), np.concatenate(sizes).astype(np.int64)
+
     def _learn(self, hashes: np.ndarray, words: list[str]) -> None:
-        found = [x.ids for x in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
-        size = np.array([len(x) for x in found], dtype=np.int64)
+        ids, size = self._encoded(words)
         at = len(self.flat) + np.cumsum(size) - size
-        self.flat = np.concatenate([self.flat, np.array([i for x in found for i in x], dtype=np.uint32)])
+        self.flat = np.concatenate([self.flat, ids])
         place = np.searchsorted(self.known, hashes)
         self.known, self.at, self.size = np.insert(self.known, place, hashes), np.insert(self.at, place, at), np.insert(self.size, place, size)
 
