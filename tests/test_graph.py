@@ -163,3 +163,12 @@ def test_queries_against_sql(spark, name):
     df = Q.QUERIES[name](spark, SF)
     assert sorted(df.columns) == names
     assert sorted(map(tuple, df.select(*names).collect())) == sorted(rel.select(", ".join(f'"{c}"' for c in names)).fetchall())
+
+
+def test_stream_state_is_exact_beyond_the_default_memory(spark, tmp_path):
+    pairs = [("a", u, v) for u, v in itertools.combinations(range(150), 2)] + [("b", 1, 2), ("b", 2, 3), ("b", 1, 3)]
+    schema = "event_type string, u long, v long"
+    spark.createDataFrame(pairs, schema).repartition(3).write.parquet(f"{tmp_path}/in")
+    edges = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in")
+    got = {r.event_type: (r.edges, r.triangles) for r in Q._stateful(edges, str(tmp_path)).collect()}
+    assert got == {"a": (comb(150, 2), comb(150, 3)), "b": (3, 1)}

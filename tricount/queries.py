@@ -352,7 +352,7 @@ add(
 
 def _stateful(edges: DataFrame, folder: str) -> DataFrame:
     spark = edges.sparkSession
-    streams.run_stream(streams.stateful_triangles(edges), folder, lambda b, n: b.write.mode("overwrite").parquet(f"{folder}/state/batch={n}"), "update")
+    streams.run_stream(streams.stateful_triangles(edges, memory=None), folder, lambda b, n: b.write.mode("overwrite").parquet(f"{folder}/state/batch={n}"), "update")
     seen = spark.read.parquet(f"{folder}/state")
     return seen.groupBy("event_type").agg(F.max("seen").alias("edges"), F.max_by("kept", "seen").alias("triangles"))
 

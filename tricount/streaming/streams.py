@@ -144,11 +144,11 @@ def late_report(query: StreamingQuery) -> list[tuple[int, int]]:
     return [(p["batchId"], sum(s["numRowsDroppedByWatermark"] for s in p["stateOperators"])) for p in query.recentProgress]
 
 
-def stateful_triangles(stream: DataFrame, memory: int = 10_000, seed: int = 1) -> DataFrame:
-    """(event_type, seen, kept, estimate) after each batch, from state of at most `memory` edges per event type.
+def stateful_triangles(stream: DataFrame, memory: int | None = 10_000, seed: int = 1) -> DataFrame:
+    """(event_type, seen, kept, estimate) after each batch, from state of at most `memory` edges per event type, or of all edges where it is None.
 
-    Edges beyond that replace kept ones with the chance of an even sample, and counts are scaled by the chance that a triangle's three edges are kept; until the memory
-    is full the estimate is the exact number. Streams of unique edges are expected (see dedup_stream).
+    With all edges `kept` is the exact number, at the price of state that grows with the graph of a type. With a limit, edges beyond it replace kept ones
+    with the chance of an even sample, and counts are scaled by the chance that a triangle's three edges are kept; until the memory is full the estimate is the exact number. Streams of unique edges are expected (see dedup_stream).
     """
 
     def update(key: tuple, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
@@ -163,7 +163,7 @@ def stateful_triangles(stream: DataFrame, memory: int = 10_000, seed: int = 1) -
                 if b in near.get(a, ()):
                     continue
                 seen += 1
-                if len(edges) >= memory:
+                if memory is not None and len(edges) >= memory:
                     slot = hash((seed, seen)) % seen
                     if slot >= memory:
                         continue
@@ -176,8 +176,8 @@ def stateful_triangles(stream: DataFrame, memory: int = 10_000, seed: int = 1) -
                 near.setdefault(a, set()).add(b)
                 near.setdefault(b, set()).add(a)
         kept = sum(len(near[a] & near[b]) for a, b in edges) // 3
-        m = min(memory, seen)
-        chance = m * (m - 1) * (m - 2) / (seen * (seen - 1) * (seen - 2)) if seen > memory else 1.0
+        m = seen if memory is None else min(memory, seen)
+        chance = m * (m - 1) * (m - 2) / (seen * (seen - 1) * (seen - 2)) if seen > m else 1.0
         state.update((seen, [list(e) for e in edges]))
         yield pd.DataFrame({"event_type": [key[0]], "seen": [seen], "kept": [kept], "estimate": [kept / chance]})
 
