@@ -190,6 +190,20 @@ def test_secrets(spark, docs, none):
     assert np.allclose([r[0] for r in table.selectExpr(forest.sql("f")).collect()], forest.predict(x), atol=1e-5)
 
 
+def test_secrets_after_long_names_and_with_signs(spark):
+    forest = secrets.train(secrets.labelled_findings(spark))
+    key = hashlib.sha256(b"other").hexdigest()[:40]
+    texts = [
+        ('password = "hunter2-Xy9!"', "hunter2-Xy9!"), ("password: S3cr3t!Passw0rd#2024", "S3cr3t!Passw0rd#2024"), (f'stripe_webhook_signing_secret = "{key}"', key),
+        (f"AWS_S3_SECRET_ACCESS_KEY={key}", key), (f"'client-secret-for-prod': '{key}'", key), (f"'secret' => '{key}'", key), (f"{key} # our api token", key),
+        (f"commit {key}", None), ("password: required", None), ("token = get_token()", None), ("the author: John said", None),
+    ]
+    rows = [(k, f"é {t}", v) for k, (t, v) in enumerate(texts)]
+    found = secrets.scan_secrets(spark.createDataFrame(rows, "doc_id long, text string, v string"), forest).collect()
+    got = {r.doc_id: [rows[r.doc_id][1][f.position - 1 :][: f.length] for f in r.findings] for r in found}
+    assert got == {k: [v] if v else [] for k, _, v in rows}
+
+
 def labelled(spark):
     rng = random.Random(8)
     word = lambda: "".join(rng.choice("abcdefgh") for _ in range(5))

@@ -1,4 +1,4 @@
-"""Secret scan: long tokens judged by a random forest on form, dictionary coverage, paths and neighbouring words.
+"""Secret scan: long tokens and assigned values judged by a random forest on form, dictionary coverage, paths and the text around them.
 
 The scan is one projection of built-in functions: candidates, features and the forest are SQL expressions.
 """
@@ -14,9 +14,12 @@ from tricount.llm.forest import Forest
 #: Findings with at least this share of the forest's votes are reported.
 THRESHOLD = 0.5
 
-# A candidate is a run of 16 or more of these characters; the word and up to four signs before it are its neighbours.
-_TOKEN = r"[A-Za-z0-9+/_\\-]{16,}={0,2}"
-_LEAD = r"[A-Za-z_.]{1,24}[\\x20\"\\x27=:>]{1,4}"
+# A candidate is a run of 16 or more of the characters of _TOKEN, or what is assigned to a name with one of the words of _ASKS, of any characters
+# and of 4 or more. Quoted values go to their closing quote, others to white space or one of ,;&|<>.
+_TOKEN = r"[A-Za-z0-9+/_\\-]{16,}={0,2}(?![A-Za-z0-9])"
+_ASKS = "(?i:token|secret|pass|pwd|api[_-]?key|auth|credential|bearer|private|access|signing)"
+_ASSIGNED = r"(?<=[=:>][\\s\"\\x27`]{0,6})(?<=" + _ASKS + r"[A-Za-z0-9_.\\-]{0,64}[\\])\"\\x27`]{0,2}\\s{0,8}(?:={1,3}|:=|=>|->|:)>?\\s{0,8}[\"\\x27`]?)"
+_VALUE = r"(?:(?<=\")[^\"\\r\\n]{4,}(?=\")|(?<=\\x27)[^\\x27\\r\\n]{4,}(?=\\x27)|(?<=`)[^`\\r\\n]{4,}(?=`)|(?![=:>])[^\\s\"\\x27`,;&|<>]{4,})"
 _KNOWN = r"^(AKIA|ASIA|ghp_|gho_|github_pat_|glpat-|sk-|sk_live_|xox[abp]-|AIza|eyJ)"
 _SECRET_WORDS = "(?i)(token|secret|passw|pwd|api_?key|auth|credential|bearer|private|access|signing)"
 _PLAIN_WORDS = "(?i)(sha[0-9]*|md5|hash|uuid|commit|checksum|digest|etag|version|href|src|path|file|url|rev|build)"
@@ -42,25 +45,32 @@ _FEATURES = {
     "asked": "CAST({w} RLIKE '" + _SECRET_WORDS + "' AS DOUBLE)",
     "plain": "CAST({w} RLIKE '" + _PLAIN_WORDS + "' AS DOUBLE)",
     "assigned": "CAST({w} RLIKE '[=:]' AS DOUBLE)",
+    "signs": "length(regexp_replace({c}, '[A-Za-z0-9]', '')) / CAST(length({c}) AS DOUBLE)",
+    "spaces": "CAST(regexp_count({c}, '[\\\\s]') AS DOUBLE)",
+    "told": "CAST({b} RLIKE '" + _SECRET_WORDS + "' AS DOUBLE)",
+    "follows": "CAST({a} RLIKE '" + _SECRET_WORDS + "' AS DOUBLE)",
     "quoted": "CAST({w} RLIKE '[\"\\x27]$' AS DOUBLE)",
 }
 
 
-#: A candidate with what stands before it.
-_MATCH = f"(?:{_LEAD})?{_TOKEN}"
+#: A candidate alone: what stands around it is no part of the match.
+_MATCH = f"(?:{_ASSIGNED}{_VALUE}|{_TOKEN})"
+#: The name nearest before a candidate, to the end of a text, and characters of text around one that are read.
+_NAME = r"([A-Za-z0-9_.\\-]{1,128}[^A-Za-z0-9]{0,12})\\z"
+_AROUND = 64
 #: Candidates whose lengths are added up at a time, so that the work of placing findings grows evenly with a text.
 _BLOCK = 256
 
 
-def _candidates(text: str) -> str:
-    """SQL: the array of (w: what stands before, c: the token) in a text."""
-    found = f"regexp_extract_all(coalesce({text}, ''), '{_MATCH}', 0)"
-    token = f"regexp_extract(m, '({_TOKEN})$', 1)"
-    return f"transform({found}, m -> named_struct('w', substr(m, 1, length(m) - length({token})), 'c', {token}))"
+def _candidates(docs: DataFrame) -> DataFrame:
+    """Adds found, the candidates of the text, gaps, the text between them, and around, an array of (w: the nearest name and what joins it, b and a: text before and after, c: the candidate)."""
+    found = docs.withColumn("found", F.expr(f"regexp_extract_all(coalesce(text, ''), '{_MATCH}', 0)")).withColumn("gaps", F.expr(f"split(coalesce(text, ''), '{_MATCH}', -1)"))
+    name = f"regexp_extract(right(concat(coalesce(get(found, i - 1), ''), gaps[i]), 160), '{_NAME}', 1)"
+    return found.withColumn("around", F.expr(f"transform(found, (c, i) -> named_struct('w', {name}, 'b', right(gaps[i], {_AROUND}), 'a', left(gaps[i + 1], {_AROUND}), 'c', c))"))
 
 
 def _described(candidate: str) -> str:
-    fields = ", ".join(f"'{k}', {v.format(c=candidate + '.c', w=candidate + '.w')}" for k, v in _FEATURES.items())
+    fields = ", ".join(f"'{k}', {v.format(**{x: f'{candidate}.{x}' for x in 'wbac'})}" for k, v in _FEATURES.items())
     return f"named_struct({fields})"
 
 
@@ -76,6 +86,9 @@ def labelled_findings(spark: SparkSession, n: int = 2400) -> DataFrame:
     yes = [
         f"concat({name}, {sign}, substr(h, 1, 40), '\"')", f"concat({name}, {sign}, substr(h, 5, 32))", f"concat({name}, {sign}, substr({mixed}, 1, 36))",
         f"concat({name}, {sign}, substr({mixed}, 1, 24), '\"')", "concat('AKIA', upper(substr(h, 1, 16)))", f"concat('export KEY=ghp_', substr({mixed}, 1, 36))", f"concat('use sk-', substr({mixed}, 1, 40), ' now')",
+        f"concat({name}, {sign}, {word(1)}, substr(h, 7, 1), '-', initcap({part(3)}), substr(h, 5, 1), '!\"')", f"concat({name}, ': ', initcap({part(1)}), substr(h, 3, 2), '!', initcap({word(5)}), '#', substr(h, 7, 4))",
+        f"concat({name}, ' = \"', substr({mixed}, 1, 6), '$', substr({mixed}, 7, 4), '\"')", f"concat('\\'', {word(9)}, '-', {name}, '\\' => \\'', substr(h, 1, 40), '\\'')", f"concat('S3_', upper({name}), '=', substr({mixed}, 1, 40))",
+        f"concat('the ', {name}, ' of the ', {word(9)}, ' is ', substr(h, 1, 40))", f"concat(substr(h, 1, 40), ' is the ', {name}, ' of the ', {word(9)})",
     ]
     no = [
         "concat('commit ', substr(h, 1, 40))", "concat('sha256: ', h)", "concat('checksum=', substr(h, 1, 32))",
@@ -83,6 +96,8 @@ def labelled_findings(spark: SparkSession, n: int = 2400) -> DataFrame:
         f"concat('path: /usr/lib/', {word(1)}, '/', {word(3)}, '/', {word(5)})", "concat('id = ', substr(h, 1, 8), '-', substr(h, 9, 4), '-', substr(h, 13, 4), '-', substr(h, 17, 12))",
         "concat('order ', repeat('0', 12), CAST(conv(substr(h, 1, 8), 16, 10) AS STRING))", f"concat({part(1)}, ' ', {', '.join(part(k) for k in range(3, 25, 2))})", f"concat(initcap({part(1)}), {', '.join(part(k) for k in range(3, 21, 2))}, '.')",
         f"concat({name}, {sign}, 'YOUR_', upper({word(1)}), '_KEY_GOES_HERE')", f"concat({name}, ' ', {', '.join(part(k) for k in range(3, 29, 2))})", "concat(repeat(substr(h, 1, 1), 20), '-', repeat('-', 10))", "concat('see ', repeat(substr(h, 1, 2), 12))",
+        f"concat({name}, ': ', {word(1)}, {part(3)})", f"concat({name}, ' = ', {word(1)}, '_', {word(5)}, '()')", f"concat('author: ', initcap({part(1)}), {part(3)}, {part(5)})", f"concat({name}, ' = \"', {word(1)}, ' ', {word(3)}, ' ', {part(5)}, {part(7)}, '\"')",
+        f"concat({name}, '=', repeat('*', 4 + CAST(conv(substr(h, 5, 1), 16, 10) AS INT)))", f"concat({name}, ' = $\\{{', upper({word(5)}), '\\}}')", f"concat(upper({word(1)}), '_S3_', upper({word(3)}), '_ACCESS_KEY')", f"concat('the ', {name}, ' in ', {word(1)}, '_', {word(3)}, '_', {word(5)}, '_', {word(7)})",
     ]
     kinds = [(e, 1) for e in yes] * 2 + [(e, 0) for e in no]
     cases = " ".join(f"WHEN {k} THEN {e}" for k, (e, _) in enumerate(kinds))
@@ -92,7 +107,7 @@ def labelled_findings(spark: SparkSession, n: int = 2400) -> DataFrame:
 
 def train(findings: DataFrame, bound: int = 20_000) -> Forest:
     """A forest from labelled findings (text, secret), at most `bound` of them: their candidates are described by the scan's own expressions."""
-    rows = findings.limit(bound).selectExpr("secret", f"explode({_candidates('text')}) AS c").selectExpr("secret", f"{_described('c')} AS f").select("secret", "f.*").collect()
+    rows = _candidates(findings.limit(bound)).selectExpr("secret", "explode(around) AS c").selectExpr("secret", f"{_described('c')} AS f").select("secret", "f.*").collect()
     names = list(_FEATURES)
     x, y = np.array([[r[k] for k in names] for r in rows], dtype=float), np.array([r.secret for r in rows], dtype=float)
     return Forest(names).fit(x, y)
@@ -107,19 +122,19 @@ def scan_secrets(docs: DataFrame, forest: Forest, threshold: float = THRESHOLD)
 
     Positions are sums of lengths: the matches and the gaps between them make up the text. They are only formed where a text has a finding.
     """
-    told = docs.selectExpr("CAST(doc_id AS BIGINT) AS doc_id", "text", f"{_candidates('text')} AS found")
-    scored = told.withColumn("described", F.expr(f"transform(found, x -> named_struct('w', x.w, 'c', x.c, 'f', {_described('x')}))"))
-    judged = scored.withColumn("judged", F.expr(f"transform(described, (x, i) -> named_struct('w', x.w, 'c', x.c, 'i', i, 'score', {forest.sql('x.f')}))"))
+    told = _candidates(docs.selectExpr("CAST(doc_id AS BIGINT) AS doc_id", "text"))
+    scored = told.withColumn("described", F.expr(f"transform(around, x -> named_struct('c', x.c, 'f', {_described('x')}))"))
+    judged = scored.withColumn("judged", F.expr(f"transform(described, (x, i) -> named_struct('c', x.c, 'i', i, 'score', {forest.sql('x.f')}))"))
     kept = judged.withColumn("kept", F.expr(f"filter(judged, x -> x.score >= {threshold}D)"))
-    gaps = f"CASE WHEN size(kept) > 0 THEN transform(split(text, '{_MATCH}', -1), x -> CAST(length(x) AS BIGINT)) ELSE CAST(array() AS ARRAY<BIGINT>) END"
-    steps = "zip_with(gaps, found, (g, x) -> g + coalesce(length(x.w) + length(x.c), 0))"
+    between = "CASE WHEN size(kept) > 0 THEN transform(gaps, x -> CAST(length(x) AS BIGINT)) ELSE CAST(array() AS ARRAY<BIGINT>) END"
+    steps = "zip_with(between, found, (g, x) -> g + coalesce(length(x), 0))"
     block = f"slice(steps, b * {_BLOCK} + 1, {_BLOCK})"
     starts = f"aggregate(sequence(0, CAST(size(steps) DIV {_BLOCK} AS INT)), CAST(array(0) AS ARRAY<BIGINT>), (a, b) -> concat(a, array(element_at(a, -1) + aggregate({block}, 0L, (s, x) -> s + x))))"
-    placed = kept.withColumn("gaps", F.expr(gaps)).withColumn("steps", F.expr(steps)).withColumn("starts", F.expr(starts))
+    placed = kept.withColumn("between", F.expr(between)).withColumn("steps", F.expr(steps)).withColumn("starts", F.expr(starts))
     before = f"starts[CAST(x.i DIV {_BLOCK} AS INT)] + aggregate(slice(steps, CAST(x.i DIV {_BLOCK} AS INT) * {_BLOCK} + 1, x.i % {_BLOCK}), 0L, (s, y) -> s + y)"
     return placed.selectExpr(
         "doc_id", "CAST(size(found) AS BIGINT) AS n_candidates",
-        f"transform(kept, x -> named_struct('position', {before} + gaps[x.i] + length(x.w) + 1, 'length', CAST(length(x.c) AS BIGINT), 'score', x.score, 'sha256', sha2(x.c, 256))) AS findings",
+        f"transform(kept, x -> named_struct('position', {before} + between[x.i] + 1, 'length', CAST(length(x.c) AS BIGINT), 'score', x.score, 'sha256', sha2(x.c, 256))) AS findings",
     )
 
 
