@@ -241,6 +241,27 @@ def test_learned_operators_on_held_out_rows(spark, docs, none):
     assert language.identify(none, lang).count() == 0
 
 
+def test_every_byte_of_long_words_is_spelled():
+    rng = random.Random(4)
+    texts = ["", "ab " + "x" * 25, "%" * 60 + " a", "a" * 23, "漢字かな交じり文" * 9, "one-two_three/four,five\u00a0six" * 4, "", "b" * 200]
+    texts += ["".join(rng.choice("ab-é漢 ") for _ in range(rng.randint(0, 120))) for _ in range(60)]
+    data = np.frombuffer("".join(texts).encode(), np.uint8)
+    offsets = np.cumsum([0, *[len(t.encode()) for t in texts]])
+    words = toxicity.textkit.Words(data, offsets)
+    toxicity._trimmed(words)
+    long = [(a, b) for a, b in zip(words.start.tolist(), words.end.tolist(), strict=True)]
+    toxicity._cut(words)
+    assert (words.end - words.start).max() <= 2 * toxicity.SPELLED and (np.diff(words.start) > 0).all()
+    assert words.count.sum() == len(words.start) and all(offsets[r] <= a and b <= offsets[r + 1] for a, b, r in zip(words.start, words.end, words.row, strict=True))
+    read = {k for a, b in zip(words.start.tolist(), words.end.tolist(), strict=True) for k in range(a, b)}
+    sign = {k for k, c in enumerate(data.tolist()) if c < 48 or c == 95}
+    hard = {k + d for k in range(len(data) - 1) if data[k] == 0xC2 and data[k + 1] == 0xA0 for d in (0, 1)}
+    assert {k for a, b in long for k in range(a, b)} - sign - hard <= read
+    hidden = ["漢" * 10 + w + "字" * 10 for w in ("毒", "花")]
+    spelled = [toxicity.Texts(np.frombuffer(t.encode(), np.uint8), np.array([0, len(t.encode())])).spelled.tobytes() for t in hidden]
+    assert spelled[0] != spelled[1]
+
+
 def test_recurrent_gradient_matches_differences():
     from tricount.llm.nets import gru, gru_grad
 

@@ -47,8 +47,39 @@ def _trimmed(words: textkit.Words) -> None:
     words.end = np.where(has, spot[hi] + 1, words.end)
 
 
+def _cut(words: textkit.Words) -> None:
+    """Puts pieces in place of words too long to be spelled whole: cut at ASCII signs and no-break spaces, then into overlapping pieces, each begun SPELLED bytes
+    after the one before and twice as long, so that every byte is among the first or last bytes of a piece. Words of signs alone are only cut by length."""
+    whole = 2 * SPELLED
+    long = words.end - words.start > whole
+    if not long.any():
+        return
+    data, start, end = words.data, words.start[long], words.end[long]
+    part = (data >= 128) | ((data >= 97) & (data <= 122)) | ((data >= 48) & (data <= 57))
+    hard = np.flatnonzero((data[:-1] == 0xC2) & (data[1:] == 0xA0))
+    part[hard] = part[hard + 1] = False
+    total = np.concatenate([[0], np.cumsum(part)])
+    inside = lambda a, b: np.cumsum(np.bincount(a, minlength=len(data) + 1) - np.bincount(b, minlength=len(data) + 1))[:-1] > 0
+    bare = total[end] == total[start]
+    part = (part | inside(start[bare], end[bare])) & inside(start, end)
+    turn = np.zeros(len(data) + 1, dtype=bool)
+    turn[start] = turn[end] = True
+    before, after = np.concatenate([[False], part[:-1]]), np.concatenate([part[1:], [False]])
+    a, b = np.flatnonzero(part & (~before | turn[:-1])), np.flatnonzero(part & (~after | turn[1:])) + 1
+    n = 1 + np.maximum(0, -(-(b - a - whole) // SPELLED))
+    of = np.repeat(np.arange(len(a)), n)
+    step = np.arange(len(of)) - np.repeat(np.cumsum(n) - n, n)
+    begin = np.where(step == n[of] - 1, np.maximum(b[of] - whole, a[of]), a[of] + step * SPELLED)
+    row = words.row[np.searchsorted(words.start, begin, side="right") - 1]
+    words.start, words.end, words.row = (np.concatenate(x) for x in ((words.start[~long], begin), (words.end[~long], np.minimum(begin + whole, b[of])), (words.row[~long], row)))
+    order = np.argsort(words.start, kind="stable")
+    words.start, words.end, words.row = words.start[order], words.end[order], words.row[order]
+    words.first = np.searchsorted(words.row, np.arange(len(words.first)))
+    words.count = np.diff(words.first)
+
+
 class Texts:
-    """Distinct words of a chunk of texts, the place of each word among them, and the windows of each text.
+    """Distinct words of a chunk of texts, pieces standing for long ones, the place of each word among them, and the windows of each text.
 
     A text's windows start every STRIDE words until one reaches its end; a text without words has none.
     """
@@ -56,6 +87,7 @@ class Texts:
     def __init__(self, data: np.ndarray, offsets: np.ndarray) -> None:
         words = textkit.Words(data, offsets)
         _trimmed(words)
+        _cut(words)
         self.hash, first, self.word = np.unique(words.hashes(), return_index=True, return_inverse=True)
         start, size = words.start[first], (words.end - words.start)[first]
         step = np.arange(SPELLED)
