@@ -171,6 +171,17 @@ def test_personal_data_spans(docs, none):
     assert "a@" not in pii.redact(docs.sparkSession.createDataFrame([(1, "to a@b.cd now")], "doc_id long, text string")).first().text
 
 
+def test_generous_candidates_of_personal_data():
+    spans = lambda t: [(t[a:b], pii.KINDS[k]) for a, k, b in pii.candidates(t)]
+    assert spans("ask jane.doe at example.com now") == [("jane.doe at example.com", "email")]
+    assert spans("ask JO (AT) EX (DOT) ORG now") == [("JO (AT) EX (DOT) ORG", "email")] and spans("JO AT EX DOT ORG")[0][1] == "email"
+    for ip in ("2001:db8::1", "::1", "fe80::", "fe80::a:b", "1:2:3:4:5:6:7:8"):
+        assert spans(f"host {ip}, up") == [(ip, "ip")]
+    assert spans("std::map :: x and xa::1") == []
+    added = lambda t: [t[a:b] for a, _, b in pii.added_spans(t, pii.trained(), [])]
+    assert added("from client 2001:db8:5c1::42f1 up") == ["2001:db8:5c1::42f1"]
+
+
 def test_secrets(spark, docs, none):
     forest = secrets.train(secrets.labelled_findings(spark))
     text = 'token = "027aea05eb92c454086e6575cd38d76a884acaff" commit 127aea05eb92c454086e6575cd38d76a884acaff internationalization/of/everything'

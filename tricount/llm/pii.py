@@ -29,9 +29,10 @@ _CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 
 # Generators of further candidates.
+_HEX = "[0-9A-Fa-f]{1,4}"
 _LOOSE = {
-    "email": re.compile(rf"(?<![{_LOCAL}])[A-Za-z0-9._+-]{{1,64}}(?:\x20?(?:@|\(at\)|\[at\])\x20?|\x20at\x20)[A-Za-z0-9-]{{1,63}}(?:(?:\.|\x20?(?:\(dot\)|\[dot\])\x20?|\x20dot\x20)[A-Za-z0-9-]{{1,63}}){{1,4}}"),
-    "ip": re.compile(r"(?<![0-9A-Za-z:])(?:[0-9A-Fa-f]{1,4}:){3,7}[0-9A-Fa-f]{1,4}(?![0-9A-Za-z:])"),
+    "email": re.compile(rf"(?<![{_LOCAL}])[A-Za-z0-9._+-]{{1,64}}(?i:\x20?(?:@|\(at\)|\[at\])\x20?|\x20at\x20)[A-Za-z0-9-]{{1,63}}(?:(?i:\.|\x20?(?:\(dot\)|\[dot\])\x20?|\x20dot\x20)[A-Za-z0-9-]{{1,63}}){{1,4}}"),
+    "ip": re.compile(rf"(?<![0-9A-Za-z:])(?:(?:{_HEX}:){{3,7}}{_HEX}(?![0-9A-Za-z:])|(?:{_HEX}(?::{_HEX}){{0,6}}::(?:{_HEX}(?::{_HEX}){{0,6}})?|::{_HEX}(?::{_HEX}){{0,6}})(?!:{{0,2}}[0-9A-Za-z]))"),
     "card": re.compile(r"(?<![0-9A-Za-z])[0-9]{4}(?:[\x20./-]?[0-9]{2,6}){2,4}(?![0-9A-Za-z])"),
     "phone": re.compile(r"(?<![0-9A-Za-z+.])\(?[0-9]{2,4}\)?(?:[\x20./-]{1,2}[0-9]{2,4}){2,4}(?![0-9A-Za-z])"),
 }
@@ -89,8 +90,6 @@ def candidates(text: str) -> list[tuple[int, int, int]]:
     """Spans of the generous patterns; they may overlap each other and base spans."""
     out = []
     for k, kind in enumerate(KINDS):
-        if kind == "email" and "@" not in text and "dot" not in text and "(at)" not in text and "[at]" not in text:
-            continue
         if kind == "ip" and ":" not in text:
             continue
         out += [(m.start(), k, m.end()) for m in _LOOSE[kind].finditer(text)]
@@ -131,8 +130,10 @@ def _examples(kind: int, n: int, seed: int) -> tuple[list[list[float]], list[int
             return pick([f"{word()} at {word()}.{word()}", f"{word()} @ {word()}.{num(2)}", f"{num(1)} at {num(2)}.{num(2)}"]), pick(["look ", "", "sold ", "version ", "it was "])
         if kind == 1:
             if good:
-                return ":".join("%x" % x for x in rng.integers(0, 65536, 8)), pick(["host ", "ip ", "from client ", "", "login "])
-            return pick([":".join(num(2) for _ in range(int(rng.integers(4, 7)))), ":".join(num(1) for _ in range(4))]), pick(["at ", "chapter ", "", "score ", "time "])
+                x = ["%x" % x for x in rng.integers(0, 65536, 8)]
+                a, b = int(rng.integers(1, 5)), int(rng.integers(0, 4))
+                return pick([":".join(x), f"{':'.join(x[:a])}::{':'.join(x[a : a + b])}"]), pick(["host ", "ip ", "from client ", "", "login "])
+            return pick([":".join(num(2) for _ in range(int(rng.integers(4, 7)))), ":".join(num(1) for _ in range(4)), f"{pick('abcdef')}::{pick('abcdef')}"]), pick(["at ", "chapter ", "", "score ", "time "])
         if kind == 2:
             if good:
                 c = card(True)
