@@ -104,6 +104,15 @@ def test_mix_meets_its_limits(docs, none):
     assert mixing.mix(none).count() == 0 and mixing.mixed(docs).columns == docs.columns
 
 
+def test_mix_emits_every_row_it_counts(spark, docs):
+    data = [(None if k % 3 else k, "w " * (k % 7), f"s{k % 2}" if k % 5 else None, k) for k in range(120)]
+    for df in (docs, spark.createDataFrame(data, "doc_id long, text string, source string, k long").repartition(3)):
+        words = lambda rows: {s: sum(n for t, n in rows if t == s) for s in ("s0", "s1", "s2", "s3", None)}
+        want = words([(r.source, r.taken) for r in mixing.mix(df).collect()])
+        got = mixing.mixed(df).collect()
+        assert words([(r.source, len(re.findall(WORDS, r.text or ""))) for r in got]) == want and any(r.doc_id is None for r in got)
+
+
 def test_packing_is_an_exact_round_trip(docs, none):
     from tokenizers import Tokenizer
 

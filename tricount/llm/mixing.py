@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -14,6 +14,10 @@ SALTS = 16
 MOST = 3
 
 
+def _words() -> Column:
+    return F.coalesce(F.regexp_count(F.coalesce("text", F.lit("")), F.lit(WORD)), F.lit(0)).cast("long")
+
+
 def mix(docs: DataFrame) -> DataFrame:
     """Every document with how often the mix takes it: doc_id, source, size, source_size, target, copies, taken.
 
@@ -27,8 +31,7 @@ def mix(docs: DataFrame) -> DataFrame:
     are taken by one task each. The same rows always give the same mix. Null texts and texts without words have size 0 and are
     drawn like others. Null ids go first within their part. A source of size 0 has target 0. An empty table gives no rows.
     """
-    size = F.coalesce(F.regexp_count(F.coalesce("text", F.lit("")), F.lit(WORD)), F.lit(0)).cast("long")
-    rows = docs.select("doc_id", "source", size.alias("size")).withColumns(
+    rows = docs.select("doc_id", "source", _words().alias("size")).withColumns(
         {
             "key": F.coalesce("source", F.lit("")),
             "none": F.col("source").isNull().cast("int"),
@@ -64,13 +67,20 @@ def mix(docs: DataFrame) -> DataFrame:
 
 
 def mixed(docs: DataFrame) -> DataFrame:
-    """The documents as the mix takes them, repeated by their copies. Rows with a null id are left out: nothing names their draw.
+    """The documents as the mix takes them, repeated by their copies.
 
-    Rows that repeat an id and text are drawn one by one; each gets the sum of its id's copies divided as evenly as whole copies allow.
+    Rows that repeat an id are drawn one by one; each gets the sum of its id's copies divided as evenly as whole copies allow. So do rows with a null id that
+    agree in source and size, as nothing else names their draws.
     """
-    draws = mix(docs).where("doc_id is not null").groupBy(F.col("doc_id").alias("__id")).agg(F.sum("copies").alias("__copies"), F.count(F.lit(1)).alias("__rows"))
-    joined = docs.join(draws.where("__copies > 0"), F.col("doc_id") == F.col("__id"))
-    number = F.row_number().over(W.partitionBy("__id").orderBy(F.lit(1)))
+    unnamed = F.col("doc_id").isNull()
+    keys = {
+        "__id": F.coalesce("doc_id", F.lit(0)), "__null": F.when(unnamed, F.when(F.col("source").isNull(), 2).otherwise(1)).otherwise(0),
+        "__source": F.when(unnamed, F.coalesce("source", F.lit(""))).otherwise(F.lit("")),
+    }
+    size_of = lambda size: F.when(unnamed, size).otherwise(F.lit(0)).cast("long")
+    draws = mix(docs).withColumns(keys | {"__size": size_of(F.col("size"))}).groupBy(*keys, "__size").agg(F.sum("copies").alias("__copies"), F.count(F.lit(1)).alias("__rows"))
+    joined = docs.withColumns(keys | {"__size": size_of(_words())}).join(draws.where("__copies > 0"), [*keys, "__size"])
+    number = F.row_number().over(W.partitionBy(*keys, "__size").orderBy(F.lit(1)))
     share = F.expr("CAST(__copies DIV __rows AS INT) + CASE WHEN __number <= __copies % __rows THEN 1 ELSE 0 END")
     return (
         joined.withColumn("__number", F.when(F.col("__rows") > 1, number).otherwise(F.lit(1)))
