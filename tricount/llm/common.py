@@ -46,10 +46,18 @@ class Stages:
 
     def drop(self, *frames: DataFrame) -> None:
         """Removes tables that nothing reads any more."""
-        jvm = self.spark._jvm
         for df in frames:
-            path = jvm.org.apache.hadoop.fs.Path(self.paths.pop(id(df)))
-            path.getFileSystem(self.spark._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+            self._remove(self.paths.pop(id(df)))
+
+    def keep_only(self, *frames: DataFrame) -> None:
+        """Removes all tables but these, which the rows that are handed out still read."""
+        kept = {id(df) for df in frames}
+        for key in [k for k in self.paths if k not in kept]:
+            self._remove(self.paths.pop(key))
+
+    def _remove(self, name: str) -> None:
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(name)
+        path.getFileSystem(self.spark._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
 
 
 def fold(column: Column | str, of: int) -> Column:

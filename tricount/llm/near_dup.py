@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.broadcast import Broadcast
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from tricount.llm import textkit
@@ -22,8 +23,10 @@ CELLS = 1 << 20
 PIECES = 64
 #: Bits of a filter that a scan applies before a join (a megabyte, broadcast).
 MARKS = 1 << 23
-#: Documents of a bucket that meet in one task; a larger bucket is cut into tiles of this size.
-TILE = 1024
+#: Group parts of a bucket that meet in one task; a larger bucket is cut into chunks of this size.
+TILE = 128
+#: Nodes of a group part, and shingles of all of them together (a part holds one node at least).
+PART, PART_SHINGLES = 16, 1 << 17
 
 
 def _cell(h: np.ndarray) -> np.ndarray:
@@ -173,57 +176,119 @@ def _most_apart(nx: np.ndarray, ny: np.ndarray, percent: int) -> np.ndarray:
     return both - 2 * -(-percent * both // (100 + percent))
 
 
-def _near_pairs(n: np.ndarray, maps: list[np.ndarray], label: np.ndarray, side: np.ndarray | None, forest: bool, percent: int) -> Iterator[tuple[int, np.ndarray]]:
-    """(i, js): pairs with different labels whose sizes and bitmaps don't exclude a link.
-
-    A set differs from another by at least as many shingles as their parity bitmaps differ by bits. With `side`, only pairs
-    across sides. With `forest`, just enough pairs to join what these pairs would connect.
+class Groups:
+    """Group parts that meet in a tile, in the order of set sizes: their members' labels and parity bitmaps, and what the bitmaps of all members of a part have in common."""
+
+    def __init__(self, gid: np.ndarray, n: np.ndarray, members: list[tuple[list, list, list]]) -> None:
+        order = np.argsort(n, kind="stable")
+        members = [members[k] for k in order]
+        self.order, self.gid, self.n = order, gid[order], n[order]
+        self.first = np.concatenate([[0], np.cumsum([len(m[0]) for m in members])])
+        self.node = np.array([x for m in members for x in m[0]], dtype=np.int64)
+        self.label = np.array([x for m in members for x in m[1]], dtype=np.int64)
+        maps = [np.frombuffer(x, dtype="<u8") for m in members for x in m[2]]
+        self.words = np.array([len(maps[k]) for k in self.first[:-1]])
+        self.of_width, self.at = {}, np.zeros(len(maps), dtype=np.int64)
+        self.known, self.value, self.place = {}, {}, np.zeros(len(members), dtype=np.int64)
+        for w in np.unique(self.words):
+            groups = np.flatnonzero(self.words == w)
+            nodes = np.concatenate([np.arange(self.first[g], self.first[g + 1]) for g in groups])
+            self.at[nodes], self.place[groups] = np.arange(len(nodes)), np.arange(len(groups))
+            stack = np.stack([maps[k] for k in nodes])
+            begins = np.concatenate([[0], np.cumsum(np.diff(self.first)[groups])[:-1]])
+            every, some = np.bitwise_and.reduceat(stack, begins), np.bitwise_or.reduceat(stack, begins)
+            self.of_width[w], self.value[w], self.known[w] = stack, every, ~(every ^ some)
+        self.spread()
+
+    def spread(self) -> None:
+        """The smallest and the largest label of each part."""
+        self.low, self.high = np.minimum.reduceat(self.label, self.first[:-1]), np.maximum.reduceat(self.label, self.first[:-1])
+
+    def members(self, groups: np.ndarray) -> np.ndarray:
+        return np.concatenate([np.arange(self.first[g], self.first[g + 1]) for g in groups])
+
+
+def _folded(x: np.ndarray, words: int) -> np.ndarray:
+    """Parity bitmaps brought to fewer words."""
+    while x.shape[1] > words:
+        half = x.shape[1] // 2
+        x = x[:, :half] ^ x[:, half:]
+    return x
+
+
+def _folded_known(value: np.ndarray, known: np.ndarray, words: int) -> tuple[np.ndarray, np.ndarray]:
+    """The same for bits that all members share: a folded bit is shared where both its halves are."""
+    while value.shape[1] > words:
+        half = value.shape[1] // 2
+        value, known = value[:, :half] ^ value[:, half:], known[:, :half] & known[:, half:]
+    return value, known
+
+
+def _group_pairs(g: Groups, i: int, w: int, side: np.ndarray | None, same: bool, percent: int) -> np.ndarray:
+    """Parts of bitmap width w, not smaller than part i, that may hold a set linked to one of i's: sizes, labels and the bits in which all members of one differ from all of the other decide."""
+    js = np.flatnonzero(g.words == w)
+    one = (g.low[js] == g.high[js]) & (g.low[i] == g.high[i]) & (g.low[js] == g.low[i])
+    ok = (js > i) & (percent * g.n[js] <= 100 * g.n[i]) & ~one
+    if side is not None:
+        ok &= side[js] != side[i]
+    if not same:
+        ok &= g.gid[js] != g.gid[i]
+    js = js[ok]
+    if not len(js):
+        return js
+    at, mine = g.place[js], g.words[i]
+    value, known = _folded_known(g.value[w][at], g.known[w][at], mine)
+    apart = np.bitwise_count((value ^ g.value[mine][g.place[i]]) & known & g.known[mine][g.place[i]]).sum(axis=1, dtype=np.int64)
+    return js[apart <= _most_apart(g.n[i], g.n[js], percent)]
+
+
+def _near_pairs(g: Groups, side: np.ndarray | None, same: bool, forest: bool, percent: int) -> Iterator[tuple[int, np.ndarray]]:
+    """(a, bs): members with different labels whose sizes and bitmaps don't exclude a link.
+
+    Pairs of group parts are filtered first, and only members of pairs that are left are compared: a set differs from another by at least as many shingles as their parity bitmaps
+    differ by bits. With `side`, only parts of different sides meet. With `same`, parts of one group meet, and the members of one part (unless there are sides). With `forest`, just enough pairs are given to join what all would connect.
     """
-    order = np.argsort(n, kind="stable")
-    words = np.array([len(x) for x in maps])
-    stacks = {w: np.stack([maps[k] for k in order[words[order] == w]]) for w in np.unique(words)}
-    where = {w: order[words[order] == w] for w in stacks}
-    label = label.copy()
-    for i in order:
-        for w, stack in stacks.items():
-            if w not in (words[i], 2 * words[i], 4 * words[i]):
-                continue
-            js, mine, theirs = where[w], maps[i], stack
-            ok = (n[js] >= n[i]) & (percent * n[js] <= 100 * n[i]) & (label[js] != label[i]) & (js != i)
-            ok &= (n[js] > n[i]) | (js > i)
-            if side is not None:
-                ok &= side[js] != side[i]
-            at = np.flatnonzero(ok)
-            if not len(at):
+    for i in range(len(g.n)):
+        met = [np.array([i])] if same and side is None and g.first[i + 1] - g.first[i] > 1 else []
+        met += [_group_pairs(g, i, w, side, same, percent) for w in (g.words[i], 2 * g.words[i], 4 * g.words[i]) if w in g.of_width]
+        for js in met:
+            if not len(js):
                 continue
-            theirs = theirs[at]
-            while theirs.shape[1] > len(mine):
-                half = theirs.shape[1] // 2
-                theirs = theirs[:, :half] ^ theirs[:, half:]
-            apart = np.bitwise_count(theirs ^ mine).sum(axis=1, dtype=np.int64)
-            found = js[at[apart <= _most_apart(n[i], n[js[at]], percent)]]
-            if forest and len(found):
-                _, firsts = np.unique(label[found], return_index=True)
-                found = found[firsts]
-                label[np.isin(label, label[found])] = label[i]
-            if len(found):
-                yield i, found
+            theirs = g.members(js)
+            size = np.repeat(g.n[js], np.diff(g.first)[js])
+            maps = _folded(g.of_width[g.words[js[0]]][g.at[theirs]], g.words[i])
+            for a in range(g.first[i], g.first[i + 1]):
+                ok = g.label[theirs] != g.label[a]
+                if js[0] == i:
+                    ok &= theirs > a
+                ok[ok] = np.bitwise_count(maps[ok] ^ g.of_width[g.words[i]][g.at[a]]).sum(axis=1, dtype=np.int64) <= _most_apart(g.n[i], size[ok], percent)
+                found = theirs[ok]
+                if not len(found):
+                    continue
+                if forest:
+                    _, firsts = np.unique(g.label[found], return_index=True)
+                    found = found[firsts]
+                    g.label[np.isin(g.label, g.label[found])] = g.label[a]
+                    g.spread()
+                yield a, found
 
 
 def _candidates(rows: DataFrame, forest: bool, percent: int) -> DataFrame:
-    """Pairs (a, b) of nodes that meet in a tile and may link. rows: tile columns b0, b1, i, j, then node, n, label, chunk, bitmap."""
+    """Pairs (a, b) of nodes that meet in a tile and may link. rows: tile columns b0, b1, x, y, then own (x or y), gid, n, nodes, labels, bitmaps of a group part.
+
+    Buckets with b0 = 1 hold the parts of one group, whose members meet across parts and within; in others, parts of one group do not meet.
+    """
 
     def compared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         open_key, held, out = None, [], []
 
         def close() -> None:
-            if len(held) < 2:
+            if not held or (len(held) < 2 and not open_key[0]):
                 return
-            node = np.array([r[0] for r in held])
-            maps = [np.frombuffer(r[3], dtype="<u8") for r in held]
-            side = np.array([r[4] for r in held]) if open_key[2] != open_key[3] else None
-            for i, js in _near_pairs(np.array([r[1] for r in held]), maps, np.array([r[2] for r in held]), side, forest, percent):
-                out.extend((min(node[i], node[j]), max(node[i], node[j])) for j in js)
+            g = Groups(np.array([r[1] for r in held]), np.array([r[2] for r in held]), [r[3:] for r in held])
+            side = np.array([r[0] for r in held])[g.order] if open_key[2] != open_key[3] else None
+            for a, bs in _near_pairs(g, side, bool(open_key[0]), forest, percent):
+                out.extend((min(g.node[a], g.node[b]), max(g.node[a], g.node[b])) for b in bs)
 
         def batch_out() -> pa.RecordBatch:
             pairs = np.array(sorted(set(out)), dtype=np.int64).reshape(-1, 2)
@@ -238,12 +303,12 @@ def _candidates(rows: DataFrame, forest: bool, percent: int) -> DataFrame:
                     open_key, held = key, []
                     if len(out) > 50_000:
                         yield batch_out()
-                held.append((row[0], row[1], row[2], row[4], row[3]))
+                held.append(row)
         close()
         yield batch_out()
 
-    tiled = rows.repartition("b0", "b1", "i", "j").sortWithinPartitions("b0", "b1", "i", "j")
-    return tiled.select("b0", "b1", "i", "j", "node", "n", "label", "chunk", "bitmap").mapInArrow(compared, "a long, b long").distinct()
+    tiled = rows.repartition("b0", "b1", "x", "y").sortWithinPartitions("b0", "b1", "x", "y")
+    return tiled.select("b0", "b1", "x", "y", "own", "gid", "n", "nodes", "labels", "bitmaps").mapInArrow(compared, "a long, b long").distinct()
 
 
 def _verified(docs: DataFrame, pairs: DataFrame, stages: Stages, width: int, percent: int) -> DataFrame:
@@ -268,24 +333,50 @@ def _verified(docs: DataFrame, pairs: DataFrame, stages: Stages, width: int, per
     return links
 
 
-def _tiles(buckets: DataFrame, labels: DataFrame | None, seed: int, all_pairs: bool) -> DataFrame:
-    """Rows of _candidates() for buckets (b0, b1, node, m, n, bitmap) that hold different labels.
+def _labelled(parts: DataFrame, labels: DataFrame | None) -> DataFrame:
+    """(gid, part, n, labels, lo, hi): the labels of each part's members in their order, and the smallest and the largest; a node without a label is its own."""
+    if labels is None:
+        named = parts.select("gid", "part", "n", F.col("nodes").alias("labels"))
+    else:
+        told = parts.select("gid", "part", F.posexplode("nodes").alias("pos", "node")).join(labels, "node").groupBy("gid", "part").agg(F.map_from_entries(F.collect_list(F.struct("pos", "label"))).alias("new"))
+        own = F.transform("nodes", lambda x, k: F.coalesce(F.col("new")[k], x))
+        named = parts.select("gid", "part", "n", "nodes").join(told, ["gid", "part"], "left").select("gid", "part", "n", F.when(F.col("new").isNull(), F.col("nodes")).otherwise(own).alias("labels"))
+    return named.withColumns({"lo": F.array_min("labels"), "hi": F.array_max("labels")})
+
 
-    A bucket of more than TILE nodes is cut into chunks by hash. With `all_pairs` every two chunks meet; else each chunk stays alone.
+def _chunk_id(band: Column, kind: Column, chunk: Column) -> Column:
+    return F.shiftleft(band.cast("long") * 2 + kind, 32) + chunk
+
+
+def _tiles(buckets: DataFrame, parts: DataFrame, labels: DataFrame | None, seed: int, all_pairs: bool, percent: int) -> DataFrame:
+    """Rows of _candidates() for the buckets (b0, b1, gid) whose members hold different labels.
+
+    A bucket of at most TILE group parts is one tile. A larger one is cut into chunks by hash. Without `all_pairs` each chunk stays alone. With it chunks meet, but only those of
+    neighbouring size bands (sets of others are too unlike in size to link) and only where not both hold nothing but the bucket's commonest label: so a bucket that is connected
+    but for a few members copies its rows to the chunks of these few alone.
     """
-    known = buckets.withColumn("label", F.col("node")) if labels is None else (
-        buckets.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    )
-    if labels is not None:
-        mixed = known.groupBy("b0", "b1").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("b0", "b1")
-        known = known.join(mixed, ["b0", "b1"], "left_semi")
-    parts = F.ceil(F.col("m") / F.lit(TILE)).cast("int")
-    cut = known.withColumn("parts", parts).withColumn("chunk", F.pmod(F.xxhash64("node", F.lit(seed)), F.col("parts")).cast("int"))
-    if all_pairs:
-        cut = cut.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    else:
-        cut = cut.withColumn("other", F.col("chunk"))
-    return cut.select("b0", "b1", F.least("chunk", "other").alias("i"), F.greatest("chunk", "other").alias("j"), "node", "n", "label", "chunk", "bitmap")
+    bucket = ["b0", "b1"]
+    placed = buckets.join(_labelled(parts, labels), "gid")
+    sizes = placed.groupBy(*bucket).agg(F.count(F.lit(1)).alias("m"), F.min("lo").alias("least"), F.max("hi").alias("most")).where("least <> most").select(*bucket, "m")
+    placed = placed.join(sizes, bucket)
+    full = placed.join(parts.select("gid", "part", "nodes", "bitmaps"), ["gid", "part"])
+    chunk_of = lambda column, n: F.pmod(F.xxhash64("gid", "part", F.lit(seed)), F.ceil(F.col(n) / F.lit(TILE))).cast("long").alias(column)
+    columns = [*bucket, "x", "y", "own", "gid", "n", "nodes", "labels", "bitmaps"]
+    if not all_pairs:
+        return full.select("*", chunk_of("own", "m")).withColumns({"x": F.col("own"), "y": F.col("own")}).select(*columns)
+    small = full.where(F.col("m") <= TILE).withColumns({c: F.lit(0).cast("long") for c in ("own", "x", "y")}).select(*columns)
+    band = F.floor(F.log(F.col("n").cast("double")) / F.lit(math.log(101 / percent)))  # a little wider than linked sizes are apart
+    large = placed.where(F.col("m") > TILE).withColumn("band", band)
+    common = large.where("lo = hi").groupBy(*bucket, "lo").agg(F.count(F.lit(1)).alias("k")).groupBy(*bucket).agg(F.max_by("lo", F.struct("k", "lo")).alias("common"))
+    large = large.join(common, bucket, "left").withColumn("kind", F.when((F.col("lo") == F.col("hi")) & (F.col("lo") == F.col("common")), 0).otherwise(1))
+    cells = large.groupBy(*bucket, "band", "kind").agg(F.count(F.lit(1)).alias("held"))
+    near = cells.select(*bucket, F.explode(F.array(F.col("band") - 1, F.col("band"), F.col("band") + 1)).alias("band"), F.struct(F.col("band").alias("band"), "kind", F.ceil(F.col("held") / F.lit(TILE)).alias("chunks")).alias("other"))
+    partners = cells.join(near, [*bucket, "band"]).where("kind = 1 or other.kind = 1").groupBy(*bucket, "band", "kind", "held").agg(F.collect_list("other").alias("others"))
+    theirs = F.flatten(F.transform("others", lambda o: F.transform(F.sequence(F.lit(0).cast("long"), o["chunks"] - 1), lambda c: _chunk_id(o["band"], o["kind"], c))))
+    own = large.join(partners, [*bucket, "band", "kind"]).select("*", chunk_of("chunk", "held")).withColumn("own", _chunk_id(F.col("band"), F.col("kind"), F.col("chunk")))
+    met = own.select(*bucket, "gid", "part", "n", "labels", "own", theirs.alias("theirs")).join(parts.select("gid", "part", "nodes", "bitmaps"), ["gid", "part"])
+    met = met.withColumn("other", F.explode("theirs")).withColumns({"x": F.least("own", "other"), "y": F.greatest("own", "other")})
+    return small.unionByName(met.select(*columns))
 
 
 def near_copies(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
@@ -295,12 +386,13 @@ def near_copies(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) ->
     lower-cased in A-Z. With fewer than `width` words the whole sequence is the only shingle; without words the set is empty and links with nothing.
 
     1. Shingles are counted into a table of fixed size, which orders them from rare to common (any order gives the same links).
-    2. Documents with equal sets become one node. Nodes with equal prefixes and sizes become one group.
+    2. Documents with equal sets become one node. Nodes with equal prefixes and sizes become one group; a group of many nodes is cut into parts of a few.
     3. Groups meet in a bucket for each shingle of their prefixes; buckets with the same groups are the same bucket, and buckets with the same smallest
-       group are joined into one, which holds the same pairs and more, but each once. Groups expand to their nodes;
-       in each bucket pairs that sizes and bitmaps exclude are dropped. No pairs are made of what is known to be connected:
-       one round (two, where a bucket is cut into tiles) proposes a forest for each bucket, whose links are verified on whole sets and joined to components, and a last one proposes every
-       remaining pair across components. Buckets of any size are cut into tiles.
+       group are joined into one, which holds the same pairs and more, but each once. The parts of a group of several meet in a bucket of their own.
+       In a bucket pairs of group parts are filtered by size and by the bits that all members of a part share; the pairs that are left expand to pairs of members,
+       which their own bitmaps filter again, and whole sets verify. No pairs are made of what is known to be connected:
+       one round (two, where a bucket is larger than a tile) proposes a forest for each tile, whose links are verified and joined to components, and a last one proposes every
+       remaining pair across components. The number of rounds changes what is compared, never which documents are linked.
     4. Components of verified links are handed to all documents with the same set.
 
     Null and empty texts have n_shingles 0 and their own id as component. Rows that repeat an id are each given the component of their own
@@ -321,17 +413,20 @@ def near_copies(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) ->
     tokens = stages.write(lists.where("groups > 1").groupBy("groups", "x1", "x2").agg(F.min("token").alias("token"), F.min("leader").alias("leader")).select("token", "leader"))
     few = _marked_only(groups.select("gid", "prefix"), "prefix", tokens.select("token")).select("gid", F.explode("prefix").alias("token"))
     met = few.join(tokens, "token").select(F.lit(0).alias("b0"), F.col("leader").alias("b1"), "gid").distinct()
-    alone = grouped.groupBy("gid").agg(F.count(F.lit(1)).alias("size")).where("size > 1").select(F.lit(1).alias("b0"), F.col("gid").alias("b1"), "gid")
-    expanded = stages.write(met.union(alone).join(grouped, "gid").select("b0", "b1", "node"))
-    stages.drop(groups)
-    sizes = expanded.groupBy("b0", "b1").agg(F.count(F.lit(1)).alias("m"))
-    maps = _marked_only(nodes.select("node", "n", "bitmap"), "node", expanded.select("node"))
-    buckets = stages.write(expanded.join(sizes, ["b0", "b1"]).join(maps, "node"))
-    cut = buckets.agg(F.max("m")).first()[0]
-    turns = [(1, False), (2, False), (3, True)] if (cut or 0) > TILE else [(1, False), (3, True)]  # the second forest only reaches over chunks
+    several = grouped.groupBy("gid").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
+    buckets = stages.write(met.union(several.select(F.lit(1).alias("b0"), F.col("gid").alias("b1"), "gid")))
+    stages.drop(groups, tokens)
+    inside = _marked_only(grouped.select("gid", "node"), "gid", buckets.select("gid")).join(several, "gid", "left")
+    maps = _marked_only(nodes.select("node", "n", "bitmap"), "node", inside.select("node"))
+    cut = F.when(F.col("size").isNull(), 0).otherwise(F.pmod(F.xxhash64("node"), F.ceil(F.col("size") / F.greatest(F.lit(1), F.least(F.lit(PART), F.expr(f"{PART_SHINGLES} DIV n"))))))
+    dealt = maps.join(inside, "node").select("gid", cut.cast("int").alias("part"), "n", F.struct("node", "bitmap").alias("member"))
+    held = dealt.groupBy("gid", "part", "n").agg(F.collect_list("member").alias("members"))
+    parts = stages.write(held.select("gid", "part", "n", F.col("members.node").alias("nodes"), F.col("members.bitmap").alias("bitmaps")))
+    largest = buckets.join(parts.select("gid"), "gid").groupBy("b0", "b1").count().agg(F.max("count")).first()[0]
+    turns = [(1, False), (2, False), (3, True)] if (largest or 0) > TILE else [(1, False), (3, True)]  # the second forest only reaches over chunks
     links = labels = None
     for turn, (seed, all_pairs) in enumerate(turns):
-        pairs = stages.write(_candidates(_tiles(buckets, labels, seed, all_pairs), not all_pairs, percent))
+        pairs = stages.write(_candidates(_tiles(buckets, parts, labels, seed, all_pairs, percent), not all_pairs, percent))
         found = _verified(docs, pairs, stages, width, percent)
         links = found if links is None else links.union(found)
         if turn == 0 or not found.isEmpty():
@@ -339,6 +434,7 @@ def near_copies(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) ->
         stages.drop(pairs)
     keys = nodes.select("d1", "d2", "n", "node").withColumnRenamed("n", "n0")
     keys = stages.write(keys.join(labels, "node", "left").select("d1", "d2", "n0", F.coalesce("label", "node").alias("root")))
+    stages.keep_only(members, keys)
     same = (members.d1 == keys.d1) & (members.d2 == keys.d2) & (members.n == keys.n0)
     return members.join(keys, same, "left").select(
         "doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("root")).otherwise(F.col("doc_id")).alias("component_id")
