@@ -348,33 +348,37 @@ def _chunk_id(band: Column, kind: Column, chunk: Column) -> Column:
     return F.shiftleft(band.cast("long") * 2 + kind, 32) + chunk
 
 
-def _tiles(buckets: DataFrame, parts: DataFrame, labels: DataFrame | None, seed: int, all_pairs: bool, percent: int) -> DataFrame:
-    """Rows of _candidates() for the buckets (b0, b1, gid) whose members hold different labels.
+def _tiles(buckets: DataFrame, parts: DataFrame, labels: DataFrame | None, seed: int, stages: Stages, all_pairs: bool, large_only: bool, percent: int) -> DataFrame:
+    """Rows of _candidates() for the buckets (b0, b1, gid) whose members hold different labels; with `large_only`, of more than TILE group parts.
 
     A bucket of at most TILE group parts is one tile. A larger one is cut into chunks by hash. Without `all_pairs` each chunk stays alone. With it chunks meet, but only those of
     neighbouring size bands (sets of others are too unlike in size to link) and only where not both hold nothing but the bucket's commonest label: so a bucket that is connected
-    but for a few members copies its rows to the chunks of these few alone.
+    but for a few members copies its rows to the chunks of these few alone. Keys without bitmaps are written first, so that joins on a bucket stand alone and large buckets can be split.
     """
     bucket = ["b0", "b1"]
-    placed = buckets.join(_labelled(parts, labels), "gid")
-    sizes = placed.groupBy(*bucket).agg(F.count(F.lit(1)).alias("m"), F.min("lo").alias("least"), F.max("hi").alias("most")).where("least <> most").select(*bucket, "m")
-    placed = placed.join(sizes, bucket)
-    full = placed.join(parts.select("gid", "part", "nodes", "bitmaps"), ["gid", "part"])
-    chunk_of = lambda column, n: F.pmod(F.xxhash64("gid", "part", F.lit(seed)), F.ceil(F.col(n) / F.lit(TILE))).cast("long").alias(column)
+    keyed = stages.write(buckets.join(_labelled(parts, labels), "gid"))
+    sizes = keyed.groupBy(*bucket).agg(F.count(F.lit(1)).alias("m"), F.min("lo").alias("least"), F.max("hi").alias("most")).where("least <> most")
+    sizes = sizes.where(F.col("m") > TILE) if large_only else sizes
+    placed = stages.write(keyed.join(sizes.select(*bucket, "m"), bucket))
+    maps = parts.select("gid", "part", "nodes", "bitmaps")
+    chunk_of = lambda n: F.pmod(F.xxhash64("gid", "part", F.lit(seed)), F.ceil(F.col(n) / F.lit(TILE))).cast("long")
     columns = [*bucket, "x", "y", "own", "gid", "n", "nodes", "labels", "bitmaps"]
     if not all_pairs:
-        return full.select("*", chunk_of("own", "m")).withColumns({"x": F.col("own"), "y": F.col("own")}).select(*columns)
-    small = full.where(F.col("m") <= TILE).withColumns({c: F.lit(0).cast("long") for c in ("own", "x", "y")}).select(*columns)
+        return placed.withColumn("own", chunk_of("m")).withColumns({"x": F.col("own"), "y": F.col("own")}).join(maps, ["gid", "part"]).select(*columns)
+    small = placed.where(F.col("m") <= TILE).withColumns({c: F.lit(0).cast("long") for c in ("own", "x", "y")}).join(maps, ["gid", "part"]).select(*columns)
+    large = placed.where(F.col("m") > TILE)
+    if large.isEmpty():
+        return small
     band = F.floor(F.log(F.col("n").cast("double")) / F.lit(math.log(101 / percent)))  # a little wider than linked sizes are apart
-    large = placed.where(F.col("m") > TILE).withColumn("band", band)
     common = large.where("lo = hi").groupBy(*bucket, "lo").agg(F.count(F.lit(1)).alias("k")).groupBy(*bucket).agg(F.max_by("lo", F.struct("k", "lo")).alias("common"))
-    large = large.join(common, bucket, "left").withColumn("kind", F.when((F.col("lo") == F.col("hi")) & (F.col("lo") == F.col("common")), 0).otherwise(1))
+    kind = F.when((F.col("lo") == F.col("hi")) & (F.col("lo") == F.col("common")), 0).otherwise(1)
+    large = stages.write(large.join(common, bucket, "left").withColumns({"band": band, "kind": kind}))
     cells = large.groupBy(*bucket, "band", "kind").agg(F.count(F.lit(1)).alias("held"))
     near = cells.select(*bucket, F.explode(F.array(F.col("band") - 1, F.col("band"), F.col("band") + 1)).alias("band"), F.struct(F.col("band").alias("band"), "kind", F.ceil(F.col("held") / F.lit(TILE)).alias("chunks")).alias("other"))
     partners = cells.join(near, [*bucket, "band"]).where("kind = 1 or other.kind = 1").groupBy(*bucket, "band", "kind", "held").agg(F.collect_list("other").alias("others"))
     theirs = F.flatten(F.transform("others", lambda o: F.transform(F.sequence(F.lit(0).cast("long"), o["chunks"] - 1), lambda c: _chunk_id(o["band"], o["kind"], c))))
-    own = large.join(partners, [*bucket, "band", "kind"]).select("*", chunk_of("chunk", "held")).withColumn("own", _chunk_id(F.col("band"), F.col("kind"), F.col("chunk")))
-    met = own.select(*bucket, "gid", "part", "n", "labels", "own", theirs.alias("theirs")).join(parts.select("gid", "part", "nodes", "bitmaps"), ["gid", "part"])
+    own = large.join(partners, [*bucket, "band", "kind"]).withColumn("own", _chunk_id(F.col("band"), F.col("kind"), chunk_of("held")))
+    met = own.select(*bucket, "gid", "part", "n", "labels", "own", theirs.alias("theirs")).join(maps, ["gid", "part"])
     met = met.withColumn("other", F.explode("theirs")).withColumns({"x": F.least("own", "other"), "y": F.greatest("own", "other")})
     return small.unionByName(met.select(*columns))
 
@@ -423,15 +427,14 @@ def near_copies(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) ->
     held = dealt.groupBy("gid", "part", "n").agg(F.collect_list("member").alias("members"))
     parts = stages.write(held.select("gid", "part", "n", F.col("members.node").alias("nodes"), F.col("members.bitmap").alias("bitmaps")))
     largest = buckets.join(parts.select("gid"), "gid").groupBy("b0", "b1").count().agg(F.max("count")).first()[0]
-    turns = [(1, False), (2, False), (3, True)] if (largest or 0) > TILE else [(1, False), (3, True)]  # the second forest only reaches over chunks
+    turns = [1, 2, 3] if (largest or 0) > TILE else [1, 3]  # the second forest only reaches over chunks
     links = labels = None
-    for turn, (seed, all_pairs) in enumerate(turns):
-        pairs = stages.write(_candidates(_tiles(buckets, parts, labels, seed, all_pairs, percent), not all_pairs, percent))
+    for turn in turns:
+        pairs = stages.write(_candidates(_tiles(buckets, parts, labels, turn, stages, turn == 3, turn == 2, percent), turn < 3, percent))
         found = _verified(docs, pairs, stages, width, percent)
         links = found if links is None else links.union(found)
-        if turn == 0 or not found.isEmpty():
+        if turn == 1 or not found.isEmpty():
             labels = components(links, stages)
-        stages.drop(pairs)
     keys = nodes.select("d1", "d2", "n", "node").withColumnRenamed("n", "n0")
     keys = stages.write(keys.join(labels, "node", "left").select("d1", "d2", "n0", F.coalesce("label", "node").alias("root")))
     stages.keep_only(members, keys)
