@@ -104,6 +104,25 @@ def test_mix_meets_its_limits(docs, none):
     assert mixing.mix(none).count() == 0 and mixing.mixed(docs).columns == docs.columns
 
 
+def test_mix_comes_near_its_targets(spark):
+    rng = random.Random(5)
+    data = [(k, "w " * int(rng.paretovariate(0.8) * 5 if k % 50 else 20_000), f"s{k % 7}") for k in range(3000)]
+    data += [(10_000 + k, "w " * 3, "s1") for k in range(40)] + [(None, "w " * 7, "s2")] * 30 + [(5, "w w", "s5")] * 3
+    got = mixing.mix(spark.createDataFrame(data, "doc_id long, text string, source string").repartition(5)).collect()
+    taken, target = {}, {}
+    for r in got:
+        taken[r.source], target[r.source] = taken.get(r.source, 0) + r.taken, r.target
+    assert len(got) == len(data) and all(r.taken <= 3 * r.size for r in got)
+    assert all(abs(taken[s] - target[s]) <= 0.005 * target[s] for s in target)
+
+
+def test_mix_keeps_columns_that_clash_and_repeats(spark):
+    data = [(k % 5, f"w {k}", "s", k) for k in range(20)]
+    df = spark.createDataFrame(data, "doc_id long, text string, source string, number long").withColumnsRenamed({"number": "rows"}).withColumn("id", F.lit(1))
+    once = sorted(map(tuple, mixing.mixed(df).collect()))
+    assert once == sorted(map(tuple, mixing.mixed(df.repartition(3)).collect())) and sorted({r[3] for r in once}) == list(range(20))
+
+
 def test_mix_emits_every_row_it_counts(spark, docs):
     data = [(None if k % 3 else k, "w " * (k % 7), f"s{k % 2}" if k % 5 else None, k) for k in range(120)]
     for df in (docs, spark.createDataFrame(data, "doc_id long, text string, source string, k long").repartition(3)):

@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from tricount.functions.lineage import ensure_folder
+
 #: Words of a text, as a Java and DuckDB pattern.
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -16,15 +17,18 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def unused(df: DataFrame, name: str) -> str:
+    """A name for a further column that the table does not have."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share, from spark.checkpoint.dir; a temporary one only where that is unset, as in tests."""
-    there = spark.conf.get("spark.checkpoint.dir", None)
-    if not there:
-        context = spark.sparkContext
-        if not context.getCheckpointDir():
-            context.setCheckpointDir(tempfile.mkdtemp(prefix="tricount-"))
-        there = context.getCheckpointDir()
-    return there
+    """The folder that driver and executors share, from spark.checkpoint.dir; where that is unset, the context's, or a temporary one if all runs in one process, as in tests."""
+    ensure_folder(spark)
+    return spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
 
 
 class Stages:

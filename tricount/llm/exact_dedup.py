@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tricount.llm.common import Stages
+from tricount.llm.common import Stages, unused
 
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -61,8 +61,9 @@ def exact_copies(docs: DataFrame, keep: str = "min", fingerprint: Callable[[Colu
 
 def drop_copies(docs: DataFrame, keep: str = "max") -> DataFrame:
     """The documents that stay, with all their columns. Rows with a null id carry no identity to drop them by, and stay."""
-    kept = exact_copies(docs, keep).where("kept").select(F.col("doc_id").alias("__kept_id")).distinct()
-    known = docs.where("doc_id is not null").join(kept, F.col("doc_id") == F.col("__kept_id"), "left_semi")
+    name = unused(docs, "kept_id")
+    kept = exact_copies(docs, keep).where("kept").select(F.col("doc_id").alias(name)).distinct()
+    known = docs.where("doc_id is not null").join(kept, F.col("doc_id") == F.col(name), "left_semi")
     return known.unionByName(docs.where("doc_id is null"))
 
 

@@ -12,7 +12,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from tricount.llm import textkit
-from tricount.llm.common import Stages
+from tricount.llm.common import Stages, unused
 from tricount.llm.graph import components
 
 #: Words of a shingle, and the least similarity of linked documents in hundredths.
@@ -446,6 +446,7 @@ def near_copies(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) ->
 
 def one_of_each(docs: DataFrame) -> DataFrame:
     """The documents whose id is their component's, and those with a null id; all columns as they are."""
-    kept = near_copies(docs).where("doc_id = component_id").select(F.col("doc_id").alias("__kept_id")).distinct()
-    known = docs.where("doc_id is not null").join(kept, F.col("doc_id") == F.col("__kept_id"), "left_semi")
+    name = unused(docs, "kept_id")
+    kept = near_copies(docs).where("doc_id = component_id").select(F.col("doc_id").alias(name)).distinct()
+    known = docs.where("doc_id is not null").join(kept, F.col("doc_id") == F.col(name), "left_semi")
     return known.unionByName(docs.where("doc_id is null"))
