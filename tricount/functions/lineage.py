@@ -8,9 +8,14 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def ensure_folder(spark: SparkSession) -> None:
-    """Gives the context its checkpoint folder: the session's spark.checkpoint.dir, or a temporary one only where that is unset, as in tests."""
-    if not spark.sparkContext.getCheckpointDir():
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="tricount-"))
+    """Gives the context its checkpoint folder: the session's spark.checkpoint.dir. Where that is unset, a temporary one if everything runs on this machine, as in tests; a cluster must name one."""
+    context = spark.sparkContext
+    if context.getCheckpointDir():
+        return
+    there = spark.conf.get("spark.checkpoint.dir", None)
+    if not there and not context.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+    context.setCheckpointDir(there or tempfile.mkdtemp(prefix="tricount-"))
 
 
 def checkpointed(df: DataFrame) -> DataFrame:
