@@ -47,14 +47,15 @@ def none(spark):
 def test_top_k_with_ties_and_odd_vectors(spark):
     rng = np.random.default_rng(0)
     data = [(k, rng.integers(-2, 3, 4).astype(float).tolist()) for k in range(230)]
-    data += [(300, [0.5, None, 1.0, 1.0]), (400, None), (500, [float("nan")] * 4), (None, [1.0] * 4), data[7], (600, [])]
+    data += [(300, [0.5, None, 1.0, 1.0]), (400, None), (500, [float("nan")] * 4), (None, [1.0] * 4), data[7], (600, []), (7, [9.0, 9.0, 9.0, 9.0]), (100, [1.0, 2.0, 3.0, 4.0]), data[200]]
     df = spark.createDataFrame(data, "vec_id long, embedding array<double>").repartition(5)
-    good = {k: np.floor(1024 * np.array(v)) for k, v in data[:230]}
+    good = [(k, tuple(int(np.floor(1024 * x)) for x in v) or (0,) * 4) for k, v in data if k is not None and k not in (300, 400, 500)]
     for k, block in ((10, 2), (1000, 4096)):
         got = sorted(map(tuple, topk_search.top_k(df, k=k, block=block).collect()))
         want = []
-        for q in (0, 100, 200):
-            best = sorted(((-int(good[q] @ v), c) for c, v in good.items() if c != q))[:k]
+        for q in (0, 100, 200, 600):
+            asked = {v for i, v in good if i == q}
+            best = sorted((-sum(x * y for x, y in zip(a, v, strict=True)), c) for a in asked for c, v in good if c != q)[:k]
             want += [(q, r + 1, c, -s) for r, (s, c) in enumerate(best)]
         assert got == sorted(want)
     assert topk_search.top_k(df.limit(0)).count() == 0

@@ -40,10 +40,15 @@ class Stages:
         self.number = 0
         self.paths: dict[int, str] = {}
 
-    def write(self, df: DataFrame) -> DataFrame:
+    def folder(self) -> str:
+        """A new folder's path."""
         self.number += 1
-        path = f"{self.root}/{self.number:03d}"
-        df.write.parquet(path)
+        return f"{self.root}/{self.number:03d}"
+
+    def write(self, df: DataFrame, *by: str) -> DataFrame:
+        """The rows as written; with `by`, in a folder for each value of these columns."""
+        path = self.folder()
+        df.write.partitionBy(*by).parquet(path) if by else df.write.parquet(path)
         out = self.spark.read.schema(df.schema).parquet(path)
         self.paths[id(out)] = path
         return out

@@ -10,6 +10,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from tricount.llm.common import Stages
+
 #: Query vectors handled at once; they are broadcast, at 8 bytes a component.
 QUERY_BLOCK = 4096
 #: Cells of a histogram.
@@ -19,11 +21,11 @@ TILE = 512
 
 
 def quantised(column: Column | str, scale: int = 1024) -> Column:
-    """floor(scale * x) of each component; null where the vector is null, or holds a null, NaN or infinite component, or is empty."""
+    """floor(scale * x) of each component; null where the vector is null, or holds a null, NaN or infinite component."""
     v = F.col(column) if isinstance(column, str) else column
     v = F.transform(v, lambda x: x.cast("double"))
     bad = F.exists(v, lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == F.lit(float("inf"))))
-    return F.when(v.isNull() | (F.size(v) == 0) | bad, F.lit(None)).otherwise(F.transform(v, lambda x: F.floor(x * F.lit(float(scale)))))
+    return F.when(v.isNull() | bad, F.lit(None)).otherwise(F.transform(v, lambda x: F.floor(x * F.lit(float(scale)))))
 
 
 def _matrix(column: pa.Array, width: int) -> np.ndarray:
@@ -56,33 +58,35 @@ def top_k(vectors: DataFrame, k: int = 10, every: int = 100, id_col: str = "vec_
     cannot hold the k-th of all). The cell with the k-th score becomes the next range, until ranges are one score wide.
     A last pass keeps scores above that value, and of scores equal to it the k smallest ids of each task; ranks are then given.
 
-    Vectors that are null, empty or hold null or non-finite components take no part, nor do null ids. Shorter vectors count as padded by zeros.
-    A repeated id is one vector (the largest by components). With fewer than k candidates all are returned; an empty table gives no rows.
-    Sums must stay below 2^63 in size.
+    Vectors that are null or hold null or non-finite components take no part, nor do null ids. Shorter vectors count as padded by zeros; an empty one scores 0 with all.
+    Every row is a candidate, so a repeated id comes once for each of its rows. A repeated query id asks with each of its different vectors, and its ranks are those
+    of all these scores together. With fewer than k candidates all are returned; an empty table gives no rows. Sums must stay below 2^63 in size.
+
+    Vectors are made integers once, in a written table; queries are dealt by hash into blocks of some `block`, and each block's rows are written, so a lost executor repeats no other block.
     """
     spark = vectors.sparkSession
-    usable = vectors.select(F.col(id_col).cast("long").alias("vec_id"), quantised(vector_col, scale).alias("v")).where("vec_id is not null and v is not null")
-    repeated = usable.groupBy("vec_id").count().where("count > 1").limit(1).count() > 0
-    if repeated:
-        usable = usable.groupBy("vec_id").agg(F.max("v").alias("v"))
-    stats = usable.agg(
-        F.max(F.size("v")).alias("width"), F.max(F.array_max(F.transform("v", F.abs))).alias("largest"),
-        F.sum((F.col("vec_id") % every == 0).cast("long")).alias("queries"),
-    ).first()
+    stages = Stages(spark, "top")
+    usable = stages.write(vectors.select(F.col(id_col).cast("long").alias("vec_id"), quantised(vector_col, scale).alias("v")).where("vec_id is not null and v is not null"))
+    queries = usable.where(F.col("vec_id") % every == 0).distinct()
+    stats = usable.agg(F.max(F.size("v")).alias("width"), F.max(F.array_max(F.transform("v", F.abs))).alias("largest")).first()
+    asked = queries.count()
     schema = "query_id long, rank int, vec_id long, score long"
-    if not stats.queries:
+    if not asked:
+        stages.drop(usable)
         return spark.createDataFrame([], schema)
-    bound = int(stats.width) * int(stats.largest) ** 2
+    bound = int(stats.width) * int(stats.largest or 0) ** 2
     exact = bound < 1 << 53
-    out: DataFrame | None = None
-    last = None
-    for _ in range(-(-stats.queries // block)):
-        ask = usable.where(F.col("vec_id") % every == 0)
-        ask = (ask if last is None else ask.where(F.col("vec_id") > last)).orderBy("vec_id").limit(block).collect()
-        last = ask[-1].vec_id
-        found = _block(usable, [r.vec_id for r in ask], [r.v for r in ask], int(stats.width), bound, exact, k)
-        out = found if out is None else out.unionByName(found)
-    return out
+    blocks = -(-asked // block)
+    dealt = stages.write(queries.withColumn("block", F.pmod(F.xxhash64("vec_id", "v"), F.lit(blocks)).cast("int")), "block")
+    found = stages.folder()
+    for number in range(blocks):
+        ask = dealt.where(F.col("block") == number).select("vec_id", "v").collect()
+        if ask:
+            _block(usable, [r.vec_id for r in ask], [r.v for r in ask], int(stats.width), bound, exact, k).write.mode("append").parquet(found)
+    stages.drop(usable, dealt)
+    best = W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    rows = spark.read.schema("query_id long, vec_id long, score long").parquet(found)
+    return rows.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
 def _block(usable: DataFrame, ids: list[int], vectors: list[list[int]], width: int, bound: int, exact: bool, k: int) -> DataFrame:
@@ -144,7 +148,7 @@ def _histogram(usable, shared, low, high, cell, settled, exact, k) -> list[tuple
 
 
 def _winners(usable, shared, low, exact, k) -> DataFrame:
-    """Ranked rows of a block, given each query's k-th highest score."""
+    """The k best rows of each query of a block, given its k-th highest score; a query id with several vectors has k for each."""
 
     def kept(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names, queries = shared.value
@@ -173,19 +177,17 @@ def _winners(usable, shared, low, exact, k) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(names[q[b]]), pa.array(v[b]), pa.array(s[b])], names=["query_id", "vec_id", "score"])
 
     best = W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    return (
-        usable.mapInArrow(kept, "query_id long, vec_id long, score long")
-        .withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k)
-        .select("query_id", "rank", "vec_id", "score")
-    )
+    rows = usable.mapInArrow(kept, "query_id long, vec_id long, score long")
+    return rows.withColumn("place", F.row_number().over(best)).where(F.col("place") <= k).drop("place")
 
 
 SQL = """
 WITH v AS (
   SELECT vec_id, list_transform(embedding, lambda x: floor(1024 * x::DOUBLE)) AS v FROM embeddings
-  WHERE vec_id IS NOT NULL AND len(embedding) > 0 AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0
+  WHERE vec_id IS NOT NULL AND embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0
 ), s AS (
-  SELECT q.vec_id AS query_id, c.vec_id, list_inner_product(q.v, c.v)::BIGINT AS score FROM v q JOIN v c ON q.vec_id % 100 = 0 AND q.vec_id <> c.vec_id
+  SELECT q.vec_id AS query_id, c.vec_id, CASE WHEN least(len(q.v), len(c.v)) = 0 THEN 0 ELSE list_inner_product(q.v, c.v) END::BIGINT AS score
+  FROM (SELECT DISTINCT vec_id, v FROM v WHERE vec_id % 100 = 0) q JOIN v c ON q.vec_id <> c.vec_id
 )
 SELECT query_id, rank::INT AS rank, vec_id, score FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rank FROM s) WHERE rank <= 10
 """
