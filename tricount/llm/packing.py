@@ -20,7 +20,7 @@ WINDOW, END_ID = 4096, 2
 CACHE_WORDS = 1_000_000
 #: New words are encoded so many at a time, with this word between them.
 JOINED, BETWEEN = 256, "→"
-#: Partially filled windows held at once; at this many they are closed early, with nothing lost.
+#: Partially filled windows a task holds (some 8 KB each): when there are more, the fullest one is filled up from the emptiest.
 OPEN_WINDOWS = 4096
 
 SCHEMA = "doc_id long, start long, length long, doc_tokens long, sequence_id long, offset long, ids binary"
@@ -103,12 +103,12 @@ class Packer:
 
     A document's whole windows are cut off first. The rest goes to the fill level for which the sum, over levels, of the squared count of
     windows at that level is least afterwards; an empty window is one of the choices, and ties go to the fullest. `count[level]` is
-    the level array. Full windows are handed out at once. At the end (or when too many are open) what the open windows hold is
-    cut anew, in order, into full windows, and the last remainder into powers of two, which need no padding.
+    the level array. Full windows are handed out at once. With more than `most` windows open, and for all of them at the end, the fullest window is
+    filled up with what the emptiest one holds, cut where it is full: so fuller windows keep what was placed in them, and one window at most is left to be padded.
     """
 
-    def __init__(self, first_sequence: int, window: int = WINDOW) -> None:
-        self.window, self.next = window, first_sequence
+    def __init__(self, first_sequence: int, window: int = WINDOW, most: int | None = None) -> None:
+        self.window, self.next, self.most = window, first_sequence, OPEN_WINDOWS if most is None else most
         self.count = np.zeros(window + 1, dtype=np.int64)
         self.open: dict[int, list[list]] = {}
         self.held = 0
@@ -142,41 +142,46 @@ class Packer:
             return
         piece = (doc, whole, ids[whole:], total)
         level = self.level_for(size)
-        if level:
-            pieces = self.open[level].pop()
-            self.count[level] -= 1
-            self.held -= 1
-            pieces.append(piece)
-        else:
-            pieces = [piece]
-        level += size
+        pieces = self._open_at(level) if level else []
+        pieces.append(piece)
+        self._put(level + size, pieces)
+        while self.held > self.most:
+            self._fill_up()
+
+    def _open_at(self, level: int) -> list[tuple]:
+        self.count[level] -= 1
+        self.held -= 1
+        return self.open[level].pop()
+
+    def _fill_up(self) -> None:
+        """Moves what the emptiest window holds into the fullest, as far as there is room."""
+        levels = np.flatnonzero(self.count)
+        most, least = int(levels[-1]), int(levels[0])
+        into, out = self._open_at(most), self._open_at(least)
+        while out and most < self.window:
+            doc, start, ids, total = out.pop()
+            keep = max(0, len(ids) - (self.window - most))
+            into.append((doc, start + keep, ids[keep:], total))
+            most, least = most + len(ids) - keep, least - len(ids) + keep
+            if keep:
+                out.append((doc, start, ids[:keep], total))
+        self._put(most, into)
+        if out:
+            self._put(least, out)
+
+    def _put(self, level: int, pieces: list[tuple]) -> None:
         if level == self.window:
             self._emit(pieces)
             return
         self.open.setdefault(level, []).append(pieces)
         self.count[level] += 1
         self.held += 1
-        if self.held >= OPEN_WINDOWS:
-            self.close()
 
     def close(self) -> None:
-        pieces = [p for level in sorted(self.open, reverse=True) for window in self.open[level] for p in window]
-        self.open, self.held = {}, 0
-        self.count[:] = 0
-        left = sum(len(p[2]) for p in pieces)
-        sizes = [self.window] * (left // self.window) + [1 << k for k in range(self.window.bit_length(), -1, -1) if (left % self.window) >> k & 1]
-        now: list[tuple] = []
-        room = sizes[0] if sizes else 0
-        turn = 0
-        for doc, start, ids, total in pieces:
-            while len(ids):
-                take = min(room, len(ids))
-                now.append((doc, start, ids[:take], total))
-                start, ids, room = start + take, ids[take:], room - take
-                if not room:
-                    self._emit(now)
-                    now, turn = [], turn + 1
-                    room = sizes[turn] if turn < len(sizes) else 0
+        while self.held > 1:
+            self._fill_up()
+        for level in np.flatnonzero(self.count).tolist():
+            self._emit(self._open_at(level))
 
     def taken(self) -> list[tuple]:
         out, self.done = self.done, []
@@ -187,8 +192,8 @@ def pack(docs: DataFrame, tokenizer_path: str, window: int = WINDOW) -> DataFram
     """Pieces of all documents in sequences of at most `window` tokens: doc_id, start, length, doc_tokens, sequence_id, offset, ids.
 
     A document's ids are its tokens and END_ID; each lies in one piece (`ids`: little-endian unsigned 32-bit). Each input partition is packed by one task in
-    the order of its rows, without a shuffle, and numbers its sequences from its own range, so a repeated task gives the same rows. Sequences are
-    full, or as long as a power of two at the end of a partition: nothing is padded.
+    the order of its rows, without a shuffle, and numbers its sequences from its own range, so a repeated task gives the same rows. All sequences of a partition
+    are full but for one, which is to be padded: with partitions of many documents padding vanishes.
 
     A null or empty text has END_ID alone. Null and repeated ids are packed like others, each row as a document of its own. A long text runs through many sequences.
     An empty table gives no rows. Other columns are ignored.
