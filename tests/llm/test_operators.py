@@ -180,6 +180,7 @@ def test_filling_up_keeps_placed_windows_and_bounds_open_ones():
             want[k] = np.arange(rng.choice([33, 40, rng.randint(1, 200)] if most < 1000 else [rng.randint(1, 63)]), dtype=np.uint32) + 1000 * k
             p.add(k, want[k])
             assert p.held <= most and p.held == sum(map(len, p.open.values())) == p.count.sum()
+        left = p.held
         p.close()
         got, filled = {}, {}
         for doc, start, length, total, sequence, offset, ids in p.done:
@@ -188,7 +189,7 @@ def test_filling_up_keeps_placed_windows_and_bounds_open_ones():
             filled[sequence] = offset + length
             got[doc] = got.get(doc, 0) + length
         assert got == {k: len(v) for k, v in want.items()} and sorted(filled.values())[1:] == [64] * (len(filled) - 1)
-        assert most < 1000 or len(p.done) < 1.1 * len(want)  # few documents are cut
+        assert most < 1000 or len(p.done) - len(want) <= left  # a window that was left open costs one cut at most
 
 
 def test_level_choice_is_the_least_sum_of_squares():
