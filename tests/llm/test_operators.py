@@ -377,3 +377,21 @@ def test_recurrent_gradient_matches_differences():
             up[at] += 1e-2
             down[at] -= 1e-2
             assert abs((f(up) - f(down)) / 2e-2 - grad[at]) < 2e-2
+
+
+def test_secret_scan_on_findings_it_has_not_learned_from(spark):
+    forest = secrets.train(secrets.labelled_findings(spark))
+    fresh = secrets.labelled_findings(spark, 1500, start=50_000).withColumn("doc_id", F.monotonically_increasing_id()).persist()
+    truth = {r.doc_id: r.secret for r in fresh.collect()}
+    found = {r.doc_id for r in secrets.scan_secrets(fresh, forest).where("size(findings) > 0").collect()}
+    hit = sum(truth[k] for k in found)
+    assert hit >= 0.9 * len(found) and hit >= 0.9 * sum(truth.values()), (hit, len(found), sum(truth.values()))
+
+
+def test_a_sample_is_one_bounded_row_for_each_id(spark):
+    from tricount.llm.common import labelled_sample
+
+    data = [(1, "b"), (1, "a"), (2, "x" * 100), (3, None), (4, "c"), (None, "d")]
+    labels = spark.createDataFrame([(1, 1), (2, 1), (3, 1), (4, 0), (None, 1), (5, 1)], "doc_id long, quality int")
+    df = spark.createDataFrame(data, "doc_id long, text string")
+    assert labelled_sample(df, labels, "quality", F.lit(True), 10, longest=50) == [("a", 1), ("c", 0)] and len(labelled_sample(df, labels, "quality", F.lit(True), 1)) <= 1

@@ -75,17 +75,22 @@ def fold(column: Column | str, of: int) -> Column:
     return F.coalesce(F.crc32(column.cast("string")) % F.lit(of), F.lit(0)).cast("int")
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, train: Column, bound: int) -> list[tuple[str, object]]:
-    """(text, label) of at most `bound` labelled rows that satisfy `train`, chosen by the hash of the id.
+#: Bytes of a text up to which a labelled row may be learned from.
+LEARNED_BYTES = 1 << 17
 
-    `bound` rows of ids are broadcast, so its size is the size limit of the broadcast. Null labels, ids and texts
-    are left out. The same rows come back on every run, in the same order.
+
+def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, train: Column, bound: int, longest: int = LEARNED_BYTES) -> list[tuple[str, object]]:
+    """(text, label) of at most `bound` labelled ids that satisfy `train`, chosen by the hash of the id, one row each, of texts of at most `longest` bytes.
+
+    `bound` rows of ids are broadcast, and `bound` texts come to the driver, so both sizes are limited. Null labels, ids and texts
+    are left out; of rows that repeat an id the smallest text is taken. The same rows come back on every run, in the same order.
     """
     picked = (
         labels.where(train & F.col("doc_id").isNotNull() & F.col(label).isNotNull())
         .groupBy("doc_id").agg(F.max(label).alias("label"))
         .orderBy(F.xxhash64("doc_id"), "doc_id").limit(bound)
     )
-    rows = docs.select("doc_id", "text").where("text is not null").join(F.broadcast(picked), "doc_id").collect()
+    fit = docs.select("doc_id", "text").where(F.col("text").isNotNull() & (F.octet_length("text") <= longest))
+    rows = fit.join(F.broadcast(picked), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.max("label").alias("label")).collect()
     rows.sort(key=lambda r: (r.doc_id, r.text))
     return [(r.text, r.label) for r in rows]

@@ -171,7 +171,10 @@ def score_quality(docs: DataFrame, model: AttentionScorer | None) -> DataFrame:
 
 
 def keep_good(docs: DataFrame, model: AttentionScorer | None) -> DataFrame:
-    """The documents predicted to be good, with all their columns, in one pass over the table."""
+    """The documents predicted to be good, with all their columns, in one pass over the table.
+
+    Null and empty texts are scored as texts without words. Rows are judged one by one, so repeated rows share their fate and a null id is no reason to go. An empty table gives no rows.
+    """
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def kept(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -74,8 +74,8 @@ def _described(candidate: str) -> str:
     return f"named_struct({fields})"
 
 
-def labelled_findings(spark: SparkSession, n: int = 2400) -> DataFrame:
-    """(text, secret) rows written from hashes of their numbers: keys in the forms they are issued in and set in, and what scanners mistake for them."""
+def labelled_findings(spark: SparkSession, n: int = 2400, start: int = 0) -> DataFrame:
+    """(text, secret) rows written from hashes of their numbers, from `start` on: keys in the forms they are issued in and set in, and what scanners mistake for them."""
     words = "array('user','config','service','request','handler','table','image','button','order','token','bucket','manager','string','server','default','value')"
     parts = "array('th','er','an','ing','on','re','en','at','or','es','ha','nd','ou','ti','sch','ver','ge','ung','eau','que','ci','ment','lich','ra')"
     word = lambda k: f"element_at({words}, 1 + CAST(conv(substr(h, {k}, 2), 16, 10) AS INT) % 16)"
@@ -102,7 +102,7 @@ def labelled_findings(spark: SparkSession, n: int = 2400) -> DataFrame:
     kinds = [(e, 1) for e in yes] * 2 + [(e, 0) for e in no]
     cases = " ".join(f"WHEN {k} THEN {e}" for k, (e, _) in enumerate(kinds))
     labels = " ".join(f"WHEN {k} THEN {v}" for k, (_, v) in enumerate(kinds))
-    return spark.range(0, n, 1, 1).selectExpr("id", "sha2(CAST(id AS STRING), 256) AS h").selectExpr(f"CASE id % {len(kinds)} {cases} END AS text", f"CASE id % {len(kinds)} {labels} END AS secret")
+    return spark.range(start, start + n, 1, 1).selectExpr("id", "sha2(CAST(id AS STRING), 256) AS h").selectExpr(f"CASE id % {len(kinds)} {cases} END AS text", f"CASE id % {len(kinds)} {labels} END AS secret")
 
 
 def train(findings: DataFrame, bound: int = 20_000) -> Forest:
