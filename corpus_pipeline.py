@@ -37,14 +37,20 @@ STAGES = [
     ("packing", packed_sequences),
 ]
 
-#: The models and the near-copy components have no SQL form; tests hold each stage against a brute-force version.
+#: The models and the near-copy components have no SQL form; tests/llm/test_pipeline.py holds each stage against a brute-force version.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages in order on the documents of `sf_dir`; what a stage keeps is written to the shared folder and read again."""
+    """All stages in order on the documents of `sf_dir`; what a stage keeps is written to the shared folder and read again, and removed when the next stage is written.
+
+    Null and empty texts, repeated and null ids go through each stage as its operator states: a null id is never dropped as a copy, an empty text is scored like others and packed as its
+    end mark alone. An empty table gives no rows. Further columns are carried to the last stage, which returns pieces.
+    """
     stages = Stages(spark, "pipeline")
     docs = table(spark, sf_dir, "documents")
-    for _, stage in STAGES[:-1]:
-        docs = stages.write(stage(spark, docs, sf_dir))
+    for k, (_, stage) in enumerate(STAGES[:-1]):
+        before, docs = docs, stages.write(stage(spark, docs, sf_dir))
+        if k:
+            stages.drop(before)
     return STAGES[-1][1](spark, docs, sf_dir)
