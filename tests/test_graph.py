@@ -81,6 +81,76 @@ def test_plans_give_the_same_rows_and_lists_stay_short(spark):
     assert r.lazy_reads <= r.eager_reads and r.steps <= measures.work_bound(e).first().forward
 
 
+def test_hubs_are_split_and_the_default_plans(spark):
+    star = [(0, k) for k in range(1, 3001)] + [(a, b) for a in range(3001, 3013) for b in range(3001, a)] + [(k, k + 1) for k in range(1, 3000, 2)]
+    e = graph(spark, star).persist()
+    want = brute(star)
+    method, options = planner.choose(e, split_over=100)
+    assert (method, options) == ("forward_grouped", {"split_over": 100}) and planner.plan_statistics(e)["max_in"] >= 1500
+    split_up = count.forward_grouped(e, split_over=100)
+    assert total(split_up) == total(count.triangle_total(e)) == total(count.forward_salted(e, 4, split_over=100)) == want
+    plan = split_up._jdf.queryExecution().optimizedPlan().toString()
+    assert "salt" in plan and "salt" not in count.forward_grouped(e)._jdf.queryExecution().optimizedPlan().toString()
+    lists = prep.out_lists(prep.orient(e))
+    rows = lists.select(studies.F.col("v").alias("src"), studies.F.explode("nbrs").alias("dst"))
+    dealt = count.join_hubs(rows, lists.toDF("dst", "nv"), 100)
+    assert dealt.groupBy("dst", "salt").count().agg({"count": "max"}).first()[0] <= 200
+    assert planner.choose(e, salt_over=1)[0] == "forward_salted"
+
+
+def test_sorting_first_sorts_both_directions(spark):
+    e = gen.rmat(spark, 9).persist()
+    n = e.count()
+    assert {r.plan: r.rows for r in planner.sorted_rows(e).collect()} == {"sort_first": 2 * n, "filter_first": n}
+    costs = planner.plan_costs(prep.preprocess(e, "sort_first"))
+    assert costs["sorted_rows"] == 2 * n and costs["peak_bytes"] > 0
+
+
+def test_subgraphs_fit_their_budget_and_devices_share_a_preparation(spark):
+    e = gen.rmat(spark, 9).persist()
+    want, n = total(count.forward_grouped(e)), e.count()
+    for variant in ("multiset", "weighted"):
+        assert total(split.count_partitioned(e, 3, variant, budget=n // 3)) == want
+    with pytest.raises(ValueError, match="too many edges"):
+        split.count_partitioned(gen.fixture_graph(spark, "star", 60), 3, budget=2)
+    ready = split.Prepared(e, 2)
+    for devices in (1, 2, 4):
+        rows = ready.count(devices).collect()
+        assert sum(r.triangles for r in rows) == want and sum(r.edges for r in rows) == n and len(rows) == devices
+    ready.drop()
+    lists = prep.to_adjacency(prep.edge_array(e))
+    assert total(count.forward_local_lists(lists)) == want and total(count.forward_local_lists(lists.limit(0))) == 0
+
+
+def test_nearest_vectors_of_odd_tables(spark):
+    rows = [(k, [float(k % 7), float(k % 5), 1.0]) for k in range(40)] + [(50, [1.0]), (51, None), (52, [1.0, None, 2.0]), (53, [float("nan"), 1.0, 1.0]), (7, [9.0, 9.0, 9.0]), (None, [1.0, 1.0, 1.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    vectors = {}
+    for k, v in rows:
+        if k is not None and v and all(x is not None and x == x for x in v):
+            vectors[k] = max(vectors.get(k, v), v)
+    score = lambda a, b: sum(x * y for x, y in zip(vectors[a], vectors[b]))  # noqa: B905, E731
+    want = set()
+    for a in vectors:
+        near = sorted((b for b in vectors if b != a), key=lambda b: (-score(a, b), b))[:3]
+        want |= {(min(a, b), max(a, b)) for b in near}
+    for block in (7, 4096):
+        assert {tuple(r) for r in loaders.edges_from_vectors(df, 3, block=block).collect()} == want
+
+
+def test_a_bounded_sample_estimates_without_bias(spark, tmp_path):
+    pairs = [("a", u, v) for u, v in itertools.combinations(range(60), 2)]
+    spark.createDataFrame(pairs, "event_type string, u long, v long").repartition(2).write.parquet(f"{tmp_path}/in")
+    estimates = []
+    for seed in range(6):
+        stream = spark.readStream.schema("event_type string, u long, v long").parquet(f"{tmp_path}/in")
+        Q.streams.run_stream(Q.streams.stateful_triangles(stream, 900, seed), f"{tmp_path}/{seed}", lambda b, n, seed=seed: b.write.mode("overwrite").parquet(f"{tmp_path}/out{seed}/batch={n}"), "update")
+        last = spark.read.parquet(f"{tmp_path}/out{seed}").orderBy("seen", ascending=False).first()
+        assert last.seen == comb(60, 2) and last.held == 900
+        estimates.append(last.estimate)
+    assert abs(sum(estimates) / len(estimates) - comb(60, 3)) < 0.15 * comb(60, 3)
+
+
 def test_sums_and_ids_over_crowded_keys(spark):
     rows = [(k if k < 90 else 10**12 + k, k % 5) for k in range(100)] + [(-7, 3)]
     got = sorted(prep.prefix_sum(spark.createDataFrame(rows, "k long, x long").repartition(5), "k", "x").select("k", "x", "running", "before").collect())
@@ -138,13 +208,16 @@ def test_kernels(pairs):
     kind = pa.list_(pa.int64())
     a, b = pa.array([sorted(x) for x, _ in pairs], kind), pa.array([sorted(y) for _, y in pairs], kind)
     want = [len(x & y) for x, y in pairs]
-    assert kernels.merge(a, b).tolist() == want and kernels.gallop(a, b).tolist() == want
-    for (x, y), steps, lazy, eager in zip(pairs, *kernels.merge_costs(a, b), strict=True):
-        x, y, i, j, n = sorted(x), sorted(y), 0, 0, 0
-        while i < len(x) and j < len(y):
-            n, p, q = n + 1, x[i], y[j]
-            i, j = i + (p <= q), j + (q <= p)
-        assert steps == n and eager == 2 * n and lazy <= 2 * n + 2
+    assert kernels.merge(a, b).tolist() == want and kernels.gallop(a, b).tolist() == want and kernels.sorted_run(a, b).tolist() == want
+    shared, steps, lazy = kernels.walk(a, b)
+    again, moves, eager = kernels.walk(a, b, eager=True)
+    assert shared.tolist() == again.tolist() == want and steps.tolist() == moves.tolist() and eager.tolist() == (2 * steps).tolist()
+    for (x, y), n, reads in zip(pairs, steps, lazy, strict=True):
+        # Elements up to the end of the shorter range are passed, shared ones together; of a list that goes on, the next one has been read.
+        stop = min(max(x), max(y)) if x and y else None
+        passed = [sum(e <= stop for e in z) if x and y else 0 for z in (x, y)]
+        assert n == sum(passed) - (len(x & y) if x and y else 0)
+        assert reads == (sum(passed) + sum(p < len(z) for p, z in zip(passed, (x, y), strict=True)) if x and y else 0)
 
 
 def test_models(spark):
@@ -153,10 +226,10 @@ def test_models(spark):
     assert total(count.forward_grouped(gen.kron_power(gen.fixture_graph(spark, "complete", 3), 3, 2))) == 6
 
 
-@pytest.mark.parametrize("name", ["graph_summary", "list_triangles", "wedge_counts", "stream_incremental", "approx_colour", "tri_ba", "degrees_from_node"])
+@pytest.mark.parametrize("name", ["graph_summary", "list_triangles", "wedge_counts", "stream_incremental", "approx_colour", "tri_ba", "degrees_from_node", "sorted_rows", "truss_4", "split_costs_weighted_6", "stream_closed_windows", "stream_reservoir", "udtf_triangles", "edges_nation_trade"])
 def test_queries_against_sql(spark, name):
     con = duckdb.connect()
-    for t in ("lineitem", "orders", "events", "documents"):
+    for t in ("lineitem", "orders", "events", "documents", "customer", "supplier"):
         con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{SF}/{t}.parquet'")
     rel = con.sql(Q.SQL[name])
     names = sorted(rel.columns)

@@ -111,12 +111,15 @@ def order_ablation(edges: DataFrame) -> DataFrame:
 
 
 def read_counters(edges: DataFrame) -> DataFrame:
-    """(triangles, steps, lazy_reads, eager_reads) of merging both lists of every oriented edge."""
+    """(triangles, steps, lazy_reads, eager_reads) of merging both lists of every oriented edge, as the two kernels count them while they run."""
     o = prep.orient(edges)
     both = attach_lists(o, prep.out_lists(o)).select("nu", "nv")
-    lazy = both.mapInArrow(kernels.counted("merge"), kernels.COUNTED)
-    total = lazy.agg(*[F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in ("triangles", "steps", "reads")])
-    return total.select("triangles", "steps", F.col("reads").alias("lazy_reads"), (2 * F.col("steps")).alias("eager_reads"))
+    sums = {}
+    for kernel in ("merge", "merge_eager"):
+        run = both.mapInArrow(kernels.counted(kernel), kernels.COUNTED)
+        sums[kernel] = run.agg(*[F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in ("triangles", "steps", "reads")])
+    lazy, eager = sums["merge"].withColumnRenamed("reads", "lazy_reads"), sums["merge_eager"].select(F.col("reads").alias("eager_reads"))
+    return lazy.crossJoin(eager).select("triangles", "steps", "lazy_reads", "eager_reads")  # one row each
 
 
 def graph_summary(edges: DataFrame) -> DataFrame:

@@ -9,10 +9,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tricount.functions import kernels
+from tricount.functions.lineage import checkpointed
 from tricount.operators import prep
 
 #: Edges up to which the one-task methods agree to run.
 LOCAL_LIMIT = 5_000_000
+#: Hubs (of some 20 bytes each) up to which their table is broadcast.
+HUBS_LIMIT = 100_000
 
 
 def _total(column: str, df: DataFrame, parts: int = 1) -> DataFrame:
@@ -26,10 +29,11 @@ def attach_lists(oriented: DataFrame, lists: DataFrame, first: str = "dst") -> D
     return oriented.join(of_dst, "dst").join(of_src, "src") if first == "dst" else oriented.join(of_src, "src").join(of_dst, "dst")
 
 
-def forward_lists(edges: DataFrame, kernel: str = "array_intersect", order: str = "degree", first: str = "dst") -> DataFrame:
-    """Sum over oriented edges of the size of the intersection of both out-lists: a triangle is found once, at the edge between its two lowest vertices."""
+def forward_lists(edges: DataFrame, kernel: str = "array_intersect", order: str = "degree", first: str = "dst", partitions: int | None = None) -> DataFrame:
+    """Sum over oriented edges of the size of the intersection of both out-lists: a triangle is found once, at the edge between its two lowest vertices. With `partitions`, joined lists are dealt over so many tasks."""
     oriented = prep.orient(edges, order=order)
     both = attach_lists(oriented, prep.out_lists(oriented), first)
+    both = both.select("nu", "nv").repartition(partitions) if partitions else both
     if kernel in kernels.KERNELS:
         return _total("triangles", both.select("nu", "nv").mapInArrow(kernels.counted(kernel), kernels.COUNTED))
     if kernel != "array_intersect":
@@ -37,23 +41,42 @@ def forward_lists(edges: DataFrame, kernel: str = "array_intersect", order: str
     return _total("n", both.select(F.size(F.array_intersect("nu", "nv")).cast("long").alias("n")))
 
 
-def forward_grouped(edges: DataFrame, order: str = "degree") -> DataFrame:
+def forward_grouped(edges: DataFrame, order: str = "degree", split_over: int | None = None) -> DataFrame:
     """The same with one row per source: its list is exploded beside itself, so only the lists of targets are joined."""
-    return grouped_total(prep.out_lists(prep.orient(edges, order=order)))
+    return grouped_total(prep.out_lists(prep.orient(edges, order=order)), split_over)
 
 
-def grouped_total(lists: DataFrame) -> DataFrame:
-    """The count from ready out-lists (v, nbrs). Only lists of two or more can hold a triangle's lowest vertex, and only lists that are not empty close one."""
-    spread = lists.where(F.size("nbrs") > 1).select(F.col("nbrs").alias("nu"), F.explode("nbrs").alias("dst"))
-    both = spread.join(lists.toDF("dst", "nv"), "dst")
+def grouped_total(lists: DataFrame, split_over: int | None = None) -> DataFrame:
+    """The count from ready out-lists (v, nbrs). Only lists of two or more can hold a triangle's lowest vertex, and only lists that are not empty close one. With `split_over`, targets that more lists name are split (see join_hubs)."""
+    spread = lists.where(F.size("nbrs") > 1).select(F.col("v").alias("src"), F.col("nbrs").alias("nu"), F.explode("nbrs").alias("dst"))
+    both = join_hubs(spread, lists.toDF("dst", "nv"), split_over)
     return _total("n", both.select(F.size(F.array_intersect("nu", "nv")).cast("long").alias("n")))
 
 
-def forward_salted(edges: DataFrame, salt_over: int = 1 << 16, order: str = "degree") -> DataFrame:
+def join_hubs(rows: DataFrame, lists: DataFrame, split_over: int | None) -> DataFrame:
+    """rows (src, dst, ...) with the lists (dst, ...) of their targets, joined on all columns that both have but src.
+
+    A target of more than `split_over` rows is split: its rows are dealt by a hash of the source over so many parts that each holds about that many, and its list, short under
+    the degree order as high degrees come last, is copied to each. The table of such targets has at most one row for every `split_over` rows; it is written first, and broadcast only if it is small.
+    """
+    keys = [c for c in lists.columns if c in rows.columns and c != "src"]
+    if split_over is None:
+        return rows.join(lists, keys)
+    hubs = checkpointed(rows.groupBy(*keys).agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > split_over).select(*keys, F.ceil(F.col("n") / F.lit(split_over)).cast("int").alias("parts")))
+    many = hubs.count()
+    if not many:
+        return rows.join(lists, keys)
+    near = F.broadcast(hubs) if many <= HUBS_LIMIT else hubs
+    dealt = rows.join(near, keys, "left").withColumn("salt", F.coalesce(F.pmod(F.xxhash64("src"), F.col("parts")).cast("int"), F.lit(0))).drop("parts")
+    copied = lists.join(near, keys, "left").withColumn("salt", F.explode(F.sequence(F.lit(0), F.coalesce("parts", F.lit(1)) - 1))).drop("parts")
+    return dealt.join(copied, [*keys, "salt"])
+
+
+def forward_salted(edges: DataFrame, salt_over: int = 1 << 16, order: str = "degree", split_over: int | None = None) -> DataFrame:
     """The list count with heavy lists cut up, so that no row holds much more than `salt_over` ids whatever the order of vertices.
 
     A vertex with n out-neighbours deals them by hash to a power of two of parts, one where n is small. The parts of the finer cut nest in those of the coarser one, so an
-    edge meets each part of the finer list with the one part of the other list that can share ids with it.
+    edge meets each part of the finer list with the one part of the other list that can share ids with it. `split_over` splits targets that many edges name (see join_hubs).
     """
     o = prep.orient(edges, order=order)
     parts = o.groupBy(F.col("src").alias("v")).agg(F.count(F.lit(1)).alias("n")).select("v", F.expr(f"shiftleft(1, CAST(ceil(log2(greatest(n / {salt_over}D, 1D))) AS INT))").alias("k"))
@@ -63,7 +86,7 @@ def forward_salted(edges: DataFrame, salt_over: int = 1 << 16, order: str = "deg
     both = o.join(parts.toDF("src", "ku"), "src").join(parts.toDF("dst", "kv"), "dst")
     spread = both.withColumn("part", F.explode(F.sequence(F.lit(0), F.greatest("ku", "kv") - 1)))
     met = spread.select("src", "dst", within(F.col("part"), F.col("ku")).cast("long").alias("pu"), within(F.col("part"), F.col("kv")).cast("long").alias("pv"))
-    joined = met.join(lists.toDF("src", "pu", "nu"), ["src", "pu"]).join(lists.toDF("dst", "pv", "nv"), ["dst", "pv"])
+    joined = join_hubs(met.join(lists.toDF("src", "pu", "nu"), ["src", "pu"]), lists.toDF("dst", "pv", "nv"), split_over)
     return _total("n", joined.select(F.size(F.array_intersect("nu", "nv")).cast("long").alias("n")))
 
 
@@ -160,7 +183,53 @@ def _one_task(edges: DataFrame, counter, limit: int) -> DataFrame:
     n = edges.count()
     if n > limit:
         raise ValueError(f"{n} edges are too many for one task; the limit is {limit}")
-    return edges.coalesce(1).mapInArrow(counter, "triangles long")
+    return _total("triangles", edges.coalesce(1).mapInArrow(counter, "triangles long"))
+
+
+def _marked_total(start, dst) -> int:
+    """Triangles of out-lists one behind the other (list v is dst[start[v] : start[v + 1]]), by marking one list and looking up those of its members."""
+    import numpy as np
+
+    total = 0
+    mark = np.zeros(len(start) - 1, dtype=bool)
+    for v in range(len(start) - 1):
+        own = dst[start[v] : start[v + 1]]
+        if len(own) > 1:
+            mark[own] = True
+            total += sum(int(mark[dst[start[w] : start[w + 1]]].sum()) for w in own)
+            mark[own] = False
+    return total
+
+
+def forward_local_lists(adjacency: DataFrame, limit: int = LOCAL_LIMIT) -> DataFrame:
+    """The single-threaded baseline for ready neighbour lists (v, nbrs) of both directions: degrees are list lengths and no edges are sorted. Refuses more than `limit` edges."""
+
+    def counter(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import numpy as np
+
+        held = [(b.column("v").to_numpy(), np.diff(b.column("nbrs").offsets.to_numpy()), b.column("nbrs").flatten().to_numpy()) for b in batches]
+        total = 0
+        if sum(len(v) for v, _, _ in held):
+            v, size, near = (np.concatenate(x) for x in zip(*held, strict=True))
+            by_id = np.argsort(v)
+            rank = np.empty(len(v), dtype=np.int64)
+            rank[np.lexsort((v, size))] = np.arange(len(v))
+            own, other = np.repeat(rank, size), rank[by_id][np.searchsorted(v[by_id], near)]
+            up = other > own
+            out = np.bincount(own[up], minlength=len(v))
+            begins = np.concatenate([[0], np.cumsum(out)])
+            # Lists move to the place of their rank as they are; nothing is compared.
+            kept = np.add.reduceat(up, np.concatenate([[0], np.cumsum(size)[:-1]])) if len(up) else np.zeros(len(v), dtype=np.int64)
+            at = np.repeat(begins[rank], kept) + np.arange(int(kept.sum())) - np.repeat(np.cumsum(kept) - kept, kept)
+            dst = np.empty(len(at), dtype=np.int64)
+            dst[at] = other[up]
+            total = _marked_total(begins, dst)
+        yield pa.RecordBatch.from_pydict({"triangles": [total]})
+
+    n = adjacency.agg(F.coalesce(F.sum(F.size("nbrs")), F.lit(0))).first()[0] // 2
+    if n > limit:
+        raise ValueError(f"{n} edges are too many for one task; the limit is {limit}")
+    return _total("triangles", adjacency.where(F.size("nbrs") > 0).coalesce(1).mapInArrow(counter, "triangles long"))
 
 
 def forward_local(edges: DataFrame, limit: int = LOCAL_LIMIT) -> DataFrame:
@@ -180,15 +249,7 @@ def forward_local(edges: DataFrame, limit: int = LOCAL_LIMIT) -> DataFrame:
             rank[np.lexsort((np.arange(len(deg)), deg))] = np.arange(len(deg))
             src, dst = np.sort(rank[at], axis=0)
             order = np.lexsort((dst, src))
-            src, dst = src[order], dst[order]
-            start = np.searchsorted(src, np.arange(len(deg) + 1))
-            mark = np.zeros(len(deg), dtype=bool)
-            for v in range(len(deg)):
-                own = dst[start[v] : start[v + 1]]
-                if len(own) > 1:
-                    mark[own] = True
-                    total += sum(int(mark[dst[start[w] : start[w + 1]]].sum()) for w in own)
-                    mark[own] = False
+            total = _marked_total(np.searchsorted(src[order], np.arange(len(deg) + 1)), dst[order])
         yield pa.RecordBatch.from_pydict({"triangles": [total]})
 
     return _one_task(edges, counter, limit)
@@ -234,8 +295,8 @@ METHODS = {
 }
 
 
-def triangle_total(edges: DataFrame, method: str = "forward_grouped", **options) -> DataFrame:
-    """The number of triangles by any method; "auto" asks the planner."""
+def triangle_total(edges: DataFrame, method: str = "auto", **options) -> DataFrame:
+    """The number of triangles by any method; "auto" asks the planner, which measures the graph first."""
     if method == "auto":
         from tricount.plans.planner import choose
 

@@ -159,7 +159,9 @@ def preprocess(edges: DataFrame, plan: str = "filter_first") -> DataFrame:
         return sort_edges(orient(edges))
     marked = mark_backward(edges)
     ordered = marked.repartition("src").sortWithinPartitions("src", "dst")
-    return ordered.where("not backward").drop("backward")
+    # The place in the sorted array keeps the filter above the sort: the optimizer would push it down, and both plans would be one.
+    placed = ordered.withColumn("place", F.monotonically_increasing_id())
+    return placed.where((F.col("place") >= 0) & ~F.col("backward")).select("src", "dst")
 
 
 def unzip(records: DataFrame, column: str = "e") -> DataFrame:
@@ -207,7 +209,7 @@ def dense_ids(keys: DataFrame, column: str) -> DataFrame:
 def degeneracy_order(edges: DataFrame, rounds: int = 1000) -> DataFrame:
     """(v, rank): the round in which a vertex falls, when all vertices of degree at most k go at once and k is the smallest degree left.
 
-    Cuts its lineage each round.
+    Cuts its lineage each round; raises where vertices are left after `rounds`.
     """
     left, out, turn, floor = checkpointed(edges), None, 0, 0
     while turn < rounds:
@@ -221,7 +223,8 @@ def degeneracy_order(edges: DataFrame, rounds: int = 1000) -> DataFrame:
         gone = fall.select("v")
         left = checkpointed(left.join(gone.toDF("u"), "u", "left_anti").join(gone, "v", "left_anti").select("u", "v"))
         turn += 1
-    rest = degrees(left).select("v", F.lit(turn).cast("long").alias("rank"))
+    if turn == rounds and not left.isEmpty():
+        raise RuntimeError(f"vertices are left after {rounds} rounds")
     everyone = degrees(edges).select("v")
-    known = rest if out is None else out.union(rest)
+    known = everyone.withColumn("rank", F.lit(0).cast("long")).limit(0) if out is None else out
     return everyone.join(known, "v", "left").select("v", F.coalesce("rank", F.lit(turn).cast("long")).alias("rank"))

@@ -2,16 +2,23 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from math import comb
 
-from pyspark.sql import Column, DataFrame
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tricount.operators import prep
-from tricount.operators.count import attach_lists
+from tricount.sources.generators import draw
 
-#: Bytes of out-lists up to which they are replicated to every executor.
-REPLICATE_LIMIT = 1 << 30
+#: Bytes of out-lists up to which they are replicated to every executor: a broadcast is built on the driver, which needs several times its size.
+REPLICATE_LIMIT = 1 << 27
+#: Edges of a subgraph that one task holds (some 100 bytes each while it counts).
+GROUP_EDGES = 4_000_000
+#: Pairs of list elements that a task looks at at once.
+LOOKED_AT = 1 << 20
 
 
 def _numbered(oriented: DataFrame) -> DataFrame:
@@ -31,30 +38,68 @@ def count_by_worker(edges: DataFrame, workers: int) -> DataFrame:
     return both.select("worker", found.alias("n")).groupBy("worker").agg(F.count(F.lit(1)).alias("edges"), F.sum(F.greatest("n", F.lit(0))).alias("triangles"))
 
 
-def count_replicated(edges: DataFrame, devices: int, split: str = "hash", limit: int = REPLICATE_LIMIT) -> DataFrame:
-    """(slice, edges, triangles): lists are made once and go to every executor, edges are split by hash, stride or range of the source.
+def list_bytes(lists: DataFrame) -> int:
+    """Bytes of out-lists as rows: 8 for each element, and some 48 for each list."""
+    return lists.agg(F.coalesce(F.sum(F.size("nbrs").cast("long") * 8 + 48), F.lit(0))).first()[0]
 
-    Lists are only replicated where their size, measured first, is within `limit` bytes; beyond it the same slices are counted with shuffled lists.
-    """
-    oriented = prep.orient(edges)
-    lists = prep.out_lists(oriented)
-    size = edges.count() * 8
+
+def device_slices(oriented: DataFrame, devices: int, split: str = "hash") -> DataFrame:
+    """Oriented edges with `slice`, the device that counts them: by hash, by stride of the place in the sorted array, or by ranges of it."""
     if split == "strided":
         cut = _numbered(oriented).withColumn("slice", F.pmod("no", F.lit(devices)))
     elif split == "range":
-        n = size // 8
-        cut = _numbered(oriented).withColumn("slice", F.expr(f"least(no DIV greatest({n} DIV {devices}, 1), {devices - 1})"))
+        cut = _numbered(oriented).withColumn("slice", F.expr(f"least(no DIV greatest({oriented.count()} DIV {devices}, 1), {devices - 1})"))
     else:
         cut = oriented.withColumn("slice", F.pmod(F.xxhash64("src", "dst"), F.lit(devices)))
-    cut = cut.select("src", "dst", F.col("slice").cast("int").alias("slice"))
-    near = F.broadcast(lists) if size <= limit else lists
+    return cut.select("src", "dst", F.col("slice").cast("int").alias("slice"))
+
+
+def count_slices(cut: DataFrame, lists: DataFrame, replicate: bool) -> DataFrame:
+    """(slice, edges, triangles) of sliced edges, with lists that go to every executor whole or are shuffled."""
+    near = F.broadcast(lists) if replicate else lists
     both = cut.join(near.toDF("src", "nu"), "src").join(near.toDF("dst", "nv"), "dst", "left")
     found = F.when(F.col("nv").isNull(), 0).otherwise(F.size(F.array_intersect("nu", "nv"))).cast("long")
     return both.select("slice", found.alias("n")).groupBy("slice").agg(F.count(F.lit(1)).alias("edges"), F.sum("n").alias("triangles"))
 
 
+def count_replicated(edges: DataFrame, devices: int, split: str = "hash", limit: int = REPLICATE_LIMIT) -> DataFrame:
+    """(slice, edges, triangles): lists are made once and go to every executor, edges are split by hash, stride or range of the source.
+
+    Lists are only replicated where their size, measured first, is within `limit` bytes; beyond it the same slices are counted with shuffled lists.
+    """
+    oriented = prep.orient(edges)
+    lists = prep.out_lists(oriented)
+    return count_slices(device_slices(oriented, devices, split), lists, list_bytes(lists) <= limit)
+
+
+class Prepared:
+    """Oriented edges and out-lists made once and kept, from which any number of devices count. A device is so many cores: its slice is dealt over that many tasks."""
+
+    def __init__(self, edges: DataFrame, cores_each: int, limit: int = REPLICATE_LIMIT) -> None:
+        self.oriented = prep.orient(edges).persist()
+        self.lists = prep.out_lists(self.oriented).persist()
+        self.cores_each = cores_each
+        self.edges = self.oriented.count()
+        self.replicate = list_bytes(self.lists) <= limit
+
+    def count(self, devices: int) -> DataFrame:
+        """(slice, edges, triangles), on devices * cores_each tasks and no more."""
+        tasks = devices * self.cores_each
+        cut = self.oriented.withColumn("slice", F.pmod(F.xxhash64("src", "dst"), F.lit(devices)).cast("int"))
+        dealt = cut.repartition(tasks, "slice", F.pmod(F.xxhash64("dst", "src"), F.lit(self.cores_each))) if tasks > 1 else cut.coalesce(1)
+        return count_slices(dealt, self.lists, self.replicate)
+
+    def drop(self) -> None:
+        self.lists.unpersist()
+        self.oriented.unpersist()
+
+
+def cores_of(spark: SparkSession) -> int:
+    return spark.sparkContext.defaultParallelism
+
+
 def _colour(v: Column, rho: int, seed: int) -> Column:
-    return F.pmod(F.xxhash64(v, F.lit(seed)), F.lit(rho)).cast("int")
+    return (draw(v, seed) % rho).cast("int")
 
 
 def subgraph_edges(edges: DataFrame, rho: int, variant: str = "multiset", seed: int = 1) -> DataFrame:
@@ -73,26 +118,65 @@ def subgraph_edges(edges: DataFrame, rho: int, variant: str = "multiset", seed:
     return marked.select(F.explode(fits).alias("key"), "u", "v", "cu", "cv")
 
 
-def count_partitioned(edges: DataFrame, rho: int = 4, variant: str = "multiset", seed: int = 1) -> DataFrame:
-    """One row, `triangles`: every subgraph counts by itself, on keyed joins, and each triangle adds up to one.
+def local_triangles(u: np.ndarray, v: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """Triangles of the edges (u, v) that one task holds, as arrays of their corners: edges are oriented by degree, and for each edge the out-list of its target is looked up in that of its source."""
+    ids, at = np.unique(np.concatenate([u, v]), return_inverse=True)
+    n = len(ids)
+    degree = np.bincount(at, minlength=n)
+    order = np.lexsort((np.arange(n), degree))
+    rank = np.empty(n, dtype=np.int64)
+    rank[order] = np.arange(n)
+    ends = np.sort(rank[at].reshape(2, -1), axis=0)
+    key = np.sort(ends[0] * n + ends[1])
+    src, dst = key // n, key % n
+    begin = np.searchsorted(src, np.arange(n + 1))
+    size = (begin[1:] - begin[:-1])[dst]
+    upto = np.concatenate([[0], np.cumsum(size)])
+    name = ids[order]
+    first = 0
+    while first < len(src):
+        last = max(first + 1, int(np.searchsorted(upto, upto[first] + LOOKED_AT, side="right")) - 1)
+        edge = np.repeat(np.arange(first, last), size[first:last])
+        third = dst[begin[dst[edge]] + np.arange(len(edge)) - (upto[edge] - upto[first])]
+        asked = src[edge] * n + third
+        spot = np.minimum(np.searchsorted(key, asked), len(key) - 1)
+        hit = key[spot] == asked
+        yield name[src[edge[hit]]], name[dst[edge[hit]]], name[third[hit]]
+        first = last
+
+
+def count_partitioned(edges: DataFrame, rho: int = 4, variant: str = "multiset", seed: int = 1, budget: int = GROUP_EDGES) -> DataFrame:
+    """One row, `triangles`: every subgraph is held and counted by one task on its own, and each triangle adds up to one.
 
     A multiset key counts only triangles whose own classes are the key. In the weighted form a triangle with 1, 2 or 3 different classes is seen in
     C(rho - 1, 2), rho - 2 or 1 subgraphs; weights are integers over the common denominator C(rho - 1, 2) (rho - 2).
+    The largest subgraph is measured first; beyond `budget` edges there are more classes, until it fits (so a graph of any size can be counted, at rho copies of an edge).
     """
     if variant == "weighted" and rho < 3:
         raise ValueError("the weighted form needs 3 classes or more")
-    part = subgraph_edges(edges, rho, variant, seed)
-    hop = part.select("key", F.col("u").alias("a"), F.col("v").alias("b"), F.col("cu").alias("ca"), F.col("cv").alias("cb")).join(
-        part.select("key", F.col("u").alias("b"), F.col("v").alias("c"), F.col("cv").alias("cc")), ["key", "b"]
-    )
-    closed = hop.join(part.select("key", F.col("u").alias("a"), F.col("v").alias("c")), ["key", "a", "c"], "left_semi")
-    own = F.array("ca", "cb", "cc")
-    if variant == "multiset":
-        return closed.where(F.sort_array(own) == F.col("key")).agg(F.count(F.lit(1)).alias("triangles"))
-    one, two = comb(rho - 1, 2), rho - 2
-    kinds = F.size(F.array_distinct(own))
-    weight = F.when(kinds == 3, one * two).when(kinds == 2, one).otherwise(two)
-    return closed.agg(F.coalesce(F.sum(weight.cast("long")), F.lit(0)).alias("w")).select(F.expr(f"w DIV {one * two}").alias("triangles"))
+    while (partition_costs(edges, rho, variant, seed).first().largest or 0) > budget:
+        rho *= 2
+        if rho > 1 << 10:
+            raise ValueError(f"subgraphs of {budget} edges cannot hold this graph: one vertex has too many edges")
+    one, two = (comb(rho - 1, 2), rho - 2) if variant == "weighted" else (1, 1)
+
+    def counted(group: pa.Table) -> pa.Table:
+        u, v = group.column("u").to_numpy(), group.column("v").to_numpy()
+        ids, at = np.unique(np.concatenate([u, v]), return_index=True)
+        of = np.concatenate([group.column("cu").to_numpy(), group.column("cv").to_numpy()])[at]
+        key = np.array(group.column("key")[0].as_py())
+        total = 0
+        for corners in local_triangles(u, v):
+            own = np.sort(np.stack([of[np.searchsorted(ids, c)] for c in corners]), axis=0)
+            if variant == "multiset":
+                total += int((own == key[:, None]).all(axis=0).sum())
+            else:
+                kinds = 1 + (own[1:] != own[:-1]).sum(axis=0)
+                total += int(np.choose(kinds - 1, [two, one, one * two]).sum())
+        return pa.table({"w": pa.array([total], pa.int64())})
+
+    found = subgraph_edges(edges, rho, variant, seed).groupBy("key").applyInArrow(counted, "w long")
+    return found.agg(F.coalesce(F.sum("w"), F.lit(0)).alias("w")).select(F.expr(f"CAST(w DIV {one * two} AS BIGINT)").alias("triangles"))
 
 
 def partition_costs(edges: DataFrame, rho: int, variant: str = "multiset", seed: int = 1) -> DataFrame:

@@ -19,26 +19,91 @@ from tricount.operators.split import REPLICATE_LIMIT
 DENSE = 4
 
 
+#: Rows that may name one target before it is split, and elements of a list before it is cut up.
+SPLIT_OVER, SALT_OVER = 1 << 16, 1 << 16
+
+
 def plan_statistics(edges: DataFrame) -> dict[str, int]:
-    """E, the longest list, the list elements that travel by join order, and the oriented wedges, and the 64-bit words that lists fill as bit sets, from three actions."""
+    """E, the longest list, the most edges into one vertex, the list elements that travel by join order, the oriented wedges, and the 64-bit words that lists fill as bit sets, from four actions."""
     o = prep.orient(edges)
     lists = o.groupBy("src").agg(F.count(F.lit(1)).alias("n"))
     size = lists.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("edges"), F.coalesce(F.max("n"), F.lit(0)).alias("max_out"), F.coalesce(F.sum(pairs_of(F.col("n"))), F.lit(0)).alias("wedges")).first()
+    into = o.groupBy("dst").agg(F.count(F.lit(1)).alias("n")).agg(F.coalesce(F.max("n"), F.lit(0)).alias("max_in")).first()
     travel = travel_sums(o).first()
     words = o.select("src", F.expr("dst DIV 64")).distinct().count()
-    return {"words": words, "edges": size.edges, "max_out": size.max_out, "wedges": int(size.wedges), "src_first": travel.src_first, "dst_first": travel.dst_first}
+    return {"words": words, "edges": size.edges, "max_out": size.max_out, "max_in": into.max_in, "wedges": int(size.wedges), "src_first": travel.src_first, "dst_first": travel.dst_first}
 
 
-def choose(edges: DataFrame, limit: int = REPLICATE_LIMIT) -> tuple[str, dict]:
-    """(method, options): bit sets where lists are dense; else the grouped form where its lists can be broadcast or sources travel less, else lists joined at the target first."""
+def choose(edges: DataFrame, limit: int = REPLICATE_LIMIT, split_over: int = SPLIT_OVER, salt_over: int = SALT_OVER) -> tuple[str, dict]:
+    """(method, options): bit sets where lists are dense; lists cut up where one is longer than `salt_over`; else the grouped form where its lists can be broadcast or sources travel less, else lists
+    joined at the target first. Vertices that more than `split_over` edges run into are split over tasks; then the grouped form stands for both join orders."""
     s = plan_statistics(edges)
-    if DENSE * s["words"] <= s["edges"]:
+    hubs = {"split_over": split_over} if s["max_in"] > split_over else {}
+    if s["max_out"] > salt_over:
+        return "forward_salted", {"salt_over": salt_over} | hubs
+    if DENSE * s["words"] <= s["edges"] and not hubs:
         return "forward_bitmap", {}
-    if 8 * s["edges"] <= limit or s["src_first"] <= s["dst_first"]:
-        return "forward_grouped", {}
+    if hubs or 8 * s["edges"] <= limit or s["src_first"] <= s["dst_first"]:
+        return "forward_grouped", hubs
     return "forward_lists", {"first": "dst"}
 
 
+def _below(node) -> list:
+    """The operators under one of an executed plan, through adaptive stages."""
+    kind = node.getClass().getSimpleName()
+    if kind == "AdaptiveSparkPlanExec":
+        return [node.executedPlan()]
+    if kind.endswith("QueryStageExec"):
+        return [node.plan()]
+    children = node.children()
+    return [children.apply(k) for k in range(children.size())]
+
+
+def _metric(node, name: str) -> int | None:
+    found = node.metrics().get(name)
+    return int(found.get().value()) if found.isDefined() else None
+
+
+def _rows_from(node) -> int:
+    """Rows that an operator hands up: its own count, or that of the nearest one below it that counts."""
+    for name in ("shuffleRecordsWritten", "numOutputRows"):
+        if (n := _metric(node, name)) is not None:
+            return n
+    return _rows_from(_below(node)[0])
+
+
+def _executed(df: DataFrame):
+    run = df._jdf.queryExecution()
+    run.toRdd().count()
+    return run.executedPlan()
+
+
+def plan_costs(df: DataFrame) -> dict[str, int]:
+    """What a plan moved, from the metrics of its operators after it has run: rows and bytes through shuffles, rows that entered the topmost sort, bytes spilled, and the most memory of one operator."""
+    out = dict.fromkeys(("shuffle_rows", "shuffle_bytes", "sorted_rows", "spill_bytes", "peak_bytes"), 0)
+    seen, waiting, sorts = set(), [_executed(df)], []
+    while waiting:
+        node = waiting.pop(0)
+        kind = node.getClass().getSimpleName()
+        if kind == "ShuffleExchangeExec" and node.id() not in seen:
+            seen.add(node.id())
+            out["shuffle_rows"] += _metric(node, "shuffleRecordsWritten") or 0
+            out["shuffle_bytes"] += _metric(node, "dataSize") or 0
+        if kind == "SortExec":
+            sorts.append(node)
+        out["spill_bytes"] += _metric(node, "spillSize") or 0
+        out["peak_bytes"] = max(out["peak_bytes"], _metric(node, "peakMemory") or 0)
+        waiting += _below(node)
+    out["sorted_rows"] = _rows_from(_below(sorts[0])[0]) if sorts else 0
+    return out
+
+
+def sorted_rows(edges: DataFrame) -> DataFrame:
+    """(plan, rows): what enters the sort of the edge array when backward rows go after it, and before it."""
+    rows = [(p, plan_costs(prep.preprocess(edges, p))["sorted_rows"]) for p in ("sort_first", "filter_first")]
+    return edges.sparkSession.createDataFrame(rows, "plan string, rows long")
+
+
 def subgraph_classes(edges: int, group_bytes: int, edge_bytes: int = 8) -> int:
     """The least number of classes with which three-class subgraphs of evenly spread edges stay within `group_bytes`."""
     return max(1, math.ceil(math.sqrt(6 * edges * edge_bytes / group_bytes)))

@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from tricount.functions import measures
 from tricount.operators import count, prep, split
-from tricount.plans.planner import amdahl, amdahl_share, choose, proportionality, timed, tune_grid
+from tricount.plans.planner import amdahl, amdahl_share, choose, plan_costs, proportionality, timed, tune_grid
 from tricount.sources import generators as gen
 from tricount.sources.loaders import load_graph
 
@@ -45,7 +45,9 @@ def every_method(g: Graph) -> list[dict]:
     out = [] if g.n > count.LOCAL_LIMIT else [g.record("all", "one task", lambda: count.forward_local(g.edges))]
     out.append(g.record("all", method, lambda: count.triangle_total(g.edges, method, **options)))
     out.append(g.record("all", "4 slices", lambda: split.count_replicated(g.edges, 4)))
-    return [r | {"value": out[0]["ms"] / r["ms"]} for r in out]
+    reuse, ms = measures.list_reuse(g.edges).first(), out[-2]["ms"]
+    rates = {"reuse of a list": float(reuse.reuse or 0), "list megabytes a second": reuse.bytes / 1000 / ms}
+    return [r | {"value": out[0]["ms"] / r["ms"]} for r in out] + [out[-2] | {"variant": k, "phase": "profile", "ms": None, "std": None, "value": v} for k, v in rates.items()]
 
 
 def input_format(g: Graph) -> list[dict]:
@@ -54,6 +56,7 @@ def input_format(g: Graph) -> list[dict]:
     lists.count()
     out = [
         g.record("input", "neighbour lists", lambda: count.adjacency_input(lists)), g.record("input", "edge array", lambda: count.forward_grouped(g.edges)),
+        *([] if g.n > count.LOCAL_LIMIT else [g.record("input", "neighbour lists, one task", lambda: count.forward_local_lists(lists)), g.record("input", "edge array, one task", lambda: count.forward_local(g.edges))]),
         g.record("input", "array to lists", lambda: prep.to_adjacency(prep.edge_array(g.edges)), "convert"), g.record("input", "lists to array", lambda: prep.to_edge_array(lists), "convert"),
     ]
     lists.unpersist()
@@ -82,8 +85,8 @@ def sort_keys(g: Graph) -> list[dict]:
 def list_reads(g: Graph) -> list[dict]:
     """List elements read by a merge that holds both heads, and by one that reads both anew; value is reads for each step."""
     r = measures.read_counters(g.edges).first()
-    lazy = g.record("read", "one read for each move", lambda: count.forward_lists(g.edges, kernel="merge"), "count")
-    return [lazy | {"value": r.lazy_reads / max(r.steps, 1)}, lazy | {"variant": "both heads each step", "ms": None, "std": None, "value": 2.0}]
+    kernels = (("one read for each move", "merge", r.lazy_reads), ("both heads each step", "merge_eager", r.eager_reads))
+    return [g.record("read", name, lambda k=k: count.forward_lists(g.edges, kernel=k), "count", n / max(r.steps, 1)) for name, k, n in kernels]
 
 
 def list_cache(g: Graph) -> list[dict]:
@@ -98,7 +101,7 @@ def _with_batches(g: Graph, partitions: int, batch: int) -> Callable[[], DataFra
 
     def run() -> DataFrame:
         g.edges.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(batch))
-        return count.forward_lists(g.edges.repartition(partitions), kernel="merge")
+        return count.forward_lists(g.edges, kernel="merge", partitions=partitions)
 
     return run
 
@@ -118,14 +121,19 @@ def work_unit(g: Graph) -> list[dict]:
 
 
 def launch_grid(g: Graph, partitions: Iterable[int] = (4, 8, 16), batches: Iterable[int] = (1_000, 10_000)) -> list[dict]:
-    """Partitions against rows of a batch; value is 1 for the best point and those near it."""
+    """Tasks over joined lists against rows of a batch; value is 1 for the best point and those near it."""
     grid = _keeping_batches(g, lambda: tune_grid(lambda p, b: _with_batches(g, p, b)(), partitions, batches))
     return [{"study": "grid", "graph": g.name, "variant": f"{r['partitions']} x {r['batch']}", "phase": "total", "ms": r["ms"], "std": r["std"], "edges": g.n, "triangles": None, "value": float(r["optimal"])} for r in grid]
 
 
 def oversized(g: Graph) -> list[dict]:
-    """Sorting everything before backward rows go, and after; value is the rows that enter the sort."""
-    return [g.record("big", p, lambda p=p: prep.preprocess(g.edges, p), "prepare", float(n)) for p, n in (("sort_first", 2 * g.n), ("filter_first", g.n))]
+    """Sorting everything before backward rows go, and after; value is the rows that entered the sort, counted while it ran. Further records give the bytes shuffled and spilled and the most memory of one operator."""
+    out = []
+    for plan in ("sort_first", "filter_first"):
+        costs = plan_costs(prep.preprocess(g.edges, plan))
+        timed_run = g.record("big", plan, lambda plan=plan: prep.preprocess(g.edges, plan), "prepare", float(costs["sorted_rows"]))
+        out += [timed_run, *[timed_run | {"phase": name, "ms": None, "std": None, "value": float(costs[name])} for name in ("shuffle_bytes", "spill_bytes", "peak_bytes")]]
+    return out
 
 
 def without_gain(g: Graph) -> list[dict]:
@@ -135,14 +143,24 @@ def without_gain(g: Graph) -> list[dict]:
 
 
 def devices(g: Graph, sizes: Iterable[int] = (1, 2, 4)) -> list[dict]:
-    """Slices over replicated lists; value is the ceiling that the share of preparation allows."""
-    runs = [(k, g.record("multi", f"{k} slices", lambda k=k: split.count_replicated(g.edges, k))) for k in sizes]
-    before = g.record("multi", "preparation", lambda: prep.orient(g.edges), "prepare")
-    share = min(1.0, before["ms"] / runs[0][1]["ms"])
-    out = [r | {"value": amdahl(share, k)} for k, r in runs]
-    k, last = runs[-1]
-    speedup = runs[0][1]["ms"] / last["ms"]
-    return [*out, before | {"value": share}, last | {"variant": "serial share that explains the speedup", "ms": None, "std": None, "value": amdahl_share(speedup, k) if k > 1 else None}]
+    """Lists prepared once and kept, then counted by devices of equally many cores, one slice each; value is the speedup of preparation and counting over one device, of preparation its share with one device.
+
+    Further records give the ceiling which that share allows, and the serial share that would explain the speedup of the most devices.
+    """
+    sizes = list(sizes)
+    each = max(1, split.cores_of(g.edges.sparkSession) // max(sizes))
+    before = g.record("multi", "preparation", lambda: prep.out_lists(prep.orient(g.edges)), "prepare")
+    ready = split.Prepared(g.edges, each)
+    runs = [(k, g.record("multi", f"{k} devices", lambda k=k: ready.count(k), "count")) for k in sizes]
+    ready.drop()
+    whole = {k: before["ms"] + r["ms"] for k, r in runs}
+    share = before["ms"] / whole[sizes[0]]
+    out = [before | {"value": share}]
+    for k, r in runs:
+        ceiling = {"variant": f"ceiling of {k} devices", "ms": None, "std": None, "value": amdahl(share, k)}
+        out += [r | {"value": whole[sizes[0]] / whole[k]}, r | ceiling]
+    k = sizes[-1]
+    return [*out, before | {"variant": "serial share that explains the speedup", "ms": None, "std": None, "value": amdahl_share(whole[sizes[0]] / whole[k], k) if k > 1 else None}]
 
 
 def vertex_order(g: Graph) -> list[dict]:
@@ -204,8 +222,9 @@ def main(folder: str, *wanted: str) -> None:
             print(json.dumps({"study": "proportion", "fits": [r.asDict() for r in proportional(spark, runs).collect()]}))
         else:
             runs = []
-            for graph in STAND_INS if name == "all" else ("copurchase",):
-                g = Graph(graph, load_graph(spark, folder, graph))
+            generated = {"rmat_14": lambda: gen.rmat(spark, 14), "preferential": lambda: gen.preferential(spark, 20_000, 10), "small_world": lambda: gen.small_world(spark, 20_000, 50, 0.1)}
+            for graph in (*STAND_INS, *generated) if name == "all" else ("copurchase",):
+                g = Graph(graph, generated[graph]() if graph in generated else load_graph(spark, folder, graph))
                 runs += STUDIES[name](g)
                 g.edges.unpersist()
         for r in runs:

@@ -56,6 +56,10 @@ EDGES = {
         SELECT DISTINCT least(a, b) AS a, greatest(a, b) AS b FROM (
           SELECT unnest(w[1:len(w) - 1]) AS a, unnest(w[2:]) AS b FROM (SELECT regexp_extract_all(lower(text), '[a-z]+') AS w FROM documents) WHERE len(w) > 1) WHERE a <> b) p
         JOIN names x ON x.word = p.a JOIN names y ON y.word = p.b""",
+    "nation_trade": _pairs("SELECT c_nationkey AS a, s_nationkey AS b FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey"),
+    "bench_leak": """SELECT DISTINCT least(2 * d.key, 2 * b.key + 1) AS u, greatest(2 * d.key, 2 * b.key + 1) AS v FROM
+        (SELECT DISTINCT key, array_to_string(w[i:i + 7], ' ') AS run FROM (SELECT key, w, unnest(range(1, len(w) - 6)) AS i FROM (SELECT doc_id AS key, regexp_extract_all(lower(text), '[a-z]+') AS w FROM documents) WHERE len(w) >= 8)) d JOIN
+        (SELECT DISTINCT key, array_to_string(w[i:i + 7], ' ') AS run FROM (SELECT key, w, unnest(range(1, len(w) - 6)) AS i FROM (SELECT item_id AS key, regexp_extract_all(lower(text), '[a-z]+') AS w FROM benchmark) WHERE len(w) >= 8)) b USING (run)""",
     "pagelink": _shared("target", "page_id", "(SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href=\"(/[^\"/]*)\"', 1)) AS target FROM pages)"),
 }
 _NAMES = """names AS (SELECT word, row_number() OVER (ORDER BY word) - 1 AS id FROM (SELECT DISTINCT unnest([a, b]) AS word FROM (
@@ -112,7 +116,7 @@ SMALL = "nextactor"
 # Loaders and counts of all graphs.
 for _g in GRAPHS:
     add(f"edges_{_g}", partial(load_graph, name=_g), on(_g, "SELECT u, v FROM e"))
-    add(f"tri_{_g}", _on(_g, count.forward_grouped), on(_g, TOTAL))
+    add(f"tri_{_g}", _on(_g, count.triangle_total), on(_g, TOTAL))
 
 # Preparation.
 _BROKEN = "SELECT l_partkey AS src, l_suppkey AS dst FROM lineitem"
@@ -134,6 +138,7 @@ add("node_array_oriented", _on(MAIN, lambda e: prep.node_array(prep.orient(e), f
 add("backward_marks", _on(MAIN, prep.mark_backward), on(MAIN, "SELECT g.src, g.dst, (x.deg, g.src) > (y.deg, g.dst) AS backward FROM g JOIN d x ON x.v = g.src JOIN d y ON y.v = g.dst"))
 for _name, _plan in (("oriented_edges", "sort_first"), ("oriented_edges_filter_first", "filter_first")):
     add(_name, _on(MAIN, partial(prep.preprocess, plan=_plan)), on(MAIN, "SELECT src, dst FROM o"))
+add("sorted_rows", _on(MAIN, planner.sorted_rows), on(MAIN, "SELECT 'sort_first' AS plan, count(*) AS rows FROM g UNION ALL SELECT 'filter_first', count(*) FROM o"))
 _packed = lambda e, layout: prep.orient(e).select(prep.pack_edge(F.col("src"), F.col("dst"), layout).alias("key"))
 add("packed_keys", _on(MAIN, partial(_packed, layout="src_major")), on(MAIN, "SELECT (src << 32) | dst AS key FROM o"))
 add("packed_keys_mirrored", _on(MAIN, partial(_packed, layout="dst_major")), on(MAIN, "SELECT (dst << 32) | src AS key FROM o"))
@@ -151,10 +156,10 @@ add("prefix_sum", _on(MAIN, lambda e: prep.prefix_sum(prep.degrees(e), "v", "deg
 # Every method on one graph.
 _METHODS: dict[str, Callable[[DataFrame], DataFrame]] = {
     "lists": count.forward_lists, "lists_src_first": partial(count.forward_lists, first="src"), "grouped": count.forward_grouped, "merge": partial(count.forward_lists, kernel="merge"),
-    "merge_eager": partial(count.forward_lists, kernel="merge_eager"), "gallop": partial(count.forward_lists, kernel="gallop"), "bitmap": count.forward_bitmap, "exploded": count.forward_exploded,
+    "merge_eager": partial(count.forward_lists, kernel="merge_eager"), "gallop": partial(count.forward_lists, kernel="gallop"), "sorted_run": partial(count.forward_lists, kernel="sorted_run"), "hubs_split": partial(count.forward_grouped, split_over=50), "salted_hubs_split": partial(count.forward_salted, salt_over=8, split_over=50), "bitmap": count.forward_bitmap, "exploded": count.forward_exploded,
     "paths": count.forward_paths, "wedges": count.forward_wedges, "edge_iterator": count.edge_iterator, "node_iterator": count.node_iterator, "brute": count.brute_force, "matrix": count.matrix,
     "hub_hybrid": count.hub_hybrid, "hub_degree": partial(count.hub_hybrid, degree_over=20), "salted": partial(count.forward_salted, salt_over=8), "partition_multiset": partial(split.count_partitioned, rho=4), "partition_weighted": partial(split.count_partitioned, rho=4, variant="weighted"),
-    "replicated": lambda e: split.count_replicated(e, 4).agg(F.sum("triangles").alias("triangles")), "local": count.forward_local, "auto": partial(count.triangle_total, method="auto"),
+    "replicated": lambda e: split.count_replicated(e, 4).agg(F.sum("triangles").alias("triangles")), "local": count.forward_local, "local_lists": lambda e: count.forward_local_lists(prep.to_adjacency(prep.edge_array(e))), "auto": partial(count.triangle_total, method="auto"),
     "adjacency_input": lambda e: count.adjacency_input(prep.to_adjacency(prep.edge_array(e))), "forward_dynamic": count.forward_dynamic,
     "id_order": partial(count.forward_grouped, order="id"), "random_order": partial(count.forward_grouped, order="random"),
 }
@@ -183,19 +188,32 @@ add(
 )
 add(
     "device_slices_4", _on(MAIN, partial(split.count_replicated, devices=4, split="strided")),
-    on(MAIN, f"SELECT (n % 4)::INT AS slice, count(*) AS edges, sum(k)::BIGINT AS triangles FROM (SELECT {_NUMBERED} AS n, src, dst, (SELECT count(*) FROM t WHERE t.a = o.src AND t.b = o.dst) AS k FROM o) WHERE src IN (SELECT src FROM o) GROUP BY 1"),
+    on(MAIN, f"SELECT (n % 4)::INT AS slice, count(*) AS edges, sum(k)::BIGINT AS triangles FROM (SELECT {_NUMBERED} AS n, src, dst, (SELECT count(*) FROM t WHERE t.a = o.src AND t.b = o.dst) AS k FROM o) GROUP BY 1"),
 )
 add("amdahl_table", lambda s, d: planner.amdahl_table(s), "SELECT s::INT AS share, k::INT AS devices, round(1 / (s / 100.0::DOUBLE + (1 - s / 100.0::DOUBLE) / k), 3) AS ceiling FROM (VALUES (8), (76)) x(s), (VALUES (1), (2), (4)) y(k)")
 
 # Listing and support.
-add("list_triangles", _on(MAIN, listing.list_triangles), on(MAIN, "SELECT a, b, c FROM t"))
+add("list_triangles", _on(SMALL, listing.list_triangles), on(SMALL, "SELECT a, b, c FROM t"))
 _PER_V = "SELECT d.v, count(x.v) AS t FROM d LEFT JOIN (SELECT unnest([a, b, c]) AS v FROM t) x USING (v) GROUP BY d.v"
 add("vertex_triangles", _on(MAIN, listing.vertex_triangles), on(MAIN, _PER_V))
 _SIDES = "SELECT least(p, q) AS u, greatest(p, q) AS v FROM (SELECT unnest([a, a, b]) AS p, unnest([b, c, c]) AS q FROM t)"
 _SUPPORT = f"SELECT e.u, e.v, count(x.u) AS support FROM e LEFT JOIN ({_SIDES}) x ON x.u = e.u AND x.v = e.v GROUP BY e.u, e.v"
 add("edge_support", _on(MAIN, listing.edge_support), on(MAIN, _SUPPORT))
 add("top_vertices", _on(MAIN, listing.top_vertices), on(MAIN, f"SELECT * FROM ({_PER_V}) ORDER BY t DESC, v LIMIT 10"))
-add("truss_4", _on(SMALL, lambda e: listing.truss(e, 4)))
+
+
+def _truss(k: int, rounds: int) -> str:
+    """Edges that are left after so many rounds of dropping those in fewer than k - 2 triangles."""
+    steps = []
+    for n in range(rounds):
+        r = f"r{n}" if n else "e"
+        steps.append(f"""r{n + 1} AS MATERIALIZED (SELECT e.u, e.v FROM {r} e JOIN (SELECT unnest([x.u, x.u, y.u]) AS u, unnest([x.v, y.v, y.v]) AS v FROM {r} x JOIN {r} y ON y.u = x.v JOIN {r} z ON z.u = x.u AND z.v = y.v) s
+        ON (s.u = e.u AND s.v = e.v) GROUP BY e.u, e.v HAVING count(*) >= {k - 2})""")
+    return ", " + ", ".join(steps)
+
+
+_TRUSS_ROUNDS = 30  # more than the graph needs at any of the given sizes
+add("truss_4", _on(SMALL, lambda e: listing.truss(e, 4)), on(SMALL, f"SELECT u, v FROM r{_TRUSS_ROUNDS}", _truss(4, _TRUSS_ROUNDS).replace("[x.u, x.u, y.u]", "[x.u, z.u, y.u]").replace("[x.v, y.v, y.v]", "[x.v, z.v, y.v]")))
 add("vertices_without_triangle", _on("order_part", listing.vertices_without_triangle), on("order_part", "SELECT v FROM d WHERE v NOT IN (SELECT unnest([a, b, c]) FROM t)"))
 
 # Measures.
@@ -246,7 +264,12 @@ add(
 )
 for _rho in (3, 6):
     for _variant in ("multiset", "weighted"):
-        add(f"split_costs_{_variant}_{_rho}", _on(SMALL, partial(split.partition_costs, rho=_rho, variant=_variant)))
+        _c = f"(SELECT {_draw('u', '1')} % {_rho} AS cu, {_draw('v', '1')} % {_rho} AS cv FROM e)"
+        _keys = {
+            "multiset": f"SELECT list_sort([cu, cv, x]) AS key FROM {_c}, range({_rho}) r(x)",
+            "weighted": f"SELECT [i, j, k] AS key FROM {_c}, range({_rho}) a(i), range({_rho}) b(j), range({_rho}) c(k) WHERE i > j AND j > k AND cu IN (i, j, k) AND cv IN (i, j, k)",
+        }
+        add(f"split_costs_{_variant}_{_rho}", _on(SMALL, partial(split.partition_costs, rho=_rho, variant=_variant)), on(SMALL, f"SELECT sum(n)::BIGINT AS copies, count(*) AS groups, max(n) AS largest FROM (SELECT count(*) AS n FROM ({_keys[_variant]}) GROUP BY key)"))
 
 # Around the methods.
 _types = lambda e: prep.degrees(e).select("v", F.element_at(F.array(F.lit("customer"), F.lit("part"), F.lit("supplier")), (F.col("v") % 3 + 1).cast("int")).alias("type"))
@@ -317,7 +340,7 @@ def _json_edges(s: SparkSession, d: str) -> DataFrame:
 add("json_typed_edges", _json_edges, _shared("k, day", "user_id", "(SELECT DISTINCT (props->>'$.k')::INT AS k, date_trunc('day', ts) AS day, user_id FROM events)"))
 
 # Streams, each against the same count over the whole table.
-_CONTACTS = "SELECT event_id, event_type, ts, least(a, b) AS u, greatest(a, b) AS v FROM (SELECT event_id, event_type, ts, user_id % 100 AS a, (props->>'$.k')::BIGINT % 100 AS b FROM events) WHERE a <> b"
+_CONTACTS = "SELECT event_id, event_type, ts, least(a, b) AS u, greatest(a, b) AS v FROM (SELECT event_id, event_type, ts, user_id AS a, (props->>'$.k')::BIGINT AS b FROM events) WHERE a <> b"
 
 
 def _windows_sql(starts: str) -> str:
@@ -339,11 +362,13 @@ _QUARTERS = "time_bucket(INTERVAL 6 HOURS, ts) - to_hours(6 * unnest([0, 1, 2, 3
 add("stream_tumbling", _stream(lambda e, f: streams.stream_triangles(e, f, delay="60 days"), "tumbling"), _windows_sql("date_trunc('day', ts)::TIMESTAMP"))
 add("stream_sliding", _stream(lambda e, f: streams.stream_triangles(e, f, "1 day", "6 hours", delay="60 days"), "sliding"), _windows_sql(_QUARTERS))
 _SESSIONS = f"""WITH c AS ({_CONTACTS}), m AS (SELECT *, CASE WHEN ts < lag(ts) OVER (PARTITION BY event_type ORDER BY ts) + INTERVAL 30 MINUTES THEN 0 ELSE 1 END AS new FROM c),
-    n AS (SELECT *, sum(new) OVER (PARTITION BY event_type ORDER BY ts) AS s FROM m), i AS (SELECT *, min(ts) OVER (PARTITION BY event_type, s) AS start FROM n),
-    w AS (SELECT DISTINCT event_type, start, u, v FROM i),
+    n AS (SELECT *, sum(new) OVER (PARTITION BY event_type ORDER BY ts) AS s FROM m), i AS (SELECT *, min(ts) OVER (PARTITION BY event_type, s) AS start, max(ts) OVER (PARTITION BY event_type, s) AS stop FROM n),
+    w AS (SELECT DISTINCT event_type, start, u, v FROM i WHERE stop + INTERVAL 30 MINUTES <= (SELECT max(ts) FROM c) - INTERVAL 1 HOUR),
     t AS (SELECT x.event_type, x.start, count(*) AS n FROM w x JOIN w y ON y.event_type = x.event_type AND y.start = x.start AND y.u = x.v JOIN w z ON z.event_type = x.event_type AND z.start = x.start AND z.u = x.u AND z.v = y.v GROUP BY ALL)
     SELECT event_type, start, count(*) AS edges, coalesce(any_value(t.n), 0)::BIGINT AS triangles FROM w LEFT JOIN t USING (event_type, start) GROUP BY event_type, start"""
-add("stream_session", _stream(lambda e, f: streams.stream_sessions(e, f, delay="60 days"), "session"), _SESSIONS)
+add("stream_session", _stream(streams.stream_sessions, "session"), _SESSIONS)
+_SIX = "time_bucket(INTERVAL 6 HOURS, ts)"
+add("stream_closed_windows", _stream(streams.closed_windows, "closed"), f"SELECT * FROM ({_windows_sql(_SIX)}) WHERE start + INTERVAL 6 HOURS <= (SELECT max(ts) FROM ({_CONTACTS})) - INTERVAL 1 HOUR")
 add(
     "stream_incremental", _stream(lambda e, f: streams.stream_incremental(e, f).agg(F.sum("new_triangles").alias("triangles")), "incremental"),
     f"WITH e AS (SELECT DISTINCT u, v FROM ({_CONTACTS})) SELECT count(*) AS triangles FROM e x JOIN e y ON y.u = x.v JOIN e z ON z.u = x.u AND z.v = y.v",
@@ -394,7 +419,43 @@ def _late(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame([(out, dropped)], "kept long, dropped long")
 
 
-add("stream_late", _late)
+add(
+    "stream_late", _late,
+    f"""WITH c AS ({_CONTACTS}), h AS (SELECT c.*, event_id >= (SELECT quantile_disc(event_id, 0.5) FROM events) AS first FROM c), w AS (SELECT max(ts) - INTERVAL 1 HOUR AS mark FROM h WHERE first)
+    SELECT (SELECT count(DISTINCT (u, v)) FROM h WHERE first) AS kept, (SELECT count(*) FROM h, w WHERE NOT first AND ts <= mark) AS dropped""",
+)
+
+
+def _reservoir(s: SparkSession, d: str, memory: int = 500) -> DataFrame:
+    """Edges seen and held by a state with room for fewer than there are; estimates are tested on their own, as SQL has no such sample."""
+    folder = streams.shared_folder(s, "reservoir")
+    edges = streams.contacts(table(s, d, "events")).select("event_type", "u", "v").distinct()
+    edges.repartitionByRange(3, "u", "v").sortWithinPartitions("u", "v").write.parquet(f"{folder}/in")
+    stream = s.readStream.schema(edges.schema).option("maxFilesPerTrigger", 1).parquet(f"{folder}/in")
+    streams.run_stream(streams.stateful_triangles(stream, memory), folder, lambda b, n: b.write.mode("overwrite").parquet(f"{folder}/state/batch={n}"), "update")
+    return s.read.parquet(f"{folder}/state").groupBy("event_type").agg(F.max("seen").alias("seen"), F.max("held").alias("held"))
+
+
+add("stream_reservoir", _reservoir, f"SELECT event_type, count(*) AS seen, least(count(*), 500) AS held FROM (SELECT DISTINCT event_type, u, v FROM ({_CONTACTS})) GROUP BY 1")
+
+
+def _sql_functions(s: SparkSession, d: str) -> DataFrame:
+    """Neighbour pairs of vertices by the SQL function."""
+    planner.sql_functions(s)
+    prep.degrees(load_graph(s, d, SMALL)).createOrReplaceTempView("degrees_of_small")
+    return s.sql("SELECT v, CAST(wedge_pairs(deg) AS BIGINT) AS wedges FROM degrees_of_small")
+
+
+def _table_function(s: SparkSession, d: str) -> DataFrame:
+    """Triangles by the table function, from both out-lists of every oriented edge."""
+    planner.sql_functions(s)
+    o = prep.orient(load_graph(s, d, SMALL))
+    count.attach_lists(o, prep.out_lists(o)).createOrReplaceTempView("lists_of_small")
+    return s.sql("SELECT src AS a, dst AS b, third AS c FROM lists_of_small, LATERAL triangles_at(nu, nv)")
+
+
+add("sql_wedge_pairs", _sql_functions, on(SMALL, "SELECT v, (deg * (deg - 1) // 2)::BIGINT AS wedges FROM d"))
+add("udtf_triangles", _table_function, on(SMALL, "SELECT a, b, c FROM t"))
 
 # Samples.
 _A = "SELECT count(*) AS kept, round(count(*) * {1}::DOUBLE, 6) AS estimate FROM ({0}) x JOIN ({0}) y ON y.u = x.v JOIN ({0}) z ON z.u = x.u AND z.v = y.v"

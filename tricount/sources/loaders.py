@@ -11,10 +11,13 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from tricount.functions.lineage import checkpointed
 from tricount.operators.prep import canonical_edges, dense_ids
 
 #: A group of more members than this meets in tiles of that many.
 GROUP_TILE = 2048
+#: Vectors scored at once against a block of others.
+VECTOR_TILE = 1024
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -101,6 +104,28 @@ def bigram(spark: SparkSession, sf_dir: str) -> DataFrame:
     return edges_from_tokens(table(spark, sf_dir, "documents"), "text")
 
 
+def nation_trade(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Nations of customers and of the suppliers of their order lines; trade within a nation is a loop and goes."""
+    nation_of = lambda name, key, nation: table(spark, sf_dir, name).select(key, nation)
+    lines = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_suppkey").join(table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey"), F.col("l_orderkey") == F.col("o_orderkey"))
+    traded = lines.groupBy("o_custkey", "l_suppkey").agg(F.count(F.lit(1)).alias("n")).join(nation_of("customer", "c_custkey", "c_nationkey"), F.col("o_custkey") == F.col("c_custkey"))
+    return canonical_edges(traded.join(nation_of("supplier", "s_suppkey", "s_nationkey"), F.col("l_suppkey") == F.col("s_suppkey")), "c_nationkey", "s_nationkey")
+
+
+def _runs(df: DataFrame, key: str, text: str, width: int) -> DataFrame:
+    """(key, run): every run of `width` words of a text as one string, once for each key."""
+    words = df.select(F.col(key).alias("key"), F.regexp_extract_all(F.lower(text), F.lit("[a-z]+"), F.lit(0)).alias("w")).where(F.size("w") >= width)
+    starts = F.sequence(F.lit(1), F.size("w") - (width - 1))
+    return words.select("key", F.explode(F.transform(starts, lambda k: F.array_join(F.slice("w", k, width), " "))).alias("run")).distinct()
+
+
+def bench_leak(spark: SparkSession, sf_dir: str, width: int = 8) -> DataFrame:
+    """Documents and benchmark items that share a run of words, a bipartite graph: ids 2k and 2k + 1. Only runs that an item has are kept of the documents."""
+    items = _runs(table(spark, sf_dir, "benchmark"), "item_id", "text", width).toDF("item", "run")
+    shared = _runs(table(spark, sf_dir, "documents"), "doc_id", "text", width).join(items, "run")
+    return canonical_edges(shared.select((2 * F.col("key")).alias("src"), (2 * F.col("item") + 1).alias("dst")))
+
+
 def pagelink(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Pages that share a link target below the root, without a further slash."""
     links = table(spark, sf_dir, "pages").select("page_id", F.explode(F.regexp_extract_all("html", F.lit('href="(/[^"/]*)"'), F.lit(1))).alias("target"))
@@ -109,38 +134,52 @@ def pagelink(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def edges_from_vectors(df: DataFrame, k: int = 10, id_col: str = "vec_id", vector_col: str = "embedding", scale: int = 1 << 20, block: int = 4096) -> DataFrame:
     """Each vector and its k nearest others by inner product of floor(scale * x), ties to the smaller id. All pairs are scored, in blocks of
-    `block` vectors against all; a task keeps k per vector."""
-    rows = df.select(F.col(id_col).cast("long").alias("id"), F.transform(F.col(vector_col), lambda x: F.floor(x.cast("double") * scale).cast("double")).alias("x"))
-    rows = rows.where("id is not null and x is not null")
+    `block` vectors against all; a task keeps k per vector, and each block's edges are written. Shorter vectors count as padded by zeros; vectors that are null or hold null or
+    non-finite components take no part. Vectors are written as integers once."""
+    x = F.transform(F.col(vector_col), lambda e: e.cast("double"))
+    whole = df.select(F.col(id_col).cast("long").alias("id"), x.alias("x")).where("id is not null and x is not null")
+    whole = whole.where(~F.exists("x", lambda e: e.isNull() | F.isnan(e) | (F.abs(e) == F.lit(float("inf")))))
+    # An id is one vertex, so one vector: the largest where it has several.
+    rows = checkpointed(whole.groupBy("id").agg(F.max("x").alias("x")).select("id", F.transform("x", lambda e: F.floor(e * scale).cast("double")).alias("x")))
+    size = rows.agg(F.max(F.size("x")).alias("width"), F.max(F.array_max(F.transform("x", F.abs))).alias("largest")).first()
+    width = size.width or 0
+    if width * (size.largest or 0) ** 2 >= 1 << 53:
+        raise ValueError("products of these vectors are too large for exact sums: take a smaller scale")
     last, near = None, None
     while ask := (rows if last is None else rows.where(F.col("id") > last)).orderBy("id").limit(block).collect():
         last = ask[-1].id
-        shared = df.sparkSession.sparkContext.broadcast((np.array([r.id for r in ask]), np.array([r.x for r in ask])))
+        queries = np.zeros((len(ask), width))
+        for row, r in zip(queries, ask, strict=True):
+            row[: len(r.x)] = r.x
+        shared = df.sparkSession.sparkContext.broadcast((np.array([r.id for r in ask]), queries))
 
         def best(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
             ids, queries = shared.value
             for batch in batches:
-                own = batch.column("id").to_numpy()
-                x = batch.column("x").flatten().to_numpy().reshape(len(own), -1)
-                score = queries @ x.T
-                score[ids[:, None] == own[None, :]] = -np.inf
-                order = np.lexsort((np.broadcast_to(own, score.shape), -score), axis=1)[:, :k]
-                top = np.take_along_axis(score, order, axis=1).ravel()
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, order.shape[1])[np.isfinite(top)]), pa.array(own[order].ravel()[np.isfinite(top)]), pa.array(top[np.isfinite(top)])], names=["src", "dst", "s"])
-
-        part = rows.mapInArrow(best, "src long, dst long, s double")
+                for a in range(0, batch.num_rows, VECTOR_TILE):
+                    part = batch.slice(a, VECTOR_TILE)
+                    own, lists = part.column("id").to_numpy(), part.column("x")
+                    sizes = np.diff(lists.offsets.to_numpy())
+                    x = np.zeros((len(own), queries.shape[1]))
+                    x[np.arange(queries.shape[1])[None, :] < sizes[:, None]] = lists.flatten().to_numpy()
+                    score = queries @ x.T
+                    score[ids[:, None] == own[None, :]] = -np.inf
+                    least = np.partition(score, -k, axis=1)[:, -k][:, None] if len(own) > k else -np.inf
+                    q, c = np.nonzero((score >= least) & np.isfinite(score))  # ties at the k-th score all stay for now
+                    yield pa.RecordBatch.from_arrays([pa.array(ids[q]), pa.array(own[c]), pa.array(score[q, c])], names=["src", "dst", "s"])
+
+        part = checkpointed(rows.mapInArrow(best, "src long, dst long, s double").withColumn("r", F.row_number().over(W.partitionBy("src").orderBy(F.desc("s"), "dst"))).where(F.col("r") <= k).select("src", "dst"))
         near = part if near is None else near.unionByName(part)
     if near is None:
         return rows.select(F.col("id").alias("u"), F.col("id").alias("v")).limit(0)
-    ranked = near.withColumn("r", F.row_number().over(W.partitionBy("src").orderBy(F.desc("s"), "dst"))).where(F.col("r") <= k)
-    return canonical_edges(ranked)
+    return canonical_edges(near)
 
 
 def knn(spark: SparkSession, sf_dir: str) -> DataFrame:
     return edges_from_vectors(table(spark, sf_dir, "embeddings"))
 
 
-GRAPHS = {f.__name__: f for f in (copurchase, cosupply_order, cosupply_part, tripartite, order_part, coactive, nextactor, knn, bigram, pagelink)}
+GRAPHS = {f.__name__: f for f in (copurchase, cosupply_order, cosupply_part, tripartite, order_part, coactive, nextactor, knn, bigram, pagelink, nation_trade, bench_leak)}
 
 
 def load_graph(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

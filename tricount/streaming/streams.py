@@ -10,15 +10,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
 
-#: Ids that an event's number of contacts is spread over.
-CONTACTS = 100
+from tricount.functions.lineage import ensure_folder
+
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
 def contacts(events: DataFrame) -> DataFrame:
     """(event_id, event_type, ts, u, v): an event's user and the one its `props.k` names, loops left out. ts becomes a timestamp, as watermarks need one."""
-    other = F.get_json_object("props", "$.k").cast("long") % CONTACTS
-    pairs = events.select("event_id", "event_type", F.col("ts").cast("timestamp").alias("ts"), (F.col("user_id") % CONTACTS).alias("a"), other.alias("b")).where("a <> b")
+    other = F.get_json_object("props", "$.k").cast("long")
+    pairs = events.select("event_id", "event_type", F.col("ts").cast("timestamp").alias("ts"), F.col("user_id").alias("a"), other.alias("b")).where("a <> b")
     return pairs.select("event_id", "event_type", "ts", F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v"))
 
 
@@ -30,13 +30,8 @@ def edge_stream(spark: SparkSession, folder: str, glob: str = "events.parquet",
 
 def shared_folder(spark: SparkSession, name: str) -> str:
     """A fresh folder under spark.checkpoint.dir, or under the folder set on the context where that is unset."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not root:
-        import tempfile
-
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="tricount-"))
-        root = spark.sparkContext.getCheckpointDir()
-    return f"{root}/{name}-{uuid.uuid4().hex}"
+    ensure_folder(spark)
+    return f"{spark.conf.get('spark.checkpoint.dir', None) or spark.sparkContext.getCheckpointDir()}/{name}-{uuid.uuid4().hex}"
 
 
 def run_stream(df: DataFrame, folder: str, each: Callable[[DataFrame, int], None] | None = None, mode: str = "append", name: str = "q") -> StreamingQuery:
@@ -81,23 +76,34 @@ def stream_triangles(stream: DataFrame, folder: str, window: str = "1 day", slid
     return triangles_by_key(rows, ["start"])
 
 
-def stream_sessions(stream: DataFrame, folder: str, gap: str = "30 minutes", delay: str = "1 day") -> DataFrame:
-    """(event_type, start, edges, triangles) of sessions: a session of a type ends after a gap without its events. A session's unique edges are gathered in its state."""
+def closed_windows(stream: DataFrame, folder: str, window: str = "6 hours", delay: str = "1 hour") -> DataFrame:
+    """(start, edges, triangles) of the windows that the watermark has closed: each is written once, when it closes, and its state goes."""
+    placed = stream_windows(stream, window, None, delay)
+    run_stream(placed, folder, lambda batch, number: batch.write.mode("overwrite").parquet(f"{folder}/closed/batch={number}"))
+    return triangles_by_key(stream.sparkSession.read.parquet(f"{folder}/closed").select("start", "u", "v"), ["start"])
+
+
+def stream_sessions(stream: DataFrame, folder: str, gap: str = "30 minutes", delay: str = "1 hour") -> DataFrame:
+    """(event_type, start, edges, triangles) of sessions that have ended: a session of a type ends after a gap without its events, and is written when the watermark has passed its end, which frees its state.
+
+    A session's unique edges are gathered in its state.
+    """
     held = stream.withWatermark("ts", delay).groupBy("event_type", F.session_window("ts", gap).alias("s")).agg(F.collect_set(F.struct("u", "v")).alias("e"))
 
     def keep(batch: DataFrame, number: int) -> None:
         batch.select("event_type", F.col("s.start").cast("timestamp_ntz").alias("start"), F.explode("e").alias("e")).select("event_type", "start", "e.*").write.mode("overwrite").parquet(f"{folder}/sessions/batch={number}")
 
-    run_stream(held, folder, keep, "complete")
-    spark = stream.sparkSession
-    last = spark.read.parquet(f"{folder}/sessions")
-    newest = last.agg(F.max("batch")).first()[0]
-    return triangles_by_key(last.where(F.col("batch") == newest).select("event_type", "start", "u", "v"), ["event_type", "start"])
+    run_stream(held, folder, keep)
+    ended = stream.sparkSession.read.parquet(f"{folder}/sessions").select("event_type", "start", "u", "v")
+    return triangles_by_key(ended, ["event_type", "start"])
 
 
 def new_triangles(old: DataFrame, new: DataFrame) -> DataFrame:
-    """One row: the triangles with an edge of `new` in the union. One with j new edges is found j times, at 6 / j sixths each."""
-    every = old.withColumn("n", F.lit(0)).unionByName(new.withColumn("n", F.lit(1)))
+    """One row: the triangles with an edge of `new` in the union. One with j new edges is found j times, at 6 / j sixths each. Of the old edges only those at an end of a new one can close anything, so the others are left out first."""
+    touched = new.select(F.explode(F.array("u", "v")).alias("x")).distinct()
+    by_u = old.join(touched, F.col("u") == F.col("x"), "left_semi")
+    by_v = old.join(touched, F.col("v") == F.col("x"), "left_semi").join(touched, F.col("u") == F.col("x"), "left_anti")
+    every = by_u.unionByName(by_v).withColumn("n", F.lit(0)).unionByName(new.withColumn("n", F.lit(1)))
     array = every.select(F.explode(F.array(F.struct(F.col("u").alias("s"), F.col("v").alias("d"), "n"), F.struct(F.col("v").alias("s"), F.col("u").alias("d"), "n"))).alias("e")).select("e.*")
     side = array.toDF("u", "w", "nu")
     closed = new.join(side, "u").join(array.toDF("v", "w", "nv"), ["v", "w"])
@@ -145,9 +151,9 @@ def late_report(query: StreamingQuery) -> list[tuple[int, int]]:
 
 
 def stateful_triangles(stream: DataFrame, memory: int | None = 10_000, seed: int = 1) -> DataFrame:
-    """(event_type, seen, kept, estimate) after each batch, from state of at most `memory` edges per event type, or of all edges where it is None.
+    """(event_type, seen, held, kept, estimate) after each batch, from state of at most `memory` edges per event type, or of all edges where it is None.
 
-    With all edges `kept` is the exact number, at the price of state that grows with the graph of a type. With a limit, edges beyond it replace kept ones
+    `held` edges are in memory, and `kept` triangles among them. With all edges `kept` is the exact number, at the price of state that grows with the graph of a type. With a limit, edges beyond it replace kept ones
     with the chance of an even sample, and counts are scaled by the chance that a triangle's three edges are kept; until the memory is full the estimate is the exact number. Streams of unique edges are expected (see dedup_stream).
     """
 
@@ -179,9 +185,9 @@ def stateful_triangles(stream: DataFrame, memory: int | None = 10_000, seed: int
         m = seen if memory is None else min(memory, seen)
         chance = m * (m - 1) * (m - 2) / (seen * (seen - 1) * (seen - 2)) if seen > m else 1.0
         state.update((seen, [list(e) for e in edges]))
-        yield pd.DataFrame({"event_type": [key[0]], "seen": [seen], "kept": [kept], "estimate": [kept / chance]})
+        yield pd.DataFrame({"event_type": [key[0]], "seen": [seen], "held": [len(edges)], "kept": [kept], "estimate": [kept / chance]})
 
-    return stream.groupBy("event_type").applyInPandasWithState(update, "event_type string, seen long, kept long, estimate double", "seen long, edges array<array<long>>", "update", "NoTimeout")
+    return stream.groupBy("event_type").applyInPandasWithState(update, "event_type string, seen long, held long, kept long, estimate double", "seen long, edges array<array<long>>", "update", "NoTimeout")
 
 
 def batch_windows(events: DataFrame, window: str, slide: str | None = None) -> DataFrame:
