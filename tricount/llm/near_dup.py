@@ -353,13 +353,13 @@ def _tiles(buckets: DataFrame, parts: DataFrame, labels: DataFrame | None, seed:
 
     A bucket of at most TILE group parts is one tile. A larger one is cut into chunks by hash. Without `all_pairs` each chunk stays alone. With it chunks meet, but only those of
     neighbouring size bands (sets of others are too unlike in size to link) and only where not both hold nothing but the bucket's commonest label: so a bucket that is connected
-    but for a few members copies its rows to the chunks of these few alone. Keys without bitmaps are written first, so that joins on a bucket stand alone and large buckets can be split.
+    but for a few members copies its rows to the chunks of these few alone. Keys without bitmaps and all sums are written first, so that joins on a bucket read plain tables and large buckets can be split.
     """
     bucket = ["b0", "b1"]
     keyed = stages.write(buckets.join(_labelled(parts, labels), "gid"))
     sizes = keyed.groupBy(*bucket).agg(F.count(F.lit(1)).alias("m"), F.min("lo").alias("least"), F.max("hi").alias("most")).where("least <> most")
-    sizes = sizes.where(F.col("m") > TILE) if large_only else sizes
-    placed = stages.write(keyed.join(sizes.select(*bucket, "m"), bucket))
+    sizes = stages.write((sizes.where(F.col("m") > TILE) if large_only else sizes).select(*bucket, "m"))
+    placed = stages.write(keyed.join(sizes, bucket))
     maps = parts.select("gid", "part", "nodes", "bitmaps")
     chunk_of = lambda n: F.pmod(F.xxhash64("gid", "part", F.lit(seed)), F.ceil(F.col(n) / F.lit(TILE))).cast("long")
     columns = [*bucket, "x", "y", "own", "gid", "n", "nodes", "labels", "bitmaps"]
@@ -370,12 +370,13 @@ def _tiles(buckets: DataFrame, parts: DataFrame, labels: DataFrame | None, seed:
     if large.isEmpty():
         return small
     band = F.floor(F.log(F.col("n").cast("double")) / F.lit(math.log(101 / percent)))  # a little wider than linked sizes are apart
-    common = large.where("lo = hi").groupBy(*bucket, "lo").agg(F.count(F.lit(1)).alias("k")).groupBy(*bucket).agg(F.max_by("lo", F.struct("k", "lo")).alias("common"))
+    common = stages.write(large.where("lo = hi").groupBy(*bucket, "lo").agg(F.count(F.lit(1)).alias("k")).groupBy(*bucket).agg(F.max_by("lo", F.struct("k", "lo")).alias("common")))
     kind = F.when((F.col("lo") == F.col("hi")) & (F.col("lo") == F.col("common")), 0).otherwise(1)
     large = stages.write(large.join(common, bucket, "left").withColumns({"band": band, "kind": kind}))
     cells = large.groupBy(*bucket, "band", "kind").agg(F.count(F.lit(1)).alias("held"))
     near = cells.select(*bucket, F.explode(F.array(F.col("band") - 1, F.col("band"), F.col("band") + 1)).alias("band"), F.struct(F.col("band").alias("band"), "kind", F.ceil(F.col("held") / F.lit(TILE)).alias("chunks")).alias("other"))
     partners = cells.join(near, [*bucket, "band"]).where("kind = 1 or other.kind = 1").groupBy(*bucket, "band", "kind", "held").agg(F.collect_list("other").alias("others"))
+    partners = stages.write(partners)
     theirs = F.flatten(F.transform("others", lambda o: F.transform(F.sequence(F.lit(0).cast("long"), o["chunks"] - 1), lambda c: _chunk_id(o["band"], o["kind"], c))))
     own = large.join(partners, [*bucket, "band", "kind"]).withColumn("own", _chunk_id(F.col("band"), F.col("kind"), chunk_of("held")))
     met = own.select(*bucket, "gid", "part", "n", "labels", "own", theirs.alias("theirs")).join(maps, ["gid", "part"])
@@ -417,7 +418,7 @@ def near_copies(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) ->
     tokens = stages.write(lists.where("groups > 1").groupBy("groups", "x1", "x2").agg(F.min("token").alias("token"), F.min("leader").alias("leader")).select("token", "leader"))
     few = _marked_only(groups.select("gid", "prefix"), "prefix", tokens.select("token")).select("gid", F.explode("prefix").alias("token"))
     met = few.join(tokens, "token").select(F.lit(0).alias("b0"), F.col("leader").alias("b1"), "gid").distinct()
-    several = grouped.groupBy("gid").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
+    several = stages.write(grouped.groupBy("gid").agg(F.count(F.lit(1)).alias("size")).where("size > 1"))
     buckets = stages.write(met.union(several.select(F.lit(1).alias("b0"), F.col("gid").alias("b1"), "gid")))
     stages.drop(groups, tokens)
     inside = _marked_only(grouped.select("gid", "node"), "gid", buckets.select("gid")).join(several, "gid", "left")
