@@ -8,8 +8,8 @@ from pyspark.sql import functions as F
 
 from tricount.llm.common import WORD, Stages, unused
 
-#: Rows of a size class of a source that one task ranks; a larger class is dealt into more parts.
-PART_ROWS = 1 << 16
+#: Rows of a part of a size class of a source, which are ranked together, and parts that are summed up together.
+PART_ROWS, PARTS = 256, 1024
 #: A document with at least this share (one in so many) of its source's words is placed by itself; a source has no more of these.
 LARGE = 1024
 #: No document is taken more often than this.
@@ -74,8 +74,8 @@ def mix(docs: DataFrame) -> DataFrame:
     documents with at least a LARGE-th of the source's words (no more than LARGE of them) are summed one after another, each expecting what is still asked for over
     what is still there, and all others share one rate. So a source misses its target by about the size of its smallest documents where these can make up for the rest.
 
-    The sum over the small ones has two levels: counts per (source, size class, part) are summed over that small table, and ranks within one part, of some PART_ROWS rows,
-    are taken by one task each. Sizes are written once to the shared folder, so texts are read once. The same rows always give the same mix. Null texts and texts without words
+    The sum over the small ones has three levels: ranks within a part of a size class of a source, of some PART_ROWS rows; sums over PARTS parts; and sums of these over a source,
+    a table of a row for some quarter of a million documents, or for each size class. Sizes are written once to the shared folder, so texts are read once. The same rows always give the same mix. Null texts and texts without words
     have size 0 and are drawn like others. Null ids go first within their size. A source of size 0 has target 0. An empty table gives no rows.
     """
     stages = Stages(docs.sparkSession, "mix")
@@ -105,9 +105,12 @@ def mix(docs: DataFrame) -> DataFrame:
 
     small = sized.where(~is_large).drop("source_size").join(classes.select("key", "none", "class", "held"), ["key", "none", "class"])
     small = small.withColumn("part", F.col("draw") % F.ceil(F.col("held") / F.lit(PART_ROWS)))
-    parts = small.groupBy("key", "none", "class", "part").agg(F.count(F.lit(1)).alias("n"))
-    earlier = W.partitionBy("key", "none").orderBy(F.desc("class"), "part").rowsBetween(W.unboundedPreceding, -1)
-    starts = parts.withColumn("before", F.coalesce(F.sum("n").over(earlier), F.lit(0))).drop("n").join(placed.drop("sums"), ["key", "none"])
+    parts = small.groupBy("key", "none", "class", "part").agg(F.count(F.lit(1)).alias("n")).withColumn("some", F.expr(f"part DIV {PARTS}"))
+    earlier = W.partitionBy("key", "none").orderBy(F.desc("class"), "some").rowsBetween(W.unboundedPreceding, -1)
+    sums = parts.groupBy("key", "none", "class", "some").agg(F.sum("n").alias("n")).withColumn("start", F.coalesce(F.sum("n").over(earlier), F.lit(0))).drop("n")
+    inside = W.partitionBy("key", "none", "class", "some").orderBy("part").rowsBetween(W.unboundedPreceding, -1)
+    starts = parts.withColumn("inside", F.coalesce(F.sum("n").over(inside), F.lit(0))).join(sums, ["key", "none", "class", "some"])
+    starts = starts.select("key", "none", "class", "part", (F.col("start") + F.col("inside")).alias("before")).join(placed.drop("sums"), ["key", "none"])
     within = W.partitionBy("key", "none", "class", "part").orderBy(F.desc("size"), F.col("doc_id").asc_nulls_first())
     ranked = small.join(starts, ["key", "none", "class", "part"]).withColumn("rank", F.col("before") + F.row_number().over(within))
     at = lambda rank: crossed(F.col("upto") + rank.cast("double") * F.col("rest"))
@@ -177,7 +180,7 @@ l AS (
 ), h AS (SELECT key, none, class, count(*) AS held FROM r GROUP BY ALL),
 k AS (
   SELECT r.doc_id, r.size, source_size, target, o, upto, rest,
-    row_number() OVER (PARTITION BY key, none ORDER BY class DESC, draw % ceil(held / 65536)::BIGINT, size DESC, doc_id NULLS FIRST) AS rank
+    row_number() OVER (PARTITION BY key, none ORDER BY class DESC, draw % ceil(held / 256)::BIGINT, size DESC, doc_id NULLS FIRST) AS rank
   FROM r JOIN g USING (key, none) JOIN z USING (key, none) JOIN h USING (key, none, class) WHERE size = 0 OR size * 1024 < source_size
 )
 SELECT doc_id, size, source_size, target, ((floor(upto + rank::DOUBLE * rest + o) - floor(upto + (rank - 1)::DOUBLE * rest + o))::BIGINT * size)::BIGINT AS taken FROM k
