@@ -11,7 +11,7 @@ from tricount.llm.common import WORD, Stages, unused
 #: Rows of a part of a size class of a source, which are ranked together, and parts that are summed up together.
 PART_ROWS, PARTS = 256, 1024
 #: A document with at least this share (one in so many) of its source's words is placed by itself; a source has no more of these.
-LARGE = 1024
+LARGE = 512
 #: No document is taken more often than this.
 MOST = 3
 
@@ -166,7 +166,7 @@ l AS (
   SELECT key, none, source_size, least((3 * source_size)::DOUBLE, max(level) OVER () * w) AS target, ('0x' || substr(md5(key || none::VARCHAR), 1, 4))::BIGINT::DOUBLE / 65536.0::DOUBLE AS o FROM l
 ), b AS (
   SELECT key, none, doc_id, source, size, row_number() OVER (PARTITION BY key, none ORDER BY size DESC, doc_id NULLS FIRST) AS pos
-  FROM r JOIN g USING (key, none) WHERE size > 0 AND size * 1024 >= source_size
+  FROM r JOIN g USING (key, none) WHERE size > 0 AND size * 512 >= source_size
 ), f AS (
   SELECT key, none, 0::BIGINT AS pos, 0::DOUBLE AS prior, 0::DOUBLE AS upto, 0::BIGINT AS taken, 0::BIGINT AS seen, source_size, target, o FROM g
   UNION ALL
@@ -181,7 +181,7 @@ l AS (
 k AS (
   SELECT r.doc_id, r.size, source_size, target, o, upto, rest,
     row_number() OVER (PARTITION BY key, none ORDER BY class DESC, draw % ceil(held / 256)::BIGINT, size DESC, doc_id NULLS FIRST) AS rank
-  FROM r JOIN g USING (key, none) JOIN z USING (key, none) JOIN h USING (key, none, class) WHERE size = 0 OR size * 1024 < source_size
+  FROM r JOIN g USING (key, none) JOIN z USING (key, none) JOIN h USING (key, none, class) WHERE size = 0 OR size * 512 < source_size
 )
 SELECT doc_id, size, source_size, target, ((floor(upto + rank::DOUBLE * rest + o) - floor(upto + (rank - 1)::DOUBLE * rest + o))::BIGINT * size)::BIGINT AS taken FROM k
 UNION ALL
