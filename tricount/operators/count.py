@@ -296,9 +296,10 @@ METHODS = {
 
 
 def triangle_total(edges: DataFrame, method: str = "auto", **options) -> DataFrame:
-    """The number of triangles by any method; "auto" asks the planner, which measures the graph first."""
+    """The number of triangles by any method; "auto" asks the planner, which measures the graph first. For that edges are written once, so that what makes them runs once."""
     if method == "auto":
         from tricount.plans.planner import choose
 
+        edges = checkpointed(edges)
         method, options = choose(edges)
     return METHODS[method](edges, **options)
