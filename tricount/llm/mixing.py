@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from tricount.llm.common import WORD, Stages, unused
 
 #: Rows of a part of a size class of a source, which are ranked together, and parts that are summed up together.
-PART_ROWS, PARTS = 256, 1024
+PART_ROWS, PARTS = 128, 1024
 #: A document with at least this share (one in so many) of its source's words is placed by itself; a source has no more of these.
 LARGE = 512
 #: No document is taken more often than this.
@@ -75,7 +75,7 @@ def mix(docs: DataFrame) -> DataFrame:
     what is still there, and all others share one rate. So a source misses its target by about the size of its smallest documents where these can make up for the rest.
 
     The sum over the small ones has three levels: ranks within a part of a size class of a source, of some PART_ROWS rows; sums over PARTS parts; and sums of these over a source,
-    a table of a row for some quarter of a million documents, or for each size class. Sizes are written once to the shared folder, so texts are read once. The same rows always give the same mix. Null texts and texts without words
+    a table of a row for some hundred thousand documents, or for each size class. Sizes are written once to the shared folder, so texts are read once. The same rows always give the same mix. Null texts and texts without words
     have size 0 and are drawn like others. Null ids go first within their size. A source of size 0 has target 0. An empty table gives no rows.
     """
     stages = Stages(docs.sparkSession, "mix")
@@ -180,7 +180,7 @@ l AS (
 ), h AS (SELECT key, none, class, count(*) AS held FROM r GROUP BY ALL),
 k AS (
   SELECT r.doc_id, r.size, source_size, target, o, upto, rest,
-    row_number() OVER (PARTITION BY key, none ORDER BY class DESC, draw % ceil(held / 256)::BIGINT, size DESC, doc_id NULLS FIRST) AS rank
+    row_number() OVER (PARTITION BY key, none ORDER BY class DESC, draw % ceil(held / 128)::BIGINT, size DESC, doc_id NULLS FIRST) AS rank
   FROM r JOIN g USING (key, none) JOIN z USING (key, none) JOIN h USING (key, none, class) WHERE size = 0 OR size * 512 < source_size
 )
 SELECT doc_id, size, source_size, target, ((floor(upto + rank::DOUBLE * rest + o) - floor(upto + (rank - 1)::DOUBLE * rest + o))::BIGINT * size)::BIGINT AS taken FROM k
