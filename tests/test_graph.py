@@ -1,5 +1,6 @@
 import itertools
 import random
+import statistics
 from math import comb
 
 import duckdb
@@ -151,6 +152,19 @@ def test_a_bounded_sample_estimates_without_bias(spark, tmp_path):
     assert abs(sum(estimates) / len(estimates) - comb(60, 3)) < 0.15 * comb(60, 3)
 
 
+@pytest.mark.parametrize(("method", "share"), [("edges", 50), ("colours", 2)])
+def test_samples_are_as_far_off_as_they_say(spark, method, share):
+    edges = gen.fixture_graph(spark, "complete", 30)
+    rows = listing.approx_accuracy(edges, method, share, 60).collect()
+    true = comb(30, 3)
+    assert len(rows) == 60
+    assert abs(sum(r.estimate for r in rows) / 60 - true) <= 3 * statistics.pstdev(r.estimate for r in rows) / 60**0.5 + 1e-9
+    assert sum(r.within for r in rows) >= 0.8 * 60
+    one = listing.approx_triangles(edges, method, share, rows[0].seed).first()
+    assert (one.kept, one.shared, one.std_error) == (rows[0].kept, rows[0].shared, rows[0].std_error)
+    assert listing.approx_accuracy(gen.fixture_graph(spark, "star", 5), method, share).collect() == []
+
+
 def test_sums_and_ids_over_crowded_keys(spark):
     rows = [(k if k < 90 else 10**12 + k, k % 5) for k in range(100)] + [(-7, 3)]
     got = sorted(prep.prefix_sum(spark.createDataFrame(rows, "k long, x long").repartition(5), "k", "x").select("k", "x", "running", "before").collect())
@@ -226,7 +240,7 @@ def test_models(spark):
     assert total(count.forward_grouped(gen.kron_power(gen.fixture_graph(spark, "complete", 3), 3, 2))) == 6
 
 
-@pytest.mark.parametrize("name", ["graph_summary", "list_triangles", "wedge_counts", "stream_incremental", "approx_colour", "tri_ba", "degrees_from_node", "sorted_rows", "truss_4", "split_costs_weighted_6", "stream_closed_windows", "stream_reservoir", "udtf_triangles", "edges_nation_trade"])
+@pytest.mark.parametrize("name", ["graph_summary", "list_triangles", "wedge_counts", "stream_incremental", "approx_colour", "approx_edge_sample", "approx_wedge", "approx_accuracy_edges", "approx_accuracy_colours", "tri_ba", "degrees_from_node", "sorted_rows", "truss_4", "split_costs_weighted_6", "stream_closed_windows", "stream_reservoir", "udtf_triangles", "edges_nation_trade"])
 def test_queries_against_sql(spark, name):
     con = duckdb.connect()
     for t in ("lineitem", "orders", "events", "documents", "customer", "supplier"):

@@ -458,13 +458,40 @@ add("sql_wedge_pairs", _sql_functions, on(SMALL, "SELECT v, (deg * (deg - 1) //
 add("udtf_triangles", _table_function, on(SMALL, "SELECT a, b, c FROM t"))
 
 # Samples.
-_A = "SELECT count(*) AS kept, round(count(*) * {1}::DOUBLE, 6) AS estimate FROM ({0}) x JOIN ({0}) y ON y.u = x.v JOIN ({0}) z ON z.u = x.u AND z.v = y.v"
+_SIDES = "unnest([{'u': least(a, b), 'v': greatest(a, b)}, {'u': least(a, c), 'v': greatest(a, c)}, {'u': least(b, c), 'v': greatest(b, c)}]) AS side"
+
+
+def _rated(method: str, share: int) -> str:
+    """The estimate and its standard error, from kept and shared."""
+    q, r = listing._chances(method, share)
+    return f"round(kept * {1 / q!r}::DOUBLE, 6) AS estimate, round(sqrt(kept * {1 - q!r}::DOUBLE + shared * {2 * (1 - q / r)!r}::DOUBLE) * {1 / q!r}::DOUBLE, 6) AS std_error"
+
+
+def _sampled(keep: str, method: str, share: int) -> str:
+    """One sample's row: triangles of the edges that `keep` selects, and the pairs of them on one edge."""
+    found = f"SELECT x.u AS a, x.v AS b, y.v AS c FROM ({keep}) x JOIN ({keep}) y ON y.u = x.v JOIN ({keep}) z ON z.u = x.u AND z.v = y.v"
+    per_edge = f"SELECT count(*) AS s FROM (SELECT {_SIDES} FROM ({found})) GROUP BY side"
+    return f"SELECT kept, shared, {_rated(method, share)} FROM (SELECT (coalesce(sum(s), 0) // 3)::BIGINT AS kept, coalesce(sum(s * (s - 1) // 2), 0)::BIGINT AS shared FROM ({per_edge}))"
+
+
+def _seeds(drawn: str, method: str, share: int, seeds: int = 20) -> str:
+    """A row for each seed: `drawn` says whether its sample has the edge (u, v)."""
+    all_three = " AND ".join(drawn.format(u=f"least({x}, {y})", v=f"greatest({x}, {y})") for x, y in (("a", "b"), ("a", "c"), ("b", "c")))
+    return f"""SELECT seed, kept, shared, estimate, std_error, round((estimate - total) / total, 6) AS rel_error, abs(estimate - total) <= 2 * std_error AS within FROM (
+        SELECT seed, kept, shared, (SELECT count(*) FROM t) AS total, {_rated(method, share)} FROM (
+            SELECT r.seed::INTEGER AS seed, (coalesce(sum(s), 0) // 3)::BIGINT AS kept, coalesce(sum(s * (s - 1) // 2), 0)::BIGINT AS shared FROM range(1, {seeds + 1}) r(seed) LEFT JOIN (
+                SELECT seed, side, count(*) AS s FROM (SELECT seed, {_SIDES} FROM t, range(1, {seeds + 1}) q(seed) WHERE {all_three}) GROUP BY seed, side) k ON k.seed = r.seed GROUP BY r.seed))
+        WHERE total > 0"""
+
+
 _EDGE_SAMPLE = f"SELECT u, v FROM e WHERE {_draw('u', 'v', '1')} % 100 < 40"
 _COLOUR_SAMPLE = f"SELECT u, v FROM e WHERE {_draw('u', '1')} % 3 = {_draw('v', '1')} % 3"
-add("approx_edge_sample", _on(MAIN, lambda e: listing.approx_triangles(e, "edges", 40)), on(MAIN, _A.format(_EDGE_SAMPLE, repr((100.0 / 40) ** 3))))
-add("approx_colour", _on(MAIN, lambda e: listing.approx_triangles(e, "colours", 3)), on(MAIN, _A.format(_COLOUR_SAMPLE, "9.0")))
+add("approx_edge_sample", _on(MAIN, lambda e: listing.approx_triangles(e, "edges", 40)), on(MAIN, _sampled(_EDGE_SAMPLE, "edges", 40)))
+add("approx_colour", _on(MAIN, lambda e: listing.approx_triangles(e, "colours", 3)), on(MAIN, _sampled(_COLOUR_SAMPLE, "colours", 3)))
 _WEDGE_SAMPLE = f"SELECT x.dst AS p, y.dst AS q FROM o x JOIN o y ON x.src = y.src AND x.dst < y.dst WHERE {_draw('x.src', 'x.dst', 'y.dst', '1')} % 100 < 30"
-add("approx_wedge", _on(SMALL, lambda e: listing.approx_triangles(e, "wedges", 30)), on(SMALL, f"SELECT count(*) AS kept, round(count(*) * {100.0 / 30!r}::DOUBLE, 6) AS estimate FROM ({_WEDGE_SAMPLE}) JOIN e ON e.u = p AND e.v = q"))
+add("approx_wedge", _on(SMALL, lambda e: listing.approx_triangles(e, "wedges", 30)), on(SMALL, f"SELECT kept, shared, {_rated('wedges', 30)} FROM (SELECT count(*) AS kept, 0::BIGINT AS shared FROM ({_WEDGE_SAMPLE}) JOIN e ON e.u = p AND e.v = q)"))
+add("approx_accuracy_edges", _on(SMALL, lambda e: listing.approx_accuracy(e, "edges", 40)), on(SMALL, _seeds(_draw("{u}", "{v}", "seed") + " % 100 < 40", "edges", 40)))
+add("approx_accuracy_colours", _on(SMALL, lambda e: listing.approx_accuracy(e, "colours", 3)), on(SMALL, _seeds(_draw("{u}", "seed") + " % 3 = " + _draw("{v}", "seed") + " % 3", "colours", 3)))
 
 
 def queries() -> dict[str, Query]:
