@@ -395,3 +395,15 @@ def test_a_sample_is_one_bounded_row_for_each_id(spark):
     labels = spark.createDataFrame([(1, 1), (2, 1), (3, 1), (4, 0), (None, 1), (5, 1)], "doc_id long, quality int")
     df = spark.createDataFrame(data, "doc_id long, text string")
     assert labelled_sample(df, labels, "quality", F.lit(True), 10, longest=50) == [("a", 1), ("c", 0)] and len(labelled_sample(df, labels, "quality", F.lit(True), 1)) <= 1
+
+
+def test_open_windows_hold_no_more_than_their_pieces_and_loading_is_given_back(monkeypatch):
+    packer = packing.Packer(0, window=8)
+    packer.add(1, np.arange(8003, dtype=np.uint32))
+    ((piece,),) = [w for windows in packer.open.values() for w in windows]
+    assert piece[2].tolist() == [8000, 8001, 8002]
+    assert (piece[2] if piece[2].base is None else piece[2].base).nbytes == 12
+    calls = []
+    monkeypatch.setattr(packing.textkit, "release", lambda: calls.append(1))
+    packing.word_tokens.__wrapped__(tokenizer_path())
+    assert calls

@@ -20,6 +20,8 @@ WINDOW, END_ID = 4096, 2
 CACHE_WORDS = 1_000_000
 #: New words are encoded so many at a time, with this word between them.
 JOINED, BETWEEN = 256, "→"
+#: Groups (or words) whose encodings, of some 200 bytes a token, are held at once.
+ENCODED = 32
 #: Partially filled windows a task holds (some 8 KB each): when there are more, the fullest one is filled up from the emptiest.
 OPEN_WINDOWS = 4096
 
@@ -47,7 +49,8 @@ class WordTokens:
         self.flat = np.zeros(0, dtype=np.uint32)
 
     def _ids(self, texts: list[str]) -> list[np.ndarray]:
-        return [np.array(x.ids, dtype=np.uint32) for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        parts = (texts[a : a + ENCODED] for a in range(0, len(texts), ENCODED))
+        return [np.array(x.ids, dtype=np.uint32) for part in parts for x in self.tokenizer.encode_batch_fast(part, add_special_tokens=False)]
 
     def _encoded(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all words, how many each has). Words are encoded in groups and told apart by the id of the word between them; a group in which a word has that id itself is encoded word by word."""
@@ -94,8 +97,10 @@ class WordTokens:
 
 @lru_cache(maxsize=1)
 def word_tokens(path: str) -> WordTokens:
-    """One for each worker process, so that its tasks share what it remembers."""
-    return WordTokens(path)
+    """One for each worker process, so that its tasks share what it remembers. What reading its file took (some 60 MB) goes back to the system before texts are read."""
+    tokens = WordTokens(path)
+    textkit.release()
+    return tokens
 
 
 class Packer:
@@ -140,7 +145,7 @@ class Packer:
         size = total - whole
         if not size:
             return
-        piece = (doc, whole, ids[whole:], total)
+        piece = (doc, whole, ids[whole:].copy() if whole else ids, total)  # a view would keep the whole document as long as its window is open
         level = self.level_for(size)
         pieces = self._open_at(level) if level else []
         pieces.append(piece)
