@@ -11,7 +11,7 @@ from hypothesis import strategies as st
 
 from tricount import queries as Q
 from tricount.functions import kernels, measures
-from tricount.operators import count, listing, prep, split
+from tricount.operators import blocks, count, listing, prep, split
 from tricount.plans import planner, studies
 from tricount.sources import generators as gen
 from tricount.sources import loaders
@@ -259,3 +259,65 @@ def test_stream_state_is_exact_beyond_the_default_memory(spark, tmp_path):
     edges = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in")
     got = {r.event_type: (r.edges, r.triangles) for r in Q._stateful(edges, str(tmp_path)).collect()}
     assert got == {"a": (comb(150, 2), comb(150, 3)), "b": (3, 1)}
+
+
+def test_blocks_of_lists_give_what_joins_give(spark):
+    rng = random.Random(6)
+    pairs = [(rng.choice([-5, 0, 2**40, *range(60)]), rng.randrange(60)) for _ in range(500)]
+    e = graph(spark, pairs).persist()
+    want = sorted(map(tuple, count.triangles_of(prep.orient(e)).collect()))
+    for per_block in (40, 10**6):
+        assert total(blocks.count_blocks(e, per_block)) == len(want)
+        assert sorted(map(tuple, blocks.block_triangles(e, per_block).collect())) == want
+        at, sides = {}, {}
+        for t in want:
+            for v in t:
+                at[v] = at.get(v, 0) + 1
+            for s in itertools.combinations(sorted(t), 2):
+                sides[s] = sides.get(s, 0) + 1
+        degree = {r.v: r.deg for r in prep.degrees(e).collect()}
+        assert {tuple(r) for r in blocks.vertex_counts(e, per_block).collect()} == {(v, d, at.get(v, 0)) for v, d in degree.items()}
+        assert {tuple(r) for r in blocks.edge_counts(e, per_block).collect()} == {(r.u, r.v, sides.get((r.u, r.v), 0)) for r in e.collect()}
+    assert total(blocks.count_blocks(e.limit(0))) == 0 and blocks.vertex_counts(e.limit(0)).count() == 0
+
+
+def test_two_paths_and_lists_are_not_shuffled_beyond_the_limit(spark, monkeypatch):
+    e = gen.rmat(spark, 8).persist()
+    monkeypatch.setattr(count, "JOINED_LIMIT", 100)
+    monkeypatch.setattr(planner, "JOINED_LIMIT", 100)
+    for f in (count.forward_grouped, count.forward_bitmap, count.edge_iterator, count.brute_force, count.forward_paths, count.triangle_total, lambda x: count.adjacency_input(prep.to_adjacency(prep.edge_array(x)))):
+        out = f(e)
+        assert total(out) == 10626
+        assert "Join" not in out._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_one_task_methods_take_any_number_of_edges(spark):
+    e = gen.rmat(spark, 8).persist()
+    lists = prep.to_adjacency(prep.edge_array(e))
+    assert total(count.forward_local(e, limit=500)) == total(count.forward_dynamic(e, limit=500)) == total(count.forward_local_lists(lists, limit=500)) == 10626
+
+
+def test_groups_that_share_pairs_make_them_unique_in_a_task(spark, monkeypatch):
+    rng = random.Random(3)
+    rows = [(rng.randrange(12) if rng.random() < 0.95 else None, rng.randrange(-9, 150) if rng.random() < 0.98 else None) for _ in range(2500)]
+    df = spark.createDataFrame(rows, "g long, x long")
+    groups = {}
+    for g, x in rows:
+        if g is not None and x is not None:
+            groups.setdefault(g, set()).add(x)
+    want = {p for xs in groups.values() for p in itertools.combinations(sorted(xs), 2)}
+    for size, memory in ((2048, 1 << 26), (3, 1 << 26), (3, 1 << 9)):
+        monkeypatch.setattr(loaders, "GROUP_TILE", size)
+        monkeypatch.setattr(loaders, "PAIR_BYTES", memory)
+        got = list(map(tuple, loaders.edges_from_projection(df, ["g"], "x").collect()))
+        assert len(got) == len(want) and set(got) == want
+
+
+@pytest.mark.parametrize("name", ["tri_rmat_8", "edges_rmat_source", "tri_ws0", "tri_ws10", "tri_kron_power", "tri_clique", "tri_bipartite", "tri_ba"])
+def test_generated_graphs_read_a_table_and_agree_with_sql(spark, name):
+    df = Q.QUERIES[name](spark, SF)
+    con = duckdb.connect()
+    for t in ("lineitem", "orders", "customer"):
+        con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{SF}/{t}.parquet'")
+    rel = con.sql(Q.SQL[name])
+    assert sorted(map(tuple, df.select(*rel.columns).collect())) == sorted(rel.fetchall())
