@@ -9,6 +9,8 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
+from pyspark.sql import functions as F
+
 from tricount import queries as Q
 from tricount.functions import kernels, measures
 from tricount.operators import blocks, count, listing, prep, split
@@ -16,6 +18,7 @@ from tricount.plans import planner, studies
 from tricount.sources import generators as gen
 from tricount.sources import loaders
 from tricount.sources.rmat_source import RmatSource, read_rmat
+from tricount.streaming import streams
 
 SF = "/root/testdata/sf0.001"
 
@@ -321,3 +324,62 @@ def test_generated_graphs_read_a_table_and_agree_with_sql(spark, name):
         con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{SF}/{t}.parquet'")
     rel = con.sql(Q.SQL[name])
     assert sorted(map(tuple, df.select(*rel.columns).collect())) == sorted(rel.fetchall())
+
+
+def moved_bytes(spark):
+    """Bytes that all stages so far have written for shuffles."""
+    jvm = spark.sparkContext._jvm
+    stages = spark.sparkContext._jsc.sc().statusStore().stageList(jvm.java.util.ArrayList(), False, False, spark.sparkContext._gateway.new_array(jvm.double, 0), jvm.java.util.ArrayList())
+    return sum(stages.apply(k).shuffleWriteBytes() for k in range(stages.size()))
+
+
+def test_block_lists_meet_in_small_tables(spark, monkeypatch):
+    e = gen.rmat(spark, 8)
+    monkeypatch.setattr(blocks, "TABLE_WORDS", 8)
+    monkeypatch.setattr(blocks, "LOOKED_AT", 16)
+    assert total(blocks.count_blocks(e, 300)) == total(count.forward_exploded(e))
+
+
+def test_slices_beyond_the_limit_come_from_blocks(spark, monkeypatch):
+    e = gen.rmat(spark, 8)
+    want = {how: {r.slice: tuple(r) for r in split.count_replicated(e, 3, how).collect()} for how in ("strided", "range", "hash")}
+    monkeypatch.setattr(count, "JOINED_LIMIT", 100)
+    monkeypatch.setattr(blocks, "BLOCK_EDGES", 300)
+    monkeypatch.setattr(split, "count_slices", None)
+    for how in ("strided", "range"):
+        assert {r.slice: tuple(r) for r in split.count_replicated(e, 3, how).collect()} == want[how]
+    rows = split.count_replicated(e, 3, "hash").collect()
+    assert [sum(r[k] for r in rows) for k in (1, 2)] == [sum(r[k] for r in want["hash"].values()) for k in (1, 2)]
+
+
+def test_typed_triangles_are_added_up_where_they_are_found(spark, monkeypatch):
+    monkeypatch.setattr(blocks, "BLOCK_EDGES", 300)
+    e = gen.fixture_graph(spark, "complete", 40).persist()
+    types = prep.degrees(e).where("v <> 7").select("v", F.expr("CASE WHEN v < 5 THEN NULL WHEN v % 2 = 0 THEN 'é' ELSE 'b' END").alias("type"))
+    t = listing.list_triangles(e)
+    for c in "abc":
+        t = t.join(types.toDF(c, f"t{c}"), c)
+    want = t.select(F.sort_array(F.array("ta", "tb", "tc")).alias("k")).groupBy("k").count().collect()
+    before = moved_bytes(spark)
+    found = listing.typed_triangles(e, types).collect()
+    assert {(r.ta, r.tb, r.tc): r.n for r in found} == {tuple(r.k): r["count"] for r in want}
+    assert moved_bytes(spark) - before < 60_000  # 9,880 triangles of three ids would be more
+
+
+def test_new_triangles_without_two_paths(spark):
+    """A star that gets its hub's second half: pairs of its edges were all made before."""
+    star = spark.range(1, 3001).select(F.lit(0).cast("long").alias("u"), F.col("id").alias("v"))
+    old, new = star.where("v <= 2000"), star.where("v > 2000").unionByName(spark.createDataFrame([(1, 2), (1, 2500), (2998, 2999)], "u long, v long"))
+    before = moved_bytes(spark)
+    assert total(streams.new_triangles(old, new)) == 3
+    assert moved_bytes(spark) - before < 1_000_000
+
+
+def test_subgraphs_share_one_copy_of_the_edges(spark):
+    """With 20 classes an edge is in 20 subgraphs; what is shuffled must not grow with them."""
+    e = gen.rmat(spark, 8).persist()
+    e.count()
+    for variant in ("multiset", "weighted"):
+        before = moved_bytes(spark)
+        assert total(split.count_partitioned(e, 20, variant)) == 10626
+        assert moved_bytes(spark) - before < 150_000
