@@ -383,3 +383,16 @@ def test_subgraphs_share_one_copy_of_the_edges(spark):
         before = moved_bytes(spark)
         assert total(split.count_partitioned(e, 20, variant)) == 10626
         assert moved_bytes(spark) - before < 150_000
+
+
+def test_few_edges_with_long_lists_are_not_carried_through_joins(spark, monkeypatch):
+    """Far fewer edges than JOINED_LIMIT, each of which would carry a list of 100 on average, as words or as ids (spread: no two in a word)."""
+    e = gen.fixture_graph(spark, "complete", 300).persist()
+    spread = e.select(F.col("u") * 64, F.col("v") * 64).toDF("u", "v").persist()
+    assert planner.choose(e)[0] == "forward_bitmap" and planner.choose(spread)[0] in ("forward_grouped", "forward_lists")
+    monkeypatch.setattr(planner, "MOVED_BYTES", 1 << 20)
+    for edges in (e, spread):
+        assert planner.choose(edges) == ("forward_paths", {})
+        out = count.triangle_total(edges)
+        assert total(out) == comb(300, 3) and "Join" not in out._jdf.queryExecution().optimizedPlan().toString()
+    assert planner.choose(gen.fixture_graph(spark, "complete", 20))[0] == "forward_bitmap"
