@@ -1,5 +1,6 @@
 import itertools
 import random
+import re
 import statistics
 from math import comb
 
@@ -396,3 +397,25 @@ def test_few_edges_with_long_lists_are_not_carried_through_joins(spark, monkeypa
         out = count.triangle_total(edges)
         assert total(out) == comb(300, 3) and "Join" not in out._jdf.queryExecution().optimizedPlan().toString()
     assert planner.choose(gen.fixture_graph(spark, "complete", 20))[0] == "forward_bitmap"
+
+
+def test_pairs_of_words_are_shuffled_as_packed_numbers(spark, monkeypatch):
+    rng = random.Random(5)
+    names = ["".join(rng.choice("abcdefgh") for _ in range(rng.randrange(1, 9))) for _ in range(600)]
+    texts = [None, "", "One", "a a a", "b", "solo solo"] + [" ".join(rng.choice(names).title() for _ in range(rng.randrange(0, 60))) + rng.choice(["", "\u00e9x", " 7"]) for _ in range(1500)]
+    df = spark.createDataFrame([(t,) for t in texts], "text string").repartition(3).persist()
+    lists = [re.findall("[a-z]+", (t or "").lower()) for t in texts]
+    pairs = {tuple(sorted(p)) for w in lists for p in itertools.pairwise(w) if p[0] != p[1]}
+    rank = {w: k for k, w in enumerate(sorted({w for p in pairs for w in p}))}
+    want = {(rank[a], rank[b]) for a, b in pairs}
+    df.count()
+    before = moved_bytes(spark)
+    got = list(map(tuple, loaders.edges_from_tokens(df, "text").collect()))
+    assert len(got) == len(want) and set(got) == want
+    assert moved_bytes(spark) - before < 6 * len(want)  # two words each would be more
+    for small in ({"HELD_TOKENS": 300, "HELD_PAIRS": 500, "PART_PAIRS": 2000, "LISTED_WORDS": 90}, {"NAMED_WORDS": 100}):
+        for name, value in small.items():
+            monkeypatch.setattr(loaders, name, value)
+        got = list(map(tuple, loaders.edges_from_tokens(df, "text").collect()))
+        assert len(got) == len(want) and set(got) == want
+    assert loaders.edges_from_tokens(df.limit(0), "text").count() == 0
