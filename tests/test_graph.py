@@ -3,6 +3,7 @@ import random
 import re
 import statistics
 from math import comb
+from pathlib import Path
 
 import duckdb
 import pyarrow as pa
@@ -317,6 +318,41 @@ def test_groups_that_share_pairs_make_them_unique_in_a_task(spark, monkeypatch):
         assert len(got) == len(want) and set(got) == want
 
 
+def grouped_rows(rng, users, groups, copies):
+    """(g, x): users in some of the groups, each with copies in the same ones, and who shares a group."""
+    of = {x: [g for g in range(groups) if rng.random() < 0.3] for x in range(users)}
+    rows = [(g, x + users * k) for x, gs in of.items() for k in range(copies if x % 3 else 1) for g in gs]
+    return rows, {p for g in range(groups) for p in itertools.combinations(sorted({x for h, x in rows if h == g}), 2)}
+
+
+def test_triangles_of_groups_are_counted_by_classes_of_members(spark, monkeypatch):
+    rng = random.Random(5)
+    for users, groups, copies in ((40, 6, 4), (90, 40, 1), (3, 1, 5), (1, 1, 1)):
+        rows, pairs = grouped_rows(rng, users, groups, copies)
+        df = spark.createDataFrame(rows + [(None, 1), (2, None), rows[0]] if rows else [(None, 1)], "g long, x long")
+        for classes, sparse in ((2048, 1 << 40), (9, 1 << 40), (2048, 0)):
+            monkeypatch.setattr(loaders, "MATRIX_CLASSES", classes)
+            monkeypatch.setattr(loaders, "SPARSE", sparse)
+            assert loaders.triangles_from_projection(df, ["g"], "x").collect() == [(brute(pairs),)]
+
+
+def test_coactive_triangles_move_less_than_the_edges(spark, tmp_path):
+    rng = random.Random(6)
+    rows = [(x, h) for x in range(700) for h in rng.sample(range(12), 6)]
+    con = duckdb.connect()
+    con.register("r", pa.table({"user_id": [x for x, _ in rows], "h": [h for _, h in rows]}))
+    con.sql(f"COPY (SELECT user_id, 'view' AS event_type, TIMESTAMP '2024-01-01' + INTERVAL 1 HOUR * h AS ts FROM r) TO '{tmp_path}/events.parquet'")
+    con.sql(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet'")
+    folder = Path(spark.sparkContext.getCheckpointDir().removeprefix("file:"))
+    held = lambda: moved_bytes(spark) + sum(p.stat().st_size for p in folder.rglob("*") if p.is_file())
+    before = held()
+    got = total(Q.QUERIES["tri_coactive"](spark, str(tmp_path)))
+    moved = held() - before
+    edges = con.sql(Q.SQL["edges_coactive"]).fetchall()
+    assert got == con.sql(Q.SQL["tri_coactive"]).fetchall()[0][0]
+    assert len(edges) > 200_000 and moved < len(edges)
+
+
 @pytest.mark.parametrize("name", ["tri_rmat_8", "edges_rmat_source", "tri_ws0", "tri_ws10", "tri_kron_power", "tri_clique", "tri_bipartite", "tri_ba"])
 def test_generated_graphs_read_a_table_and_agree_with_sql(spark, name):
     df = Q.QUERIES[name](spark, SF)
