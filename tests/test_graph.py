@@ -336,6 +336,34 @@ def test_triangles_of_groups_are_counted_by_classes_of_members(spark, monkeypatc
             assert loaders.triangles_from_projection(df, ["g"], "x").collect() == [(brute(pairs),)]
 
 
+def test_members_of_the_same_groups_are_paired_as_one(spark, monkeypatch):
+    monkeypatch.setattr(loaders, "GROUP_TILE", 1)
+    rng = random.Random(7)
+    for (users, groups, copies), crossed, run, memory in (((40, 6, 4), 1 << 18, 256, 1 << 26), ((30, 8, 9), 20, 4, 1 << 9), ((1, 1, 12), 20, 5, 1 << 26), ((2, 2, 11), 20, 5, 1 << 26), ((60, 30, 1), 9, 2, 1 << 26)):
+        for name, value in (("CROSSED", crossed), ("RUN", run), ("PAIR_BYTES", memory)):
+            monkeypatch.setattr(loaders, name, value)
+        rows, pairs = grouped_rows(rng, users, groups, copies)
+        got = list(map(tuple, loaders.edges_from_projection(spark.createDataFrame(rows, "g long, x int"), ["g"], "x").collect()))
+        assert len(got) == len(pairs) and set(got) == pairs
+
+
+@pytest.mark.parametrize("name", ["edges_coactive", "json_typed_edges"])
+def test_edges_of_copies_move_little(spark, tmp_path, name):
+    rng = random.Random(8)
+    rows = [(x + 20 * k, h) for x in range(20) for h in rng.sample(range(12), 6) for k in range(60)]
+    con = duckdb.connect()
+    con.register("r", pa.table({"user_id": [x for x, _ in rows], "h": [h for _, h in rows]}))
+    made = "SELECT user_id, 'view' AS event_type, TIMESTAMP '2024-01-01' + INTERVAL 1 HOUR * h + INTERVAL 1 DAY * h AS ts, '{\"k\": ' || h || '}' AS props FROM r"
+    con.sql(f"COPY ({made}) TO '{tmp_path}/events.parquet'")
+    con.sql(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet'")
+    before = moved_bytes(spark)
+    Q.QUERIES[name](spark, str(tmp_path)).write.parquet(f"{tmp_path}/out")
+    moved = moved_bytes(spark) - before
+    n = con.sql(Q.SQL[name]).aggregate("count(*)").fetchall()[0][0]
+    assert n == 719_400 and moved < n // 6
+    assert con.sql(f"SELECT * FROM '{tmp_path}/out/*.parquet' EXCEPT ({Q.SQL[name]})").fetchall() == [] and con.sql(f"SELECT count(*) FROM '{tmp_path}/out/*.parquet'").fetchall() == [(n,)]
+
+
 def test_coactive_triangles_move_less_than_the_edges(spark, tmp_path):
     rng = random.Random(6)
     rows = [(x, h) for x in range(700) for h in rng.sample(range(12), 6)]
