@@ -20,6 +20,7 @@ from tricount.plans import planner, studies
 from tricount.sources import generators as gen
 from tricount.sources import loaders
 from tricount.sources.rmat_source import RmatSource, read_rmat
+from tricount.sources.rmat_source import pairs as rmat_rows
 from tricount.streaming import streams
 
 SF = "/root/testdata/sf0.001"
@@ -483,3 +484,26 @@ def test_pairs_of_words_are_shuffled_as_packed_numbers(spark, monkeypatch):
         got = list(map(tuple, loaders.edges_from_tokens(df, "text").collect()))
         assert len(got) == len(want) and set(got) == want
     assert loaders.edges_from_tokens(df.limit(0), "text").count() == 0
+
+
+def test_lists_of_many_bytes_are_not_carried_by_the_grouped_count(spark, monkeypatch):
+    """Far fewer edges than JOINED_LIMIT, each of which carries a list of 100 on average."""
+    e = gen.fixture_graph(spark, "complete", 300).persist()
+    joins = lambda df: "Join" in df._jdf.queryExecution().optimizedPlan().toString()
+    for order in ("degree", "id"):
+        assert joins(count.forward_grouped(e, order=order))
+    monkeypatch.setattr(count, "JOINED_BYTES", 1 << 20)
+    for order in ("degree", "id"):
+        out = count.forward_grouped(e, order=order)
+        assert not joins(out) and total(out) == comb(300, 3)
+    assert joins(count.forward_grouped(gen.fixture_graph(spark, "complete", 40)))
+    assert total(count.forward_grouped(gen.fixture_graph(spark, "empty", 5), order="id")) == 0
+
+
+def test_each_draw_of_a_recursive_matrix_is_made_once(spark):
+    keys = spark.range(300).select(F.col("id").alias("k"), (F.col("id") % 7).alias("line"))
+    plan = gen.rmat_from(keys, ["k", "line"], 12)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("md5(") == 1  # in a function of the level
+    for scale in (0, 1, 12, 31, 33, 62):
+        got = gen.rmat_pairs(F.col("k"), keys, scale).collect()
+        assert sorted(map(tuple, got)) == sorted(rmat_rows(range(300), scale, 42))
