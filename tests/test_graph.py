@@ -507,3 +507,38 @@ def test_each_draw_of_a_recursive_matrix_is_made_once(spark):
     for scale in (0, 1, 12, 31, 33, 62):
         got = gen.rmat_pairs(F.col("k"), keys, scale).collect()
         assert sorted(map(tuple, got)) == sorted(rmat_rows(range(300), scale, 42))
+
+
+def test_many_pairs_of_groups_are_shuffled_packed(spark, monkeypatch):
+    rng = random.Random(7)
+    rows = [(g, m) for g in range(400) for m in rng.sample(range(-900, 900), 30)]
+    rows += [(None, 1), (1, None), (500, 3), (501, 4), (501, 4)]
+
+    def want(rows):
+        groups = {}
+        for g, m in rows:
+            if None not in (g, m):
+                groups.setdefault(g, set()).add(m)
+        return {p for xs in groups.values() for p in itertools.combinations(sorted(xs), 2)}
+
+    def moved(df):
+        before = moved_bytes(spark)
+        edges = loaders.edges_from_projection(df, ["g"], "m")
+        got = list(map(tuple, edges.collect()))
+        assert edges.schema["u"].dataType == edges.schema["v"].dataType == df.schema["m"].dataType
+        assert len(got) == len(set(got)) and set(got) == want(map(tuple, df.collect()))
+        return moved_bytes(spark) - before
+
+    wide = [(g, m * (1 << 52)) for g, m in rows if m is not None]
+    monkeypatch.setattr(loaders, "PAIR_BLOCKS", 1000)  # not the path of tiles
+    shuffled = moved(spark.createDataFrame(rows, "g long, m long").repartition(3).persist())
+    for name, value in {"PACKED_OVER": 0, "PART_PAIRS": 20_000}.items():
+        monkeypatch.setattr(loaders, name, value)
+    assert 2 * moved(spark.createDataFrame(rows, "g long, m long").repartition(3).persist()) < shuffled
+    monkeypatch.setattr(loaders, "MADE_PAIRS", 1000)
+    monkeypatch.setattr(loaders, "CELL_BITS", 3)
+    for data, kind in ((rows, "int"), (wide, "long"), (rows[-3:], "long"), ([], "long")):
+        moved(spark.createDataFrame(data, f"g long, m {kind}").repartition(3).persist())
+    one_large = [(0, m) for m in range(300)] + [(g, g % 7 + k) for g in range(1, 60) for k in (0, 400)]
+    monkeypatch.setattr(loaders, "SHARED", 0)
+    moved(spark.createDataFrame(one_large, "g long, m long").repartition(3).persist())
