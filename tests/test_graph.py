@@ -500,6 +500,20 @@ def test_lists_of_many_bytes_are_not_carried_by_the_grouped_count(spark, monkeyp
     assert total(count.forward_grouped(gen.fixture_graph(spark, "empty", 5), order="id")) == 0
 
 
+def test_edges_that_carry_lists_are_not_broadcast(spark, tmp_path):
+    """Their file is far below the size from which on Spark does not broadcast it."""
+    gen.fixture_graph(spark, "complete", 400).coalesce(1).write.parquet(str(tmp_path / "e"))
+    e = spark.read.parquet(str(tmp_path / "e"))
+    e._is_written = True
+    few = gen.fixture_graph(spark, "complete", 40)
+    plan = lambda df: df._jdf.queryExecution().executedPlan().toString()
+    for options in ({}, {"order": "random"}, {"split_over": 100}):
+        out = count.forward_grouped(e, **options)
+        left = plan(out).count("BroadcastHashJoin")
+        assert total(out) == comb(400, 3) and left == (2 if options.get("split_over") else 0), options  # the table of hubs is small
+    assert "BroadcastHashJoin" in plan(count.forward_grouped(few))
+
+
 def test_each_draw_of_a_recursive_matrix_is_made_once(spark):
     keys = spark.range(300).select(F.col("id").alias("k"), (F.col("id") % 7).alias("line"))
     plan = gen.rmat_from(keys, ["k", "line"], 12)._jdf.queryExecution().optimizedPlan().toString()
